@@ -6,14 +6,16 @@
    hashes to; the XOR of two sketches counts (in parity) the samples that differ,
    which tells high similarities apart more finely than the share of equal samples.
 2. Equal sets collapse to one representative, so copies cost one row each.
-3. In every bucket (band key) each member is paired with the bucket's smallest
-   member only. Length and sketch bounds drop pairs, each member keeps its nearest
-   leader, and the pair is confirmed on full sets. This gives a forest.
-4. Only buckets that still hold more than one tree are looked at again: members of
-   *different* trees are paired, bounded by length and sketch, and confirmed on full
-   sets. So no pair of a bucket is missed, and a large group of near copies never
-   expands into its pairs.
-5. Trees and late links join into components.
+3. Star rounds: in every bucket each member is paired with the bucket's leader of the round
+   only (the smallest member, later ones by a hash); length and sketch bounds drop pairs, each
+   member keeps its nearest leader, and the pair is confirmed on full sets. Links
+   join trees, and rounds go on in the buckets that hold several trees while they find enough.
+   From the second round on sketches fold whole sets: their XOR never counts more
+   bits than the sets differ in, which makes the bound strict.
+4. What is left are trees that share a bucket without a link so far. Members of *different* trees of a
+   bucket are compared inside a join, block by block, whose condition is that strict bound, so
+   that little more than the links come out; these are confirmed. No pair of a bucket is
+   missed, and a large group of near copies never expands into its pairs.
 
 Everything stays distributed: buckets are grouped by partial aggregates and equi joins
 (which Spark splits when one key is hot), and each step is written to the shared folder.
@@ -34,7 +36,12 @@ from .decontam import shingle_hashes
 SPACE = np.zeros(256, bool)
 SPACE[[32, 9, 10, 11, 12, 13]] = True
 IS_WORD = ~SPACE
-BITS = 512
+#: Bits of the sketch of MinHash samples, and of the sketch of a whole set.
+BITS, SET_BITS = 512, 2048
+#: Star rounds at most; what they leave is compared in blocks, so the bound costs no link.
+MOST_ROUNDS = 8
+#: Members of one bucket that are compared with as many others in one group of rows.
+BLOCK = 256
 
 
 def shingle_sets(column: pa.Array, n: int) -> tuple[np.ndarray, np.ndarray]:
@@ -108,6 +115,10 @@ def sketch_bound(threshold: float, samples: int, bits: int = BITS, sigmas: float
     return int(mean + sigmas * sqrt(own + drawn))
 
 
+SAMPLED = [f"k{i}" for i in range(BITS // 64)]
+WHOLE = [f"q{i}" for i in range(SET_BITS // 64)]
+
+
 def signatures(docs: DataFrame, shingle: int, samples: int, rows: int) -> DataFrame:
     """One row for each row of ``docs``: _row (a number of its own), doc_id, n_shingles, s1 and s2 (128 bits
     that name the set), sketch words k0.., bands (array of keys; empty for empty sets)."""
@@ -135,16 +146,22 @@ def signatures(docs: DataFrame, shingle: int, samples: int, rows: int) -> DataFr
     return base.mapInArrow(run, "_row long, doc_id long, n_shingles long, s1 long, s2 long, " + ", ".join(f"k{i} long" for i in range(words)) + ", bands array<long>")
 
 
-def _near(a: str, b: str, threshold: float, bound: int) -> Column:
-    """Bounds that every linked pair meets: set sizes within the threshold, sketches near."""
+def _differ(a: str, b: str, words: list[str]) -> Column:
+    """Bits in which two sketches differ."""
+    return sum((F.bit_count(F.col(f"{a}.{k}").bitwiseXOR(F.col(f"{b}.{k}"))) for k in words), F.lit(0))
+
+
+def _near(a: str, b: str, per: int, bound: int | None) -> Column:
+    """Bounds that every linked pair meets: set sizes within the threshold (``per`` hundredths), sketches
+    near. Without ``bound`` the sketches are of whole sets, which differ in at most
+    (1 - t) / (1 + t) of their sizes' sum."""
     x, y = F.col(f"{a}.n_shingles"), F.col(f"{b}.n_shingles")
-    per = round(threshold * 100)
-    differ = sum((F.bit_count(F.col(f"{a}.k{i}").bitwiseXOR(F.col(f"{b}.k{i}"))) for i in range(BITS // 64)), F.lit(0))
-    return (F.least(x, y) * 100 >= F.greatest(x, y) * per) & (differ <= bound)
+    near = _differ(a, b, SAMPLED) <= bound if bound is not None else _differ(a, b, WHOLE) * (100 + per) <= (x + y) * (100 - per)
+    return (F.least(x, y) * 100 >= F.greatest(x, y) * per) & near
 
 
 def _sets(docs: DataFrame, wanted: DataFrame, shingle: int) -> DataFrame:
-    """rep, set (sorted uint64 hashes as bytes) of the representatives in ``wanted`` (rep, doc_id, s1, s2)."""
+    """rep, n_shingles, set (sorted distinct hashes, as signed numbers) and its sketch words q0.. of the representatives in ``wanted`` (rep, doc_id, s1, s2)."""
     w = wanted.select("rep", F.col("doc_id").alias("w_id"), "s1", "s2")
     j = pick(docs, DOC)[0].join(w, F.col("doc_id").eqNullSafe(F.col("w_id"))).select("rep", "s1", "s2", "text")
 
@@ -156,10 +173,20 @@ def _sets(docs: DataFrame, wanted: DataFrame, shingle: int) -> DataFrame:
             for name, r in zip(("s1", "s2"), run_):
                 ok &= (r[at[1:]] - r[at[:-1]]).view(np.int64) == col(s, name).to_numpy()
             keep = np.flatnonzero(ok)
-            yield pa.RecordBatch.from_arrays([col(s, "rep").take(pa.array(keep)), pa.array([sets[at[i] : at[i + 1]].tobytes() for i in keep], pa.binary())], names=["rep", "set"])
+            lists = pa.ListArray.from_arrays(pa.array(at.astype(np.int32)), pa.array(sets.view(np.int64)))
+            flat = (mix(sets ^ np.uint64(17)) % np.uint64(SET_BITS)).astype(np.int64) + np.repeat(np.arange(s.num_rows), np.diff(at)) * SET_BITS
+            odd = (np.bincount(flat, minlength=s.num_rows * SET_BITS) & 1).astype(np.uint8).reshape(-1, SET_BITS)
+            words = np.packbits(odd, axis=1).view(">i8").astype(np.int64)[keep]
+            take = pa.array(keep)
+            yield pa.RecordBatch.from_arrays([col(s, "rep").take(take), pa.array(np.diff(at)[keep]), lists.take(take), *(pa.array(words[:, i].copy()) for i in range(words.shape[1]))], names=["rep", "n_shingles", "set", *WHOLE])
 
     # rows that repeat a doc_id and a text give the same set again
-    return j.mapInArrow(run, "rep long, set binary").dropDuplicates(["rep"])
+    return j.mapInArrow(run, "rep long, n_shingles long, set array<long>, " + ", ".join(f"{k} long" for k in WHOLE)).dropDuplicates(["rep"])
+
+
+def _lists(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    """Values and offsets of a list column without nulls."""
+    return column.values.to_numpy(), column.offsets.to_numpy()
 
 
 def _confirmed(pairs: DataFrame, sets: DataFrame, threshold: float) -> DataFrame:
@@ -171,9 +198,10 @@ def _confirmed(pairs: DataFrame, sets: DataFrame, threshold: float) -> DataFrame
     def run(batches):
         for batch in batches:
             ok = []
-            for p, q in zip(col(batch, "set_a"), col(batch, "set_b")):
-                u, v = np.frombuffer(p.as_buffer(), np.uint64), np.frombuffer(q.as_buffer(), np.uint64)
-                both = len(u) + len(v) - len(np.union1d(u, v)) if len(u) and len(v) else 0
+            (x, i), (y, j) = (_lists(col(batch, n)) for n in ("set_a", "set_b"))
+            for k in range(batch.num_rows):
+                u, v = x[i[k] : i[k + 1]], y[j[k] : j[k + 1]]
+                both = len(u) + len(v) - len(np.union1d(u, v))
                 ok.append(bool(both) and 100 * both >= per * (len(u) + len(v) - both))
             keep = pa.array(np.flatnonzero(ok))
             yield pa.RecordBatch.from_arrays([col(batch, "a").take(keep), col(batch, "b").take(keep)], names=["a", "b"])
@@ -218,40 +246,53 @@ def near_duplicates(docs: DataFrame, shingle: int = 5, threshold: float = 0.8, s
     null doc_ids take part and name a component only when it has no other. A repeated
     row is a copy. Extra columns are ignored."""
     sig = written(signatures(docs, shingle, samples, rows), "signatures")
-    words = [f"k{i}" for i in range(BITS // 64)]
     full = sig.filter("n_shingles > 0")
     classes = written(full.groupBy("s1", "s2").agg(F.min("_row").alias("rep"), F.min("doc_id").alias("least_id")), "classes")
     reps = written(full.join(classes.select(F.col("rep").alias("_row"), "least_id"), "_row").withColumnRenamed("_row", "rep"), "representatives")
-    small = reps.select("rep", "n_shingles", *words)
+    small = reps.select("rep", "n_shingles", *SAMPLED)
 
     # buckets of more than one representative; their members, with the smallest one
     member = reps.select("rep", F.explode("bands").alias("key"))
     leads = member.groupBy("key").agg(F.min("rep").alias("lead"), F.count("*").alias("n")).filter("n > 1").drop("n")
     inside = written(member.join(leads, "key"), "buckets")
 
-    bound = sketch_bound(threshold, samples)
-    star = inside.filter("lead < rep").select(F.col("lead").alias("a"), F.col("rep").alias("b")).distinct()
-    star = star.join(small.alias("y"), F.col("b") == F.col("y.rep")).join(small.alias("x"), F.col("a") == F.col("x.rep")).filter(_near("x", "y", threshold, bound))
-    differ = sum((F.bit_count(F.col(f"x.{k}").bitwiseXOR(F.col(f"y.{k}"))) for k in words), F.lit(0))
-    nearest = star.groupBy("b").agg(F.min(F.struct(differ.alias("d"), F.col("a"))).alias("m")).select(F.col("m.a").alias("a"), "b")
-
+    bound, per = sketch_bound(threshold, samples), round(threshold * 100)
     wanted = inside.select("rep").distinct().join(reps.select("rep", "doc_id", "s1", "s2"), "rep")
     sets = written(_sets(docs, wanted, shingle), "sets")
-    trees = written(components(written(_confirmed(nearest, sets, threshold), "confirmed")), "trees")
-
-    # buckets that hold more than one tree: pairs across trees, not within them
-    at = inside.select("key", "rep").join(trees.withColumnRenamed("node", "rep"), "rep", "left").select("key", "rep", F.coalesce("root", "rep").alias("tree"))
-    at = written(at, "bucket-trees")
-    mixed = at.groupBy("key").agg(F.min("tree").alias("lo"), F.max("tree").alias("hi")).filter("lo < hi").select("key")
-    rest = written(at.join(mixed, "key", "left_semi").join(small, "rep"), "mixed-buckets")
-    groups = rest.select("key", "tree").distinct()
-    across = groups.alias("p").join(groups.alias("q"), (F.col("p.key") == F.col("q.key")) & (F.col("p.tree") < F.col("q.tree"))).select(F.col("p.key").alias("key"), F.col("p.tree").alias("tree"), F.col("q.tree").alias("other"))
-    left = rest.join(across, ["key", "tree"]).alias("x")
-    pairs = left.join(rest.alias("y"), (F.col("x.key") == F.col("y.key")) & (F.col("x.other") == F.col("y.tree")) & _near("x", "y", threshold, bound))
-    pairs = pairs.select(F.col("x.rep").alias("a"), F.col("y.rep").alias("b")).distinct()
-    late = written(_confirmed(pairs, sets, threshold), "late-links")
-    all_links = trees.filter("node <> root").select(F.col("root").alias("a"), F.col("node").alias("b")).union(late)
-    roots = components(all_links)
+    whole = sets.select("rep", "n_shingles", *WHOLE)
+
+    def star(pairs: DataFrame, sketches: DataFrame, limit: int | None) -> tuple[DataFrame, int]:
+        """Confirmed links of the nearest leader a of each member b, and how many."""
+        p = pairs.distinct().join(sketches.alias("y"), F.col("b") == F.col("y.rep")).join(sketches.alias("x"), F.col("a") == F.col("x.rep"))
+        p = p.filter(_near("x", "y", per, limit)).groupBy("b").agg(F.min(F.struct(_differ("x", "y", SAMPLED if limit is not None else WHOLE).alias("d"), F.col("a"))).alias("m"))
+        links = written(_confirmed(p.select(F.col("m.a").alias("a"), "b"), sets, threshold), "confirmed")
+        return links, links.count()
+
+    links, found = star(inside.filter("lead < rep").select(F.col("lead").alias("a"), F.col("rep").alias("b")), small, bound)
+    trees = written(components(links), "trees")
+    at = written(_mixed(_in_trees(inside.select("key", "rep"), trees)), "mixed-buckets")
+    enough = max(20, found // 20)
+    for number in range(1, MOST_ROUNDS):
+        leader = F.min(F.struct(F.xxhash64("rep", F.lit(number)).alias("h"), F.col("rep").alias("lead"), F.col("tree").alias("lead_tree"))).alias("m")
+        pairs = at.join(at.groupBy("key").agg(leader).select("key", "m.lead", "m.lead_tree"), "key").filter("tree <> lead_tree")
+        links, found = star(pairs.select(F.col("lead").alias("a"), F.col("rep").alias("b")), whole, None)
+        if found:
+            trees, at = _joined(links, trees, at)
+            at = written(_mixed(at), "mixed-buckets")
+        if found < enough:
+            break
+
+    # trees that share a bucket and are not linked yet, in blocks of the bucket's members
+    w = F.pmod(F.xxhash64("rep"), F.col("blocks"))
+    sizes = at.groupBy("key").agg(F.ceil(F.count("*") / BLOCK).alias("blocks"))
+    rest = written(at.join(sizes, "key").withColumn("own", w).join(whole, "rep"), "bucket-sketches")
+    p = rest.select("*", F.explode(F.sequence(F.col("own"), F.col("blocks") - 1)).alias("other"))
+    q = rest.select("*", F.explode(F.sequence(F.lit(0).cast("long"), F.col("own"))).alias("other"))
+    same = (F.col("p.key") == F.col("q.key")) & (F.col("p.own") == F.col("q.other")) & (F.col("p.other") == F.col("q.own"))
+    once = (F.col("p.own") < F.col("q.own")) | (F.col("p.rep") < F.col("q.rep"))
+    late = p.alias("p").join(q.alias("q"), same & once & (F.col("p.tree") != F.col("q.tree")) & _near("p", "q", per, None))
+    late = written(_confirmed(late.select(F.col("p.rep").alias("a"), F.col("q.rep").alias("b")).distinct(), sets, threshold), "late-links")
+    roots, _ = _joined(late, trees, None)
 
     ids = classes.join(roots.withColumnRenamed("node", "rep"), "rep", "left").select("s1", "s2", "least_id", F.coalesce("root", "rep").alias("root"))
     ids = written(ids, "rooted")
@@ -262,6 +303,29 @@ def near_duplicates(docs: DataFrame, shingle: int = 5, threshold: float = 0.8, s
     return out.union(alone).withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))
 
 
+def _in_trees(members: DataFrame, trees: DataFrame) -> DataFrame:
+    """``members`` (rep, ...) with ``tree``: the root of rep, or rep itself."""
+    return members.join(trees.select(F.col("node").alias("rep"), F.col("root").alias("tree")), "rep", "left").withColumn("tree", F.coalesce("tree", "rep"))
+
+
+def _mixed(at: DataFrame) -> DataFrame:
+    """The rows (key, rep, tree) of buckets that hold more than one tree."""
+    several = at.groupBy("key").agg(F.min("tree").alias("lo"), F.max("tree").alias("hi")).filter("lo < hi").select("key")
+    return at.join(several, "key", "left_semi")
+
+
+def _joined(links: DataFrame, trees: DataFrame, at: DataFrame | None) -> tuple[DataFrame, DataFrame | None]:
+    """Trees, and the bucket rows ``at``, after ``links`` (a, b) between members of different trees."""
+    ends = _in_trees(_in_trees(links.withColumnRenamed("a", "rep"), trees).select(F.col("tree").alias("a"), F.col("b").alias("rep")), trees)
+    up = written(components(ends.select("a", F.col("tree").alias("b"))).toDF("tree", "top"), "tree-roots")
+    # roots that had no tree of their own yet come in as nodes
+    every = trees.select("node", F.col("root").alias("tree")).union(up.select("tree", "tree")).distinct()
+    out = written(every.join(up, "tree", "left").select("node", F.coalesce("top", "tree").alias("root")), "trees")
+    if at is not None:
+        at = written(at.join(up, "tree", "left").select("key", "rep", F.coalesce("top", "tree").alias("tree")), "bucket-trees")
+    return out, at
+
+
 def deduplicated(docs: DataFrame, **how) -> DataFrame:
     """The rows of ``docs`` that stay: of each component the row with the smallest doc_id,
     once, with its columns. A doc_id is taken to name one text; where it does not, its rows with
