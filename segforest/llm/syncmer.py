@@ -2,8 +2,8 @@
 
 A k-gram of bytes is chosen when the smallest hash among its s-grams stands at its first
 or last place. That depends on the k-gram alone, so an edit changes only the anchors that it
-touches. A fingerprint is the set's size and its ``anchors`` smallest distinct anchor
-hashes, each with its first place in the text; two fingerprints are compared on
+touches. A fingerprint is the number of anchors and the ``anchors`` smallest anchor hashes
+(by occurrence), each with its place in the text; two fingerprints are compared on
 the smallest anchors of their union, and a common anchor counts when its
 shift of place is the shift of most.
 """
@@ -13,13 +13,14 @@ from __future__ import annotations
 import hashlib
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._common import DOC, col, mix, pick, text_bytes, written
+from ._common import DOC, col, mix, pick, text_bytes
 
-K, S, ANCHORS = 20, 5, 64
+K, S, ANCHORS = 12, 4, 64
 
 
 def syncmers(buf: np.ndarray, offsets: np.ndarray, k: int = K, s: int = S) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -63,7 +64,8 @@ def _grams(buf: np.ndarray, s: int) -> np.ndarray:
 
 
 def fingerprints(texts: list[str], k: int = K, s: int = S, anchors: int = ANCHORS) -> list[tuple[int, np.ndarray, np.ndarray]]:
-    """(number of distinct anchors, the smallest hashes ascending, their first places) of each text."""
+    """(number of anchors, the smallest hashes ascending, their places) of each text. The second and
+    later occurrences of an anchor have hashes of their own, so repetition counts."""
     buf, offsets = text_bytes(pa.array(texts, pa.large_string()))
     value, text, place = syncmers(buf, offsets, k, s)
     cut = np.searchsorted(text, np.arange(len(texts) + 1))
@@ -71,10 +73,13 @@ def fingerprints(texts: list[str], k: int = K, s: int = S, anchors: int = ANCHOR
     for t in range(len(texts)):
         v, p = value[cut[t] : cut[t + 1]], place[cut[t] : cut[t + 1]]
         order = np.argsort(v, kind="stable")
-        v = v[order]
-        first = np.concatenate([[True], v[1:] != v[:-1]]) if len(v) else np.zeros(0, bool)
-        v, p = v[first], p[order][first]
-        out.append((len(v), v[:anchors], p[:anchors].astype(np.int64)))
+        v, p = v[order], p[order]
+        new = np.concatenate([[True], v[1:] != v[:-1]]) if len(v) else np.zeros(0, bool)
+        index = np.arange(len(v))
+        nth = index - np.maximum.accumulate(np.where(new, index, 0)) if len(v) else index
+        v = np.where(nth > 0, mix(v + nth.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)), v)
+        order = np.argsort(v)[:anchors]
+        out.append((len(v), v[order], p[order].astype(np.int64)))
     return out
 
 
@@ -110,84 +115,71 @@ _COLUMNS = [("n_chars", pa.int64()), ("edited_sha256", pa.string()), ("fingerpri
 
 
 def _judged(ids: list, texts: list[str], following: list[str]) -> pa.RecordBatch:
-    """One output row for each (text, next text)."""
+    """One output row for each text; following[i] is texts[i + 1], then the last one's next."""
     edited = []
     for t, nxt in zip(texts, following):
         m = len(t) // 3
         edited.append(t[: len(t) - m] + nxt[:m])
-    own, other, after = fingerprints(texts), fingerprints(edited), None
-    after = [*own[1:], None] if following[:-1] == texts[1:] else None
-    if after is None:
-        after = fingerprints(following)
-    else:
-        after[-1] = fingerprints(following[-1:])[0]
+    own, other = fingerprints([*texts, following[-1]]), fingerprints(edited)
+    after = own[1:]
     rows = [(i, len(t), hashlib.sha256(e.encode("utf-8", "surrogatepass")).hexdigest(), encode(a), encode(b), likeness(a, b), likeness(a, c)) for i, t, e, a, b, c in zip(ids, texts, edited, own, other, after)]
     cols = list(zip(*rows))
     return pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int64()), *(pa.array(c, t) for c, (_, t) in zip(cols[1:], _COLUMNS))], names=["doc_id", *(n for n, _ in _COLUMNS)])
 
 
-_STAGE = "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double, kind int, part int, text string"
+_OUT = "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double"
 
 
-def edit_fingerprints(docs: DataFrame, parts: int | None = None, slice_chars: int = 1 << 20) -> DataFrame:
+def edit_fingerprints(docs: DataFrame, rows_per_part: int = 5_000, slice_chars: int = 1 << 20) -> DataFrame:
     """doc_id, n_chars, edited_sha256, fingerprint, edited_fingerprint, near_edited, near_next.
 
     The edited text of a document replaces its last floor(n_chars / 3) code points by the
     first as many (or all) of the next document in descending doc_id; after the last
     comes the first. Null texts count as empty. Null doc_ids come last; equal doc_ids are ordered by
-    text. A single row is its own next. Texts are moved once, by ranges of doc_id: each
-    task judges all its rows but the last, whose next is in another task; those few and the
-    tasks' first rows are joined after."""
+    text. A single row is its own next.
+
+    Texts move once: rows are dealt into ranges of doc_id, and the first row of each range
+    goes to the range before it as well, as the next of its last row. The driver holds two ids a range."""
     spark = docs.sparkSession
     two, _ = pick(docs, DOC)
     two = two.withColumn("text", F.coalesce("text", F.lit("")))
-    keys = [F.desc_nulls_last("doc_id")]
-    ranged = (two.repartitionByRange(parts, *keys) if parts else two.repartitionByRange(*keys)).sortWithinPartitions(*keys, "text")
+    count = two.count()
+    parts = max(1, -(-count // rows_per_part))
+    cuts = two.agg(F.percentile_approx("doc_id", [k / parts for k in range(1, parts)], 100 * parts)).first()[0] if parts > 1 else []
+    shared = spark.sparkContext.broadcast(np.unique(np.array(cuts or [], np.int64)))  # one id a range
+
+    @F.pandas_udf("int")
+    def place(ids: pd.Series) -> pd.Series:
+        """Ranges in descending order; null doc_ids are in the last."""
+        borders = shared.value
+        at = len(borders) - np.searchsorted(borders, ids.fillna(0).to_numpy(np.int64), "left")
+        return pd.Series(np.where(ids.isna(), len(borders), at).astype(np.int32))
+
+    placed = two.withColumn("part", place("doc_id"))
+    heads = sorted((r.part, r.head) for r in placed.select("part", "doc_id").groupBy("part").agg(F.max("doc_id").alias("head")).collect())
+    before = [(head, part, heads[k - 1][0]) for k, (part, head) in enumerate(heads)]
+    guests = F.broadcast(spark.createDataFrame(before, "head long, head_part int, host int"))
+    same = F.col("doc_id").eqNullSafe(F.col("head")) & (F.col("part") == F.col("head_part"))
+    own = F.struct(F.col("part").alias("part"), F.lit(0).alias("guest"))
+    also = F.struct(F.col("host").alias("part"), F.lit(1).alias("guest"))
+    dealt = placed.join(guests, same, "left").select("doc_id", "text", F.explode(F.when(F.col("host").isNull(), F.array(own)).otherwise(F.array(own, also))).alias("at"))
+    dealt = dealt.select("doc_id", "text", "at.part", "at.guest").repartition(max(1, parts), "part")
+    dealt = dealt.sortWithinPartitions("part", "guest", F.desc_nulls_last("doc_id"), "text")
 
     def run(batches):
-        from pyspark import TaskContext
-
-        part, held_ids, held, first = TaskContext.get().partitionId(), [], [], True
-
-        def marked(batch, kind, texts):
-            n = batch.num_rows
-            return pa.RecordBatch.from_arrays([*batch.columns, pa.array([kind] * n, pa.int32()), pa.array([part] * n, pa.int32()), pa.array(texts, pa.string())], names=[*batch.schema.names, "kind", "part", "text"])
-
-        def bare(i, kind, text):
-            nulls = [pa.nulls(1, t) for _, t in _COLUMNS]
-            return marked(pa.RecordBatch.from_arrays([pa.array([i], pa.int64()), *nulls], names=["doc_id", *(n for n, _ in _COLUMNS)]), kind, [text])
-
-        size = 0
+        ids, texts, size, part, met = [], [], 0, None, False
         for b in batches:
-            for i, t in zip(col(b, "doc_id").to_pylist(), col(b, "text").to_pylist()):
-                if first:
-                    yield bare(i, 1, t)  # the next of the task before
-                    first = False
-                held_ids.append(i)
-                held.append(t)
+            for i, t, p, g in zip(*(col(b, n).to_pylist() for n in ("doc_id", "text", "part", "guest"))):
+                if p != part:
+                    part, met, ids, texts, size = p, False, [], [], 0
+                if met:
+                    continue  # only the first guest is the next row
+                ids.append(i)
+                texts.append(t)
                 size += len(t)
-                if size >= slice_chars and len(held) > 1:
-                    yield marked(_judged(held_ids[:-1], held[:-1], held[1:]), 0, [None] * (len(held) - 1))
-                    held_ids, held = held_ids[-1:], held[-1:]
-                    size = len(held[0])
-        if len(held) > 1:
-            yield marked(_judged(held_ids[:-1], held[:-1], held[1:]), 0, [None] * (len(held) - 1))
-        if held:
-            yield bare(held_ids[-1], 2, held[-1])
-
-    stage = written(ranged.mapInArrow(run, _STAGE), "fingerprints")
-    names = ["doc_id", *(n for n, _ in _COLUMNS)]
-    # the numbers of the tasks that had rows, one integer each
-    full = sorted(r.part for r in stage.filter("kind = 1").select("part").collect())
-    if not full:
-        return stage.select(*names)
-    order = spark.createDataFrame(list(zip(full, full[1:] + full[:1])), "part int, after int")
-    heads = stage.filter("kind = 1").select(F.col("part").alias("after"), F.col("text").alias("following"))
-    tails = stage.filter("kind = 2").select("doc_id", "part", "text").join(order, "part").join(heads, "after").select("doc_id", "text", "following")
-
-    def judge(batches):
-        for b in batches:
-            if b.num_rows:
-                yield _judged(col(b, "doc_id").to_pylist(), col(b, "text").to_pylist(), col(b, "following").to_pylist())
+                met = g == 1
+                if len(texts) > 1 and (met or size >= slice_chars):
+                    yield _judged(ids[:-1], texts[:-1], texts[1:])
+                    ids, texts, size = ids[-1:], texts[-1:], len(t)
 
-    return stage.filter("kind = 0").select(*names).unionByName(tails.mapInArrow(judge, _STAGE.partition(", kind")[0]))
+    return dealt.mapInArrow(run, _OUT)

@@ -28,22 +28,35 @@ from pyspark.sql import DataFrame, SparkSession
 from ._common import DOC, col, pick, scratch, written
 
 SKIPPABLE, SEEKABLE, FOOTER = 0x184D2A5E, 0x8F92EAB1, 9
-CACHE_WORDS = 400_000
+#: Pieces whose ids a worker keeps, at about 200 bytes each.
+CACHE_PIECES = 700_000
 _ODD_SPACE = re.compile("[\x1c-\x1f]")
+_CLOSING = re.compile(r"(?<=[A-Za-z0-9\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u00ff])([.,]+)(?=\s|$)")
+_LATIN = re.compile(r"[A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u00ff]+")
 
 
 class CorruptFrame(ValueError):
     """A frame's content does not match its checksum in the seek table."""
 
 
+class _Known(dict):
+    """Pieces and their ids; pieces beyond CACHE_PIECES live in ``passing`` for one batch only."""
+
+    passing: dict[str, bytes] = {}
+
+    def __missing__(self, piece: str) -> bytes:
+        return self.passing[piece]
+
+
 class Encoder:
     """Token ids of whole texts as bytes of ``width``-byte integers.
 
-    The tokenizer's pre-tokenizer never joins text across white space and drops
-    it, so a text's ids are those of its blank-separated pieces in order; pieces repeat,
-    so their ids are kept in a table of at most CACHE_WORDS pieces, emptied when
-    full. With ``by_piece=False``, and for the four control characters that Python
-    but not the tokenizer calls white space, the text is encoded as a whole."""
+    The tokenizer's pre-tokenizer never joins text across white space (which it drops), nor a
+    letter or digit with a full stop or comma. So a text's ids are those of its pieces in order,
+    cut at white space and before closing stops and commas. Pieces repeat, so the
+    ids of CACHE_PIECES of them are kept; the others are encoded once a batch. A text with one of the four
+    control characters that Python but not the tokenizer calls white space is encoded whole,
+    as is every text with ``by_piece=False``."""
 
     def __init__(self, path: str, width: int | None = None, by_piece: bool = True, special_as_text: bool = False):
         from tokenizers import Tokenizer
@@ -52,25 +65,47 @@ class Encoder:
         self.tok.encode_special_tokens = special_as_text
         self.width = width or (2 if self.tok.get_vocab_size() <= 1 << 16 else 4)
         self.kind = np.dtype(f"<u{self.width}")
-        self.by_piece, self.known = by_piece, {}
+        self.by_piece, self.known = by_piece, _Known()
+        vocab = self.tok.get_vocab()
+        self.ends = np.zeros(max(vocab.values()) + 1, bool)
+        self.ends[[i for k, i in vocab.items() if k.endswith("</w>")]] = True
 
-    def _ids(self, text: str) -> bytes:
+    def _whole(self, text: str) -> bytes:
         return np.array(self.tok.encode(text, add_special_tokens=False).ids, self.kind).tobytes()
 
+    def _pieces(self, pieces: list[str]) -> dict[str, bytes]:
+        """Ids of distinct pieces. Latin words go in one call, where each ends in its one token with
+        the end-of-word mark; should the counts not agree they go one by one like all others."""
+        words = [p for p in pieces if _LATIN.fullmatch(p)]
+        rest, out = [p for p in pieces if not _LATIN.fullmatch(p)], {}
+        for k in range(0, len(words), 20_000):
+            part = words[k : k + 20_000]
+            ids = np.array(self.tok.encode(" ".join(part), add_special_tokens=False).ids, self.kind)
+            cut = (np.flatnonzero(self.ends[ids]) + 1).tolist()
+            if len(cut) != len(part) or cut[-1] != len(ids):
+                rest += part
+                continue
+            raw, w, at = ids.tobytes(), self.width, 0
+            for p, c in zip(part, cut):
+                out[p] = raw[at * w : c * w]
+                at = c
+        for k in range(0, len(rest), 20_000):
+            part = rest[k : k + 20_000]
+            for p, e in zip(part, self.tok.encode_batch_fast(part, add_special_tokens=False)):
+                out[p] = np.array(e.ids, self.kind).tobytes()
+        return out
+
     def encode(self, texts: list[str | None]) -> list[bytes]:
         if not self.by_piece:
-            return [self._ids(t or "") for t in texts]
-        split = [None if _ODD_SPACE.search(t) else t.split() for t in (x or "" for x in texts)]
-        missing = list(set().union(*(s for s in split if s)) - self.known.keys())
-        if missing and len(missing) + len(self.known) > CACHE_WORDS:
-            self.known = {}
-            missing = list(set().union(*(s for s in split if s)))
-        for k in range(0, len(missing), 20_000):
-            part = missing[k : k + 20_000]
-            for w, e in zip(part, self.tok.encode_batch_fast(part, add_special_tokens=False)):
-                self.known[w] = np.array(e.ids, self.kind).tobytes()
+            return [self._whole(t or "") for t in texts]
+        split = [None if _ODD_SPACE.search(t) else _CLOSING.sub(r" \1", t).split() for t in (x or "" for x in texts)]
+        new = self._pieces(list(set().union(*(s for s in split if s)) - self.known.keys()))
+        if len(new) + len(self.known) <= CACHE_PIECES:
+            self.known.update(new)
+        else:
+            self.known.passing = new
         get = self.known.__getitem__
-        return [self._ids(t) if s is None else b"".join(map(get, s)) for s, t in zip(split, texts)]
+        return [self._whole(t) if s is None else b"".join(map(get, s)) for s, t in zip(split, texts)]
 
 
 def pack(docs, width: int, frame_bytes: int = 1 << 18, level: int = 3) -> tuple[bytes, int]:
@@ -212,8 +247,8 @@ def write_files(docs: DataFrame, out_uri: str, tokenizer_path: str, end_id: int
             return pa.RecordBatch.from_pylist([{"part": part, "file": file, "uri": uri, "first_id": docs_[0][0], "docs": len(docs_), "ids": ids}], schema=pa.schema([("part", pa.int32()), ("file", pa.int32()), ("uri", pa.string()), ("first_id", pa.int64()), ("docs", pa.int64()), ("ids", pa.int64())]))
 
         for b in batches:
-            for lo in range(0, b.num_rows, 512):
-                s = b.slice(lo, 512)
+            for lo in range(0, b.num_rows, 2048):
+                s = b.slice(lo, 2048)
                 raws = enc.encode(col(s, "text").to_pylist())
                 docs_ += zip(col(s, "doc_id").to_pylist(), (r + end for r in raws))
                 held += sum(map(len, raws))
