@@ -130,7 +130,7 @@ def text_bytes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return buf, offsets - offsets[0]
 
 
-def pieces(batches, column: str = "text", limit: int = 3 << 20):
+def pieces(batches, column: str = "text", limit: int = 3 << 19):
     """Cuts record batches into slices of about ``limit`` text bytes (a longer
     single text is its own slice), which bounds the size of work arrays."""
     for batch in batches:
@@ -169,7 +169,7 @@ _PINV = pow(_P, -1, 1 << 64)
 
 def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     if not _POW or len(_POW[0]) < n:
-        size = max(n, 1 << 22)
+        size = max(1 << (n - 1).bit_length(), 1 << 14)
         out = []
         for base in (_P, _PINV):
             p = np.ones(size, np.uint64)

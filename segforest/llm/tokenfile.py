@@ -12,6 +12,7 @@ wanted documents."""
 
 from __future__ import annotations
 
+import gc
 import json
 import re
 import struct
@@ -29,10 +30,9 @@ from ._common import DOC, col, pick, scratch, written
 
 SKIPPABLE, SEEKABLE, FOOTER = 0x184D2A5E, 0x8F92EAB1, 9
 #: Pieces whose ids a worker keeps, at about 200 bytes each.
-CACHE_PIECES = 700_000
+CACHE_PIECES = 1_000_000
 _ODD_SPACE = re.compile("[\x1c-\x1f]")
-_CLOSING = re.compile(r"(?<=[A-Za-z0-9\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u00ff])([.,]+)(?=\s|$)")
-_LATIN = re.compile(r"[A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u00ff]+")
+_CLOSED = re.compile(r"([A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u00ff]+)([.,]*)")
 
 
 class CorruptFrame(ValueError):
@@ -52,8 +52,8 @@ class Encoder:
     """Token ids of whole texts as bytes of ``width``-byte integers.
 
     The tokenizer's pre-tokenizer never joins text across white space (which it drops), nor a
-    letter or digit with a full stop or comma. So a text's ids are those of its pieces in order,
-    cut at white space and before closing stops and commas. Pieces repeat, so the
+    letter with a full stop or comma. So a text's ids are those of its pieces in order,
+    cut at white space, and a word's closing stops and commas are apart. Pieces repeat, so the
     ids of CACHE_PIECES of them are kept; the others are encoded once a batch. A text with one of the four
     control characters that Python but not the tokenizer calls white space is encoded whole,
     as is every text with ``by_piece=False``."""
@@ -74,31 +74,37 @@ class Encoder:
         return np.array(self.tok.encode(text, add_special_tokens=False).ids, self.kind).tobytes()
 
     def _pieces(self, pieces: list[str]) -> dict[str, bytes]:
-        """Ids of distinct pieces. Latin words go in one call, where each ends in its one token with
-        the end-of-word mark; should the counts not agree they go one by one like all others."""
-        words = [p for p in pieces if _LATIN.fullmatch(p)]
-        rest, out = [p for p in pieces if not _LATIN.fullmatch(p)], {}
-        for k in range(0, len(words), 20_000):
-            part = words[k : k + 20_000]
-            ids = np.array(self.tok.encode(" ".join(part), add_special_tokens=False).ids, self.kind)
+        """Ids of distinct pieces. Latin words, without the stops and commas that close
+        them, go many in one text, where each ends in its one token with the
+        end-of-word mark; should the counts not agree they go one by one like all other pieces."""
+        split = [(p, m[1], m[2]) for p in pieces if (m := _CLOSED.fullmatch(p))]
+        words = [w for w in dict.fromkeys(w for _, w, _ in split) if w not in self.known]
+        out: dict[str, bytes] = {}
+        for k in range(0, len(words), 500):
+            part = words[k : k + 500]
+            ids = np.array(self.tok.encode_batch_fast([" ".join(part)], add_special_tokens=False)[0].ids, self.kind)
             cut = (np.flatnonzero(self.ends[ids]) + 1).tolist()
             if len(cut) != len(part) or cut[-1] != len(ids):
-                rest += part
+                out |= self._singly(part)
                 continue
             raw, w, at = ids.tobytes(), self.width, 0
             for p, c in zip(part, cut):
                 out[p] = raw[at * w : c * w]
                 at = c
-        for k in range(0, len(rest), 20_000):
-            part = rest[k : k + 20_000]
-            for p, e in zip(part, self.tok.encode_batch_fast(part, add_special_tokens=False)):
-                out[p] = np.array(e.ids, self.kind).tobytes()
-        return out
+        marks = self._singly(list({m for _, _, m in split if m}))
+        for p, w, m in split:
+            if m:
+                out[p] = (out[w] if w in out else self.known[w]) + marks[m]
+        latin = {p for p, _, _ in split}
+        return out | self._singly([p for p in pieces if p not in latin])
+
+    def _singly(self, pieces: list[str]) -> dict[str, bytes]:
+        return {p: np.array(e.ids, self.kind).tobytes() for p, e in zip(pieces, self.tok.encode_batch_fast(pieces, add_special_tokens=False))}
 
     def encode(self, texts: list[str | None]) -> list[bytes]:
         if not self.by_piece:
             return [self._whole(t or "") for t in texts]
-        split = [None if _ODD_SPACE.search(t) else _CLOSING.sub(r" \1", t).split() for t in (x or "" for x in texts)]
+        split = [None if _ODD_SPACE.search(t) else t.split() for t in (x or "" for x in texts)]
         new = self._pieces(list(set().union(*(s for s in split if s)) - self.known.keys()))
         if len(new) + len(self.known) <= CACHE_PIECES:
             self.known.update(new)
@@ -108,7 +114,7 @@ class Encoder:
         return [self._whole(t) if s is None else b"".join(map(get, s)) for s, t in zip(split, texts)]
 
 
-def pack(docs, width: int, frame_bytes: int = 1 << 18, level: int = 3) -> tuple[bytes, int]:
+def pack(docs, width: int, frame_bytes: int = 1 << 18, level: int = 1) -> tuple[bytes, int]:
     """The file of ``docs`` = (doc_id, ids as bytes) in the given order; also the id count."""
     c = zstandard.ZstdCompressor(level=level, write_content_size=True)
     out, table, ids, counts, part, held, first = [], [], [], [], [], 0, []
@@ -247,9 +253,13 @@ def write_files(docs: DataFrame, out_uri: str, tokenizer_path: str, end_id: int
             return pa.RecordBatch.from_pylist([{"part": part, "file": file, "uri": uri, "first_id": docs_[0][0], "docs": len(docs_), "ids": ids}], schema=pa.schema([("part", pa.int32()), ("file", pa.int32()), ("uri", pa.string()), ("first_id", pa.int64()), ("docs", pa.int64()), ("ids", pa.int64())]))
 
         for b in batches:
-            for lo in range(0, b.num_rows, 2048):
-                s = b.slice(lo, 2048)
-                raws = enc.encode(col(s, "text").to_pylist())
+            for lo in range(0, b.num_rows, 4096):
+                s = b.slice(lo, 4096)
+                gc.disable()  # millions of strings, and no cycles among them
+                try:
+                    raws = enc.encode(col(s, "text").to_pylist())
+                finally:
+                    gc.enable()
                 docs_ += zip(col(s, "doc_id").to_pylist(), (r + end for r in raws))
                 held += sum(map(len, raws))
                 if held >= file_bytes:

@@ -221,19 +221,19 @@ class ToxicityModel:
         return 1 / (1 + np.exp(-np.clip(z, -30, 30)))
 
 
-def _logistic(rows: list[np.ndarray], y: np.ndarray, k: int, weight: np.ndarray, l2: float = 1.0, rounds: int = 200) -> tuple[np.ndarray, float]:
-    """Ridge logistic regression on binary features by accelerated gradient steps."""
-    where = np.repeat(np.arange(len(rows)), [len(r) for r in rows])
-    feature = np.concatenate(rows).astype(np.int64) if len(rows) else np.zeros(0, np.int64)
+def _logistic(features: np.ndarray, counts: np.ndarray, y: np.ndarray, k: int, l2: float = 1.0, rounds: int = 200) -> tuple[np.ndarray, float]:
+    """Ridge logistic regression on binary features by accelerated gradient steps. ``counts`` says how
+    many of the ``features`` each row has."""
+    n = len(counts)
+    where = np.repeat(np.arange(n, dtype=np.int32), counts)
     w, v, b, vb = np.zeros(k), np.zeros(k), 0.0, 0.0
-    curve = np.bincount(feature, weight[where] / 4, minlength=k) * max(1.0, np.mean([len(r) for r in rows] or [1])) ** 0.5 + l2
+    curve = np.bincount(features, minlength=k) / 4 * max(1.0, counts.mean()) ** 0.5 + l2
     for t in range(rounds):
         m = t / (t + 3)
         wx, bx = w + m * (w - v), b + m * (b - vb)
-        z = bx + np.bincount(where, wx[feature], minlength=len(rows))
-        g = weight * (1 / (1 + np.exp(-np.clip(z, -30, 30))) - y)
+        g = 1 / (1 + np.exp(-np.clip(bx + np.bincount(where, wx[features], minlength=n), -30, 30))) - y
         v, vb = w, b
-        w, b = wx - (np.bincount(feature, g[where], minlength=k) + l2 * wx) / curve / 2, bx - g.sum() / (weight.sum() / 4) / 2
+        w, b = wx - (np.bincount(features, g[where], minlength=k) + l2 * wx) / curve / 2, bx - 2 * g.sum() / n
     return w, float(b)
 
 
@@ -282,9 +282,10 @@ def fit(docs: DataFrame, labels: DataFrame, keep=None, per_class: int = 20_000,
             ends = np.searchsorted(pairs, np.arange(s.num_rows + 1) * max(1, len(keys))).astype(np.int32)
             yield pa.RecordBatch.from_arrays([col(s, "label"), pa.ListArray.from_arrays(pa.array(ends), pa.array((pairs % max(1, len(keys))).astype(np.int32)))], names=["label", "f"])
 
-    rows = sample.mapInArrow(design, "label int, f array<int>").collect()
-    y = np.array([r.label for r in rows], float)
-    w, b = _logistic([np.array(r.f, np.int64) for r in rows], y, len(keys), np.ones(len(rows)))
+    rows = sample.mapInArrow(design, "label int, f array<int>").toArrow().combine_chunks()
+    lists = rows.column("f").combine_chunks()
+    ends = lists.offsets.to_numpy().astype(np.int64)
+    w, b = _logistic(lists.values.to_numpy(), np.diff(ends), rows.column("label").to_numpy().astype(float), len(keys))
     b += np.log(share.get(1, 1) / max(1, share.get(0, 1))) - np.log(n1 / n0)  # from the sample's share to the labels'
     return ToxicityModel(trigrams, keys, w, b)
 
