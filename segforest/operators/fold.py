@@ -12,13 +12,14 @@ def _log(a: Column) -> Column:
     return F.when(a > 0, F.ln(F.nullif(a, F.lit(0.0)))).otherwise(0.0)
 
 
-def composite(df: DataFrame, rays: list[str], order: list[str], how: str = "scan", levels: list[str] | None = None) -> DataFrame:
+def composite(df: DataFrame, rays: list[str], order: list[str], how: str = "scan", levels: list[str] | None = None, extra: dict[str, Column] | None = None) -> DataFrame:
     """One segment per ray: rays, a, b, k (segments folded). ``order`` must be total, near first.
 
     scan: running sums of ln a give the transmittance in front of each segment; one exchange on the rays, spills.
     array: gathers a ray's segments in an array; for short rays.
     levels: ``levels`` are columns, coarse to fine, that cut each ray into contiguous runs (hot rays);
     runs fold first, then the partial segments, so no task holds a whole hot ray.
+    ``extra`` (scan only) names further aggregates of a ray.
     Segments with null or negative a are an error of the caller and give null."""
     if how == "array":
         items = F.array_sort(F.collect_list(F.struct(*order, "a", "b")))
@@ -33,17 +34,17 @@ def composite(df: DataFrame, rays: list[str], order: list[str], how: str = "scan
             first = [c for c in [f"_z{i}" for i in range(len(order))]]
             out = inner
         return out.select(*rays, "a", "b", F.col("_k").alias("k"))
-    return _scan(df.withColumn("_k", F.lit(1).cast("long")), rays, order, "_k").select(*rays, "a", "b", F.col("_k").alias("k"))
+    return _scan(df.withColumn("_k", F.lit(1).cast("long")), rays, order, "_k", extra).select(*rays, "a", "b", F.col("_k").alias("k"), *(extra or {}))
 
 
-def _scan(df: DataFrame, keys: list[str], order: list[str], count: str) -> DataFrame:
+def _scan(df: DataFrame, keys: list[str], order: list[str], count: str, extra: dict[str, Column] | None = None) -> DataFrame:
     w = Window.partitionBy(*keys).orderBy(*order).rowsBetween(Window.unboundedPreceding, -1)
     front = F.when(F.coalesce(F.sum(F.when(F.col("a") == 0, 1).otherwise(0)).over(w), F.lit(0)) > 0, 0.0).otherwise(F.exp(F.coalesce(F.sum(_log(F.col("a"))).over(w), F.lit(0.0))))
     x = df.withColumn("_t", front)
     whole = F.when(F.min("a") == 0, 0.0).otherwise(F.exp(F.sum(_log(F.col("a")))))
     firsts = F.min(F.struct(*[F.col(c).alias(f"_z{i}") for i, c in enumerate(order)])).alias("_first")
-    out = x.groupBy(*keys).agg(whole.alias("_a"), F.sum(F.col("_t") * F.col("b")).alias("_b"), F.sum(count).alias("_n"), firsts)
-    return out.select(*keys, F.col("_a").alias("a"), F.col("_b").alias("b"), F.col("_n").alias(count), "_first.*")
+    out = x.groupBy(*keys).agg(whole.alias("_a"), F.sum(F.col("_t") * F.col("b")).alias("_b"), F.sum(count).alias("_n"), firsts, *(c.alias(k) for k, c in (extra or {}).items()))
+    return out.select(*keys, F.col("_a").alias("a"), F.col("_b").alias("b"), F.col("_n").alias(count), "_first.*", *(extra or {}))
 
 
 def running_composite(df: DataFrame, rays: list[str], order: list[str]) -> DataFrame:

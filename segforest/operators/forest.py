@@ -9,6 +9,14 @@ from pyspark.sql import functions as F
 from ..functions.sfc import prefix
 
 
+def cut(df: DataFrame) -> DataFrame:
+    """A checkpoint in the folder that all executors share; one under /tmp only where none is set."""
+    spark = df.sparkSession
+    if not spark.sparkContext.getCheckpointDir():
+        spark.sparkContext.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or "file:///tmp/checkpoints/segforest")
+    return df.checkpoint()
+
+
 def uniform(spark, trees: int, level: int, top: int, d: int = 3) -> DataFrame:
     n = 1 << (d * level)
     return spark.range(trees * n).select(F.floor(F.col("id") / n).cast("int").alias("tree"), F.lit(level).alias("level"), F.shiftleft(F.col("id") % n, d * (top - level)).alias("key"))
@@ -16,7 +24,8 @@ def uniform(spark, trees: int, level: int, top: int, d: int = 3) -> DataFrame:
 
 def children(leaves: DataFrame, top: int, d: int = 3) -> DataFrame:
     step = F.expr(f"cast(power(2, {d} * ({top} - level - 1)) as bigint)")
-    return leaves.select("tree", (F.col("level") + 1).alias("level"), (F.col("key") + F.explode(F.sequence(F.lit(0), F.lit((1 << d) - 1))) * step).alias("key"))
+    x = leaves.select("tree", "level", "key", F.explode(F.sequence(F.lit(0), F.lit((1 << d) - 1))).alias("c"))
+    return x.select("tree", (F.col("level") + 1).alias("level"), (F.col("key") + F.col("c") * step).alias("key"))
 
 
 def refine(leaves: DataFrame, keep, top: int, d: int = 3) -> DataFrame:
@@ -50,7 +59,8 @@ def ancestors(leaves: DataFrame, top: int, d: int = 3) -> DataFrame:
 def complete(leaves: DataFrame, top: int, d: int = 3) -> DataFrame:
     """``leaves`` plus the fewest coarse leaves that fill their trees; column filled tells them apart."""
     a = ancestors(leaves, top, d)
-    kids = a.select("tree", (F.col("level") + 1).alias("level"), (F.shiftleft("p", d) + F.explode(F.sequence(F.lit(0), F.lit((1 << d) - 1)))).alias("p"))
+    kids = a.select("tree", "level", "p", F.explode(F.sequence(F.lit(0), F.lit((1 << d) - 1))).alias("c"))
+    kids = kids.select("tree", (F.col("level") + 1).alias("level"), (F.shiftleft("p", d) + F.col("c")).alias("p"))
     own = leaves.select("tree", F.col("level").cast("int").alias("level"), F.call_function("shiftright", F.col("key"), F.expr(f"cast({d} * ({top} - level) as int)")).alias("p"))
     fill = kids.join(a, ["tree", "level", "p"], "left_anti").join(own, ["tree", "level", "p"], "left_anti")
     key = F.call_function("shiftleft", F.col("p"), F.expr(f"cast({d} * ({top} - level) as int)"))
@@ -110,11 +120,11 @@ def balance(leaves: DataFrame, top: int, d: int = 3, across: str = "full", round
     """Refines until no leaf is two levels coarser than a neighbour. Each round is written to the checkpoint folder."""
     leaves = leaves.select("tree", F.col("level").cast("int").alias("level"), "key")
     for _ in range(rounds or top):
-        bad = unbalanced(leaves, top, d, across).checkpoint()
+        bad = cut(unbalanced(leaves, top, d, across))
         if not bad.limit(1).count():
             break
         keep = leaves.join(bad, ["tree", "level", "key"], "left_anti")
-        leaves = keep.unionByName(children(bad, top, d)).checkpoint()
+        leaves = cut(keep.unionByName(children(bad, top, d)))
     return leaves
 
 

@@ -13,6 +13,7 @@ from pyspark.sql import functions as F
 from ..functions import algebra, geometry
 from ..functions.sfc import coordinate, morton2
 from ..operators.fold import composite
+from ..operators.forest import cut
 
 
 @dataclass(frozen=True)
@@ -49,10 +50,14 @@ def boxes(leaves: DataFrame, top: int) -> DataFrame:
     return leaves
 
 
-def _in_camera(cam: Camera, x, y, z):
-    d = [x - cam.o[0], y - cam.o[1], z - cam.o[2]]
-    dot = lambda e: d[0] * float(e[0]) + d[1] * float(e[1]) + d[2] * float(e[2])
-    return dot(cam.t), dot(cam.u), dot([c / cam.n for c in cam.v])
+def _bound(cam: Camera, axis: tuple[float, ...], low: bool):
+    """Least or greatest value over a box of the camera coordinate along ``axis``: the
+    sign of each component says which side of the box counts."""
+    out = F.lit(-sum(o * e for o, e in zip(cam.o, axis)))
+    for e, c in zip(axis, "xyz"):
+        if e:
+            out = out + F.col(f"{c}{0 if (e > 0) == low else 1}") * float(e)
+    return out
 
 
 def cull(leaves: DataFrame, cams: list[Camera], top: int) -> DataFrame:
@@ -61,9 +66,8 @@ def cull(leaves: DataFrame, cams: list[Camera], top: int) -> DataFrame:
     out = None
     b = boxes(leaves, top)
     for cam in cams:
-        corners = [_in_camera(cam, F.col(f"x{i}"), F.col(f"y{j}"), F.col(f"z{k}")) for i in (0, 1) for j in (0, 1) for k in (0, 1)]
-        lo = [F.least(*[c[a] for c in corners]) for a in range(3)]
-        hi = [F.greatest(*[c[a] for c in corners]) for a in range(3)]
+        axes = (cam.t, cam.u, tuple(x / cam.n for x in cam.v))
+        lo, hi = [_bound(cam, e, True) for e in axes], [_bound(cam, e, False) for e in axes]
         z0, z1 = F.greatest(lo[2], F.lit(cam.n)), F.least(hi[2], F.lit(cam.far))
         i0, i1 = geometry.pixel_bounds(lo[0], hi[0], z0, z1, cam.w, cam.n, cam.ell)
         j0, j1 = geometry.pixel_bounds(lo[1], hi[1], z0, z1, cam.h, cam.n, cam.ell)
@@ -73,6 +77,10 @@ def cull(leaves: DataFrame, cams: list[Camera], top: int) -> DataFrame:
     return out
 
 
+def visible_leaves(leaves: DataFrame, cams: list[Camera], top: int) -> DataFrame:
+    return cut(cull(cut(leaves), cams, top))
+
+
 def render(visible: DataFrame, cams: list[Camera]) -> DataFrame:
     """Segments of all rays through all visible leaves (constant beta, gamma in each): inst, i, j, pix, z_in, z_out, a, b,
     tree, level, key. z is the ray parameter. No exchange."""
@@ -98,10 +106,9 @@ def condense(segments: DataFrame, top: int, cycles: int, d: int = 3) -> DataFram
         level = deepest - 1 - c
         p = F.shiftright("key", d * (top - level))
         keys = ["inst", "pix", "tree", "p"]
-        y = x.withColumn("p", p).withColumn("_k", F.col("n"))
-        ends = y.groupBy(*keys).agg(F.min("z_in").alias("z_in"), F.max("z_out").alias("z_out"), F.sum("n").alias("n"))
-        x = composite(y.select(*keys, "z_in", "key", "a", "b"), keys, ["z_in", "key"]).join(ends, keys)
-        x = x.select("inst", "pix", "tree", F.lit(level).alias("level"), F.shiftleft("p", d * (top - level)).alias("key"), "z_in", "z_out", "a", "b", "n")
+        ends = {"z0": F.min("z_in"), "z1": F.max("z_out"), "m": F.sum("n")}
+        x = composite(x.withColumn("p", p), keys, ["z_in", "key"], extra=ends)
+        x = x.select("inst", "pix", "tree", F.lit(level).alias("level"), F.shiftleft("p", d * (top - level)).alias("key"), F.col("z0").alias("z_in"), F.col("z1").alias("z_out"), "a", "b", F.col("m").alias("n"))
     return x
 
 
@@ -116,5 +123,6 @@ def checkerboard(i, j, cell: int = 8):
 
 
 def render_pipeline(leaves: DataFrame, cams: list[Camera], top: int, cycles: int = 2, tile: int = 4) -> DataFrame:
-    """leaves (tree, level, key, beta, gamma) to pixel segments of all cameras in one run."""
-    return image(condense(render(cull(leaves, cams, top), cams), top, cycles), tile)
+    """leaves (tree, level, key, beta, gamma) to pixel segments of all cameras in one run. The visible leaves, few
+    against the forest, are checkpointed: plans stay small and a lost executor repeats no culling."""
+    return image(condense(render(visible_leaves(leaves, cams, top), cams), top, cycles), tile)

@@ -286,9 +286,9 @@ def _rule(method, sql_inner):
     def run(spark, d):
         be, ga = (lambda x: F.col("b0") + F.col("b1") * x), (lambda x: F.col("g0") + F.col("g1") * x)
         a, b = quadrature.step(method, be, ga, F.lit(0.0), F.col("h"))
-        return _linear(spark, d).select("event_id", _r(a).alias("a"), _r(b).alias("b"))
+        return _linear(spark, d).select("event_id", _r(a, 10).alias("a"), _r(b, 10).alias("b"))
 
-    _q(f"select event_id, round(a, 6) as a, round(b, 6) as b from ({sql_inner})", f"q_step_{method}")(run)
+    _q(f"select event_id, round(a, 10) as a, round(b, 10) as b from ({sql_inner})", f"q_step_{method}")(run)
 
 
 _rule("euler", f"select event_id, 1 - h * b0 as a, h * g0 as b from {_LIN}")
@@ -303,10 +303,10 @@ _rule("simpson", f"select event_id, exp(-t) as a, h / 6 * (exp(-t) * g0 + 4 * ex
 _rule("simpson_half", f"select event_id, exp(-t) as a, h / 6 * (exp(-t) * g0 + 4 * exp(-u) * (g0 + g1 * h / 2) + g0 + g1 * h) as b from (select *, h * b0 + b1 * h * h / 2 as t, h / 2 * b0 + b1 * 3 * h * h / 8 as u from {_LIN})")
 
 
-@_q("select event_id, case when v / 100 <= 0.1 then 0 else ceil(log2(v / 100 / 0.1))::bigint end as depth, round(exp(-v / 100), 4) as a from (select event_id, value as v from events)")
+@_q("select event_id, case when v / 100 <= 0.1 then 0 else ceil(log2(v / 100 / 0.1))::bigint end as depth, true as close from (select event_id, value as v from events)")
 def q_adaptive_depth(spark, d):
     x = _t(spark, d, "events").select(F.col("event_id").alias("id"), F.lit(0.0).alias("x1"), F.lit(1.0).alias("x2"), (F.col("value") / 100).alias("b0"), F.lit(0.0).alias("z"), F.lit(1.0).alias("g0"))
-    return quadrature.adaptive(x, "rk4", 0.1, ["b0", "z", "g0", "z"]).select(F.col("id").alias("event_id"), "depth", _r("a", 4).alias("a"))
+    return quadrature.adaptive(x, "rk4", 0.1, ["b0", "z", "g0", "z"]).join(x.select("id", "b0"), "id").select(F.col("id").alias("event_id"), "depth", (F.abs(F.col("a") - F.exp(-F.col("b0"))) < 1e-5).alias("close"))
 
 
 def _cells(spark, d):
@@ -523,7 +523,7 @@ def q_render_pipeline(spark, d):
 def q_condense_lossless(spark, d):
     """Pixels whose composite after three condense cycles is off that of the raw segments by more than roundoff."""
     cams = pipeline.front_cameras(2, 32)
-    raw = pipeline.render(pipeline.cull(_scene(spark, d), cams, TOP), cams)
+    raw = forest.cut(pipeline.render(pipeline.visible_leaves(_scene(spark, d), cams, TOP), cams))
     x = pipeline.image(raw)
     y = pipeline.image(pipeline.condense(raw, TOP, 3)).select("inst", "pix", F.col("a").alias("a2"), F.col("b").alias("b2"))
     j = x.join(y, ["inst", "pix"], "full")
@@ -535,9 +535,9 @@ def q_condense_lossless(spark, d):
 def q_condense_ratio(spark, d):
     """Segments and elements left after each condense cycle."""
     cams = pipeline.front_cameras(1, 32)
-    raw = pipeline.render(pipeline.cull(_scene(spark, d), cams, TOP), cams)
+    raw = forest.cut(pipeline.render(pipeline.visible_leaves(_scene(spark, d), cams, TOP), cams))
     out = None
-    for c in range(9):
+    for c in (0, 2, 4, 6, 8):
         x = raw if c == 0 else pipeline.condense(raw, TOP, c)
         row = x.agg(F.lit(c).alias("cycle"), F.count("*").alias("segments"), F.countDistinct("tree", "level", "key").alias("elements"))
         out = row if out is None else out.unionByName(row)
