@@ -117,3 +117,25 @@ def classic_composite(df: DataFrame, rays: list[str], order: list[str], backgrou
     items = F.reverse(F.array_sort(F.collect_list(F.struct(*order, "a", "b"))))
     g = df.groupBy(*rays).agg(items.alias("s"), F.first(background).alias("_ib"))
     return g.select(*rays, F.aggregate("s", F.col("_ib").cast("double"), lambda i, s: s["a"] * i + s["b"]).alias("i"))
+
+
+def composite_channels(df: DataFrame, rays: list[str], order: list[str], channels: list[str]) -> DataFrame:
+    """One segment per ray and channel from columns a_c, b_c: rays, a_c, b_c, k. All channels share one exchange and one sort."""
+    w = Window.partitionBy(*rays).orderBy(*order).rowsBetween(Window.unboundedPreceding, -1)
+    x, aggs = df, []
+    for c in channels:
+        a = F.col(f"a_{c}")
+        dark = F.coalesce(F.sum(F.when(a == 0, 1).otherwise(0)).over(w), F.lit(0)) > 0
+        x = x.withColumn(f"_t_{c}", F.when(dark, 0.0).otherwise(F.exp(F.coalesce(F.sum(_log(a)).over(w), F.lit(0.0)))))
+        aggs += [F.when(F.min(a) == 0, 0.0).otherwise(F.exp(F.sum(_log(a)))).alias(f"_a_{c}"), F.sum(F.col(f"_t_{c}") * F.col(f"b_{c}")).alias(f"_b_{c}")]
+    g = x.groupBy(*rays).agg(*aggs, F.count("*").alias("k"))
+    return g.select(*rays, *[F.col(f"_{s}_{c}").alias(f"{s}_{c}") for c in channels for s in "ab"], "k")
+
+
+def peel(whole: Column, part: Column, end: str = "near") -> Column:
+    """What is left of the fold ``whole`` without the segment ``part`` at its near or far end; null where part is opaque."""
+    a = F.nullif(part["a"], F.lit(0.0))
+    if end == "near":
+        return F.when(part["a"] != 0, seg(whole["a"] / a, (whole["b"] - part["b"]) / a))
+    rest = whole["a"] / a
+    return F.when(part["a"] != 0, seg(rest, whole["b"] - rest * part["b"]))
