@@ -12,7 +12,7 @@ from .functions import sfc
 from .functions.patches import hit_bilinear_columns
 from .operators import fold, forest, metrics, quadrature, routing
 from .plans import pipeline, scenes, spheres, surface
-from .queries import _CONST, _FULL, _LEAVES, _MEDIA, _OVER, _PAIR, _PIX, _RAYS, _SPH, L4, L5, TOP, _events, _lagged, _leaves, _media, _pixels, _q, _r, _rays, _scene, _spheres, _t
+from .queries import _CONST, _LEAVES, _MEDIA, _OVER, _PAIR, _PIX, _RAYS, _SPH, L4, L5, TOP, _events, _lagged, _leaves, _media, _pixels, _q, _r, _rays, _scene, _spheres, _t
 
 # --- segments and folds ---
 
@@ -285,14 +285,37 @@ def _route_check(spark, d):
     return routing.false_pairs(sent, routing.receivers(spark, forest.markers(o), _CAMS, 3, TOP))
 
 
-@_q(_CULLED + f""", g as (select v.*, i, j, {' + '.join(f'(((i >> {k}) & 1) << {2 * k}) + (((j >> {k}) & 1) << {2 * k + 1})' for k in range(5))} as pix, (i - 15.5) / {_N}.0 as dx, (j - 15.5) / {_N}.0 as dy from v, range({_N}) a(i), range({_N}) b(j) where i between i0 and i1 and j between j0 and j1),
-  h as (select *, greatest(least(lx / dx, hx / dx), least(ly / dy, hy / dy), z0 + 2.0, 1.0) as zi, least(greatest(lx / dx, hx / dx), greatest(ly / dy, hy / dy), z0 + e + 2.0, 100.0) as zo from g)
-  select inst, pix, level, key, round(zi, 6) as z_in, round(zo, 6) as z_out from h where zo - zi > 1e-9""")
+_CELL = _CULLED + f""", g as (select v.*, i, j, {' + '.join(f'(((i >> {k}) & 1) << {2 * k}) + (((j >> {k}) & 1) << {2 * k + 1})' for k in range(5))} as pix, (i - 15.5) / {_N}.0 as dx, (j - 15.5) / {_N}.0 as dy from v, range({_N}) a(i), range({_N}) b(j) where i between i0 and i1 and j between j0 and j1),
+  h as (select *, greatest(least(lx / dx, hx / dx), least(ly / dy, hy / dy), z0 + 2.0, 1.0) as zi, least(greatest(lx / dx, hx / dx), greatest(ly / dy, hy / dy), z0 + e + 2.0, 100.0) as zo from g), cell as (select * from h where zi < zo)"""
+
+
+@_q(_CELL + " select inst, pix, level, key, round(zi, 6) as z_in, round(zo, 6) as z_out from cell where zo - zi > 1e-9")
 def q_render_cells(spark, d):
     x = pipeline.render(_visible(spark, d).withColumn("beta", F.lit(1.0)).withColumn("gamma", F.lit(1.0)), _CAMS)
     return x.filter("z_out - z_in > 1e-9").select("inst", "pix", F.col("level").cast("bigint").alias("level"), "key", _r("z_in").alias("z_in"), _r("z_out").alias("z_out"))
 
 
+@_q(_CELL + f""", m as (select leaf.level, leaf.p << (3 * ({TOP} - leaf.level))::int as key, avg(label) / 3.0 + 0.5 as beta, avg(label / 9.0) as gamma from p join embeddings using (vec_id) join leaf on p.key >> (3 * ({TOP} - leaf.level))::int = leaf.p group by 1, 2),
+  s as (select cell.*, exp(-beta * sqrt(dx * dx + dy * dy + 1) * (zo - zi)) as a, gamma / beta * (1 - exp(-beta * sqrt(dx * dx + dy * dy + 1) * (zo - zi))) as b from cell join m using (level, key)),
+  f as (select *, exp(coalesce(sum(ln(a)) over (partition by inst, pix order by zi, key rows between unbounded preceding and 1 preceding), 0)) as t from s)
+  select inst, pix >> 8 as tile, pix, round(exp(sum(ln(a))), 6) as a, round(sum(t * b), 6) as b from f group by inst, pix""")
+def q_render_image(spark, d):
+    """The whole pipeline, two cameras, two condense cycles."""
+    return pipeline.render_pipeline(_scene(spark, d), _CAMS, TOP).select("inst", "tile", "pix", _r("a").alias("a"), _r("b").alias("b"))
+
+
+@_q(_CELL + " select c.c::int as cycle, count(distinct (pix, key >> (3 * c.c)::int)) as segments, count(distinct key >> (3 * c.c)::int) as elements from cell, (select unnest([2, 4, 6, 8]) as c) c where inst = 0 group by 1")
+def q_condense_ratio(spark, d):
+    """Segments and elements left after condense cycles."""
+    cams = pipeline.front_cameras(1, _N)
+    raw = forest.cut(pipeline.render(pipeline.visible_leaves(_scene(spark, d), cams, TOP), cams))
+    out = None
+    for c in (2, 4, 6, 8):
+        row = pipeline.condense(raw, TOP, c).agg(F.lit(c).alias("cycle"), F.count("*").alias("segments"), F.countDistinct("tree", "level", "key").alias("elements"))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
 @_q()
 def q_phase_counts(spark, d):
     """Segments, elements and bytes after each stage: all, visible, rendered, condensed."""
@@ -302,6 +325,15 @@ def q_phase_counts(spark, d):
     return metrics.reduction({"leaves": leaves, "visible": seen, "rendered": raw, "condensed_4": pipeline.condense(raw, TOP, 4), "condensed_8": pipeline.condense(raw, TOP, 8)})
 
 
+@_q()
+def q_condense_uniform(spark, d):
+    """On a uniform mesh, each cycle leaves an eighth of the elements and about half of the segments."""
+    cams = pipeline.front_cameras(1, 48)
+    leaves = forest.uniform(spark, 1, 5, 5).withColumn("beta", F.lit(1.0)).withColumn("gamma", F.lit(1.0))
+    raw = forest.cut(pipeline.render(pipeline.visible_leaves(leaves, cams, 5), cams))
+    return metrics.reduction({"cycle_0": raw} | {f"cycle_{c}": pipeline.condense(raw, 5, c) for c in (1, 2, 3)})
+
+
 @_q()
 def q_work_linear(spark, d):
     """How far segments follow pixels of a leaf: correlation (near 1) over visible leaves."""
@@ -352,7 +384,7 @@ def q_fractal_image(spark, d):
     """Both instances in one run: opaque grey to white before a checkerboard sky, and glowing just below the limit."""
     trees, cams = surface.hexagon(spark), _fractal_cams()
     m = forest.cut(surface.fractal_mesh(trees, 2, 6))
-    s = surface.points(surface.cull(m, trees, cams, 6), cams, {0: surface.opaque_grey(30), 1: surface.glowing(30)})
+    s = surface.points(surface.cull(m, trees, cams, 6), {0: surface.opaque_grey(30), 1: surface.glowing(30)})
     img = pipeline.image(pipeline.condense(s, 6, 2, 2))
     grid = spark.range(2 * _FN * _FN).select(F.floor(F.col("id") / _FN**2).cast("int").alias("inst"), (F.col("id") % _FN).alias("i"), F.floor(F.col("id") % _FN**2 / _FN).alias("j"))
     x = grid.withColumn("pix", sfc.morton2(F.col("i"), F.col("j"))).join(img, ["inst", "pix"], "left")

@@ -24,11 +24,18 @@ def hit_bilinear_columns(p00, p10, p01, p11, ray) -> Column:
     plane = lambda v, k: v[k] * ray[2] - v[2] * ray[k]
     a1, b1, c1, d1 = (plane(v, 0) for v in (p00, b, c, d))
     a2, b2, c2, d2 = (plane(v, 1) for v in (p00, b, c, d))
-    q2, q1, q0 = b2 * d1 - d2 * b1, a2 * d1 - d2 * a1 + b2 * c1 - c2 * b1, a2 * c1 - c2 * a1
-    k = F.struct(*[x.alias(n) for n, x in (("a1", a1), ("b1", b1), ("c1", c1), ("d1", d1), ("a2", a2), ("b2", b2), ("c2", c2), ("d2", d2), ("q2", q2), ("q1", q1), ("q0", q0))])
+    k = F.struct(*[x.alias(n) for n, x in (("a1", a1), ("b1", b1), ("c1", c1), ("d1", d1), ("a2", a2), ("b2", b2), ("c2", c2), ("d2", d2))])
     zero = F.lit(0.0)
 
     def roots(e):
+        q = F.struct(
+            (e["b2"] * e["d1"] - e["d2"] * e["b1"]).alias("q2"),
+            (e["a2"] * e["d1"] - e["d2"] * e["a1"] + e["b2"] * e["c1"] - e["c2"] * e["b1"]).alias("q1"),
+            (e["a2"] * e["c1"] - e["c2"] * e["a1"]).alias("q0"),
+        )
+        return F.flatten(F.transform(F.array(q), solve))
+
+    def solve(e):
         flat = F.abs(e["q2"]) <= 1e-12 * (F.abs(e["q1"]) + F.abs(e["q0"]))
         disc = e["q1"] * e["q1"] - 4 * e["q2"] * e["q0"]
         m = -0.5 * (e["q1"] + F.when(e["q1"] < 0, -1.0).otherwise(1.0) * F.sqrt(F.greatest(disc, zero)))

@@ -31,11 +31,10 @@ def register(spark: SparkSession) -> None:
 def seg_fold():
     """Grouped aggregate (z, a, b) -> array(a, b), near first; rows of equal z in order of a and b."""
     import numpy as np
-    import pandas as pd
-    from pyspark.sql.functions import pandas_udf
+    from pyspark.sql.functions import PandasUDFType, pandas_udf
 
-    @pandas_udf("array<double>")
-    def fold(z: pd.Series, a: pd.Series, b: pd.Series) -> list:
+    @pandas_udf("array<double>", PandasUDFType.GROUPED_AGG)
+    def fold(z, a, b):
         order = np.lexsort((b, a, z))
         x, y = a.to_numpy(float)[order], b.to_numpy(float)[order]
         front = np.concatenate([[1.0], np.cumprod(x)])

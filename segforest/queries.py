@@ -385,8 +385,15 @@ def q_imbalance(spark, d):
     return s.agg(_r(F.max("s") * 8.0 / F.sum("s")).alias("imbalance"), F.sum("s").alias("total"))
 
 
-@_q()
+_SPLIT = ", ".join(f"({' + '.join(f'(((p >> {3 * i + a}) & 1) << {i})' for i in range(TOP))})::bigint as {c}" for a, c in enumerate("xyz"))
+
+
+@_q(_LEAVES.replace("with p as", "with recursive p as", 1) + f""", anc as (select distinct a.level, leaf.p >> (3 * (leaf.level - a.level))::int as p from leaf, (select unnest(range(0, 11)) as level) a where a.level < leaf.level),
+  split as (select level, {_SPLIT} from anc union select level - 1, (x + i.i) >> 1, (y + j.j) >> 1, (z + k.k) >> 1 from split, range(-1, 2) i(i), range(-1, 2) j(j), range(-1, 2) k(k)
+    where level > 0 and x + i.i between 0 and (1 << level::int) - 1 and y + j.j between 0 and (1 << level::int) - 1 and z + k.k between 0 and (1 << level::int) - 1)
+  select 0 as tree, 1.0::double as volume, 0::bigint as overlaps, 7 * count(*) + 1 as leaves from split""")
 def q_balance(spark, d):
+    """The balanced tree; its twin counts the closure of split nodes under neighbours of the parents."""
     full = forest.complete(_leaves(spark, d), TOP)
     return forest.check(forest.balance(full, TOP), TOP)
 
@@ -531,19 +538,6 @@ def q_condense_lossless(spark, d):
     return j.agg(F.coalesce(F.sum(F.when(off, 1).otherwise(0)), F.lit(0)).cast("int").alias("differ"))
 
 
-@_q()
-def q_condense_ratio(spark, d):
-    """Segments and elements left after each condense cycle."""
-    cams = pipeline.front_cameras(1, 32)
-    raw = forest.cut(pipeline.render(pipeline.visible_leaves(_scene(spark, d), cams, TOP), cams))
-    out = None
-    for c in (0, 2, 4, 6, 8):
-        x = raw if c == 0 else pipeline.condense(raw, TOP, c)
-        row = x.agg(F.lit(c).alias("cycle"), F.count("*").alias("segments"), F.countDistinct("tree", "level", "key").alias("elements"))
-        out = row if out is None else out.unionByName(row)
-    return out
-
-
 @_q("""select user_id, time_bucket(interval 30 days, ts, timestamp '1970-01-01') as start, round(exp(sum(ln(a))), 6) as a, round(sum(t * b), 6) as b, count(*) as k from (select *, exp(coalesce(sum(ln(a)) over
   (partition by user_id, time_bucket(interval 30 days, ts, timestamp '1970-01-01') order by ts, event_id rows between unbounded preceding and 1 preceding), 0)) as t from (select *, exp(-value / 500) as a, (1 - exp(-value / 500)) / 2 as b from events)) group by 1, 2""")
 def q_window_tumbling(spark, d):

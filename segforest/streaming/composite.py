@@ -50,3 +50,26 @@ def running(stream: DataFrame, late: str) -> DataFrame:
         yield pd.DataFrame({"ray": [key[0]], "a": [a], "b": [b], "k": [k], "late": [lates]})
 
     return stream.withWatermark("z", late).groupBy("ray").applyInPandasWithState(step, RUNNING, _STATE, "update", "NoTimeout")
+
+
+def once(stream: DataFrame, keys: list[str], time: str, late: str) -> DataFrame:
+    """Drops segments that were sent again within ``late``."""
+    return stream.withWatermark(time, late).dropDuplicatesWithinWatermark(keys)
+
+
+def with_headers(stream: DataFrame, headers: DataFrame, key: str) -> DataFrame:
+    """Segments with their ray's static header (background, say); rays without one keep nulls."""
+    return stream.join(headers, key, "left")
+
+
+def image_writer(path: str, w: int, h: int):
+    """For ``foreachBatch``: each batch of pixels (x, y, r, g, b) becomes the file ``path``-<batch>.ppm; a batch that is run
+    again writes the same file again."""
+
+    def write(batch: DataFrame, number: int) -> None:
+        from ..sources.ppm import PpmSource
+
+        batch.sparkSession.dataSource.register(PpmSource)
+        batch.write.format("ppm").option("path", f"{path}-{number}.ppm").option("width", w).option("height", h).mode("append").save()
+
+    return write

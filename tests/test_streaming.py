@@ -36,3 +36,38 @@ def test_running_equals_batch(spark, tmp_path):
     got = out.sort_values("k").groupby("ray").last().sort_index()
     want = composite(batch, ["user_id"], ["ts", "event_id"]).toPandas().set_index("user_id").sort_index()
     assert (got.late == 0).all() and (got.k == want.k).all() and np.allclose(got[["a", "b"]], want[["a", "b"]])
+
+
+def test_late_rows_are_counted(spark, tmp_path):
+    """Files in a row: day 100, day 50 (not sealed yet: taken in order), day 101 (seals up to day 99), day 20 (late)."""
+    schema = "ray long, z timestamp, a double, b double"
+    for k, (day, b) in enumerate(((100, 1.0), (50, 2.0), (101, 4.0), (20, 8.0))):
+        x = spark.range(1).select(F.lit(1).cast("long").alias("ray"), F.timestamp_seconds(F.lit(day * 86400)).alias("z"), F.lit(0.5).alias("a"), F.lit(b).alias("b"))
+        x.coalesce(1).write.parquet(str(tmp_path / f"f{k}"))
+    (tmp_path / "in").mkdir()
+    import time
+
+    for k in range(4):
+        f = next((tmp_path / f"f{k}").glob("*.parquet"))
+        f.rename(tmp_path / "in" / f"{k}.parquet")
+        import os
+
+        os.utime(tmp_path / "in" / f"{k}.parquet", (time.time() - 100 + 10 * k,) * 2)
+    stream = spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "in"))
+    out = drain(running(stream, "1 day"), "late", "update").toPandas().sort_values(["k", "late"]).iloc[-1]
+    assert (out.k, out.late) == (3, 1)
+    assert np.isclose(out.a, 0.125) and np.isclose(out.b, 2.0 + 0.5 * 1.0 + 0.25 * 4.0)
+
+
+def test_dedup_headers_and_images(spark, tmp_path):
+    from segforest.streaming.composite import image_writer, once, with_headers
+
+    rows = [(k % 3, k % 3) for k in range(6)]
+    x = spark.createDataFrame(rows, "x int, y int").select("x", "y", F.timestamp_seconds(F.lit(1000)).alias("z"))
+    x.coalesce(1).write.parquet(str(tmp_path / "px"))
+    heads = spark.createDataFrame([(0, 9), (1, 8)], "x int, r int")
+    stream = with_headers(once(spark.readStream.schema(x.schema).parquet(str(tmp_path / "px")), ["x", "y"], "z", "1 hour"), heads, "x")
+    pix = stream.select("x", "y", F.coalesce("r", F.lit(7)).alias("r"), F.lit(1).alias("g"), F.lit(2).alias("b"))
+    pix.writeStream.foreachBatch(image_writer(str(tmp_path / "i"), 3, 3)).option("checkpointLocation", str(tmp_path / "ck")).trigger(availableNow=True).start().awaitTermination(60)
+    got = spark.read.format("ppm").option("path", str(tmp_path / "i-0.ppm")).load().filter("r > 0").collect()
+    assert sorted(map(tuple, got)) == [(0, 0, 9, 1, 2), (1, 1, 8, 1, 2), (2, 2, 7, 1, 2)]
