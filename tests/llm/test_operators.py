@@ -2,6 +2,7 @@ import hashlib
 import zlib
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import types as T
 
@@ -149,6 +150,25 @@ def test_syncmers(spark, odd, empty):
     assert syncmer.encode(x) == syncmer.encode(y) and syncmer.likeness(x, syncmer.decode(syncmer.encode(y))) == 1
 
 
+def words(seed, n):
+    rng = np.random.default_rng(seed)
+    letters = np.array(list("abcdefghijklmnopqrstuvwxyz"))
+    return ["".join(letters[rng.integers(0, 26, k)]) for k in rng.integers(2, 9, n)]
+
+
+def test_syncmers_keep_all_anchors_of_long_texts():
+    """Two texts of 20,000 words share a passage of 60 words; any share of anchors is told."""
+    for seed in range(4):
+        a, b, common = words(3 * seed, 20_000), words(3 * seed + 1, 20_000), words(3 * seed + 2, 60)
+        texts = [" ".join([*a[:7000], *common, *a[7000:]]), " ".join([*b[:7100], *common, *b[7100:]])]
+        x, y = syncmer.fingerprints(texts)
+        value, text, place = syncmer.syncmers(*syncmer.text_bytes(pa.array(texts)))
+        assert (len(x[1]), len(y[1])) == tuple(np.bincount(text)) and sorted(x[2]) == place[text == 0].tolist()
+        assert len(x[1]) > 20_000 and 40 / (x[0] + y[0]) < syncmer.likeness(x, y) < 130 / (x[0] + y[0])
+        n, v, p = syncmer.decode(syncmer.encode(x))
+        assert n == x[0] and (v == x[1]).all() and (p == x[2]).all()
+
+
 def test_chat(spark):
     rows = [(1, 0, "user", "hi"), (1, 1, "bot", "yo"), (2, 0, "user", "hi"), (3, 0, "user", "hi"), (3, 1, "bot", "yo"), (4, 0, None, None), (None, 0, "user", "alone")]
     df = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")
