@@ -4,14 +4,15 @@ A k-gram of bytes is chosen when the smallest hash among its s-grams stands at i
 or last place. That depends on the k-gram alone, so an edit changes only the anchors that it
 touches. A fingerprint is all anchor hashes of a text (by occurrence), each with its place, so
 it grows with the text (about one anchor to 4.5 bytes, 12 characters each); two fingerprints
-are compared on all of them, and a common anchor counts when its shift of place is near
-the median shift.
+are compared on all of them, and the common anchors count that lie on the longest chain of
+places that increase in both texts.
 """
 
 from __future__ import annotations
 
 import base64
 import hashlib
+from bisect import bisect_left
 
 import numpy as np
 import pandas as pd
@@ -106,19 +107,35 @@ def decode(text: str) -> tuple[int, np.ndarray, np.ndarray]:
     return n, v[order].astype(np.uint64), p[order]
 
 
-def likeness(x: tuple, y: tuple, slack: int = 64) -> float:
+def chain(p: np.ndarray, q: np.ndarray) -> int:
+    """The most pairs (p[i], q[i]) that can be kept so that both places increase; no place occurs twice in
+    p or in q. Pairs next to each other in both orders go together, so only blocks of them are searched."""
+    if not len(p):
+        return 0
+    rank = np.empty(len(q), np.int64)
+    rank[np.argsort(q)] = np.arange(len(q))
+    rank = rank[np.argsort(p)]
+    first = np.flatnonzero(np.diff(rank, prepend=-2) != 1)
+    ends, best = [], []  # last block of a chain and the chain's pairs, both ascending
+    for r, w in zip(rank[first].tolist(), np.diff(first, append=len(rank)).tolist()):
+        at = bisect_left(ends, r)
+        total = w + (best[at - 1] if at else 0)
+        worse = bisect_left(best, total + 1, at)
+        ends[at:worse], best[at:worse] = [r], [total]
+    return best[-1]
+
+
+def likeness(x: tuple, y: tuple) -> float:
     """Share of common anchors in the union (Jaccard) of two fingerprints, over all anchors. Common
-    anchors count if their places differ by about the median shift (``slack`` bytes); two
+    anchors count if they are on the longest chain that has the same order in both texts, whatever
+    was put in or taken out between them; the n-th occurrence of an anchor meets the n-th. Two
     empty texts are alike (1), an empty and another are not (0)."""
     (n, u, p), (m, v, q) = x, y
     if not n or not m:
         return float(n == m)
     at = np.minimum(np.searchsorted(v, u), m - 1)
     both = v[at] == u
-    if not both.any():
-        return 0.0
-    shift = q[at[both]] - p[both]
-    return float((np.abs(shift - np.median(shift)) <= slack).sum() / (n + m - len(shift)))
+    return float(chain(p[both], q[at[both]]) / (n + m - both.sum()))
 
 
 _COLUMNS = [("n_chars", pa.int64()), ("edited_sha256", pa.string()), ("fingerprint", pa.string()), ("edited_fingerprint", pa.string()), ("near_edited", pa.float64()), ("near_next", pa.float64())]

@@ -169,6 +169,26 @@ def test_syncmers_keep_all_anchors_of_long_texts():
         assert n == x[0] and (v == x[1]).all() and (p == x[2]).all()
 
 
+def test_syncmers_follow_insertions():
+    a, more = words(1, 1000), words(2, 200)
+    text, put_in = " ".join(a), " ".join(more)[:300]
+    half = len(" ".join(a[:500]))
+    edits = [text[:half] + " " + put_in + text[half:], text[:half] + text[half + 300 :], put_in + text[: half // 2] + put_in[::-1] + text[half // 2 :]]
+    x, *near = syncmer.fingerprints([text, *edits])
+    for y in near:
+        common = len(np.intersect1d(x[1], y[1]))
+        assert syncmer.likeness(x, y) == pytest.approx(common / (x[0] + y[0] - common), abs=0.01) and common > 0.9 * x[0]
+    swapped = syncmer.fingerprints([" ".join(a[700:] + a[:700])])[0]
+    assert 0.6 < syncmer.likeness(x, swapped) < 0.75
+    rng = np.random.default_rng(0)
+    for n in (0, 1, 2, 7, 30):
+        p, q = rng.permutation(50)[:n], rng.permutation(50)[:n]
+        longest = {}
+        for i in np.argsort(p):
+            longest[i] = 1 + max((k for j, k in longest.items() if q[j] < q[i]), default=0)
+        assert syncmer.chain(p, q) == max(longest.values(), default=0)
+
+
 def test_chat(spark):
     rows = [(1, 0, "user", "hi"), (1, 1, "bot", "yo"), (2, 0, "user", "hi"), (3, 0, "user", "hi"), (3, 1, "bot", "yo"), (4, 0, None, None), (None, 0, "user", "alone")]
     df = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")
