@@ -1,5 +1,5 @@
 """A training corpus from documents: toxic texts go, near copies go, benchmark passages go, the
-rest is mixed to target weights and dealt into shards. Each stage is written as Parquet and reread."""
+rest is mixed to target weights and dealt into shards, whose slots keep the order of the mix. Each stage is written as Parquet and reread."""
 
 from __future__ import annotations
 
@@ -22,11 +22,11 @@ def leaks_out(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return mixing.in_mixed_order(docs)
+    return mixing.in_mixed_order(docs, position=mixing.POSITION)
 
 
 def shard(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return kdshard.sharded(docs, 40)
+    return kdshard.sharded(docs, 40, order=mixing.POSITION if mixing.POSITION in docs.columns else None)
 
 
 STAGES = [("toxicity", toxic_out), ("near_duplicates", copies_out), ("decontamination", leaks_out), ("mixing", mix), ("sharding", shard)]

@@ -95,17 +95,24 @@ def crc_mod(n: int):
     return F.crc32(F.col("doc_id").cast("string").cast("binary")) % n
 
 
-def with_positions(df: DataFrame, key: str, order: list[str], out: str, rows_per_bucket: int = 50_000, least: int = 64) -> DataFrame:
+def with_positions(df: DataFrame, key: str, order: list[str], out: str, rows_per_bucket: int = 50_000, least: int = 64, ranges: bool = False) -> DataFrame:
     """Adds ``out``: gapless positions from 0 within each ``key`` (no nulls in it).
+    They follow a hash of ``order``; with ``ranges``, whose order[0] is a whole number from 0 that hardly two rows
+    share, they follow ``order`` itself.
 
     Rows of a key are dealt into hash buckets, numbered inside the bucket and
     shifted by the bucket's offset, so a hot key is never sorted in one task. The
     broadcast table has one row per (key, bucket), a number that the code computes
     from the row count: rows / rows_per_bucket + keys * least. ``df`` is read
     twice and should be cheap to read."""
-    top = df.groupBy(key).count().agg(F.max("count")).first()[0] or 0
-    buckets = max(least, -(-top // rows_per_bucket))
-    df = df.withColumn("_b", F.pmod(F.xxhash64(*order), F.lit(buckets)))
+    if ranges:
+        end = (df.agg(F.max(order[0])).first()[0] or 0) + 1
+        width = max(1, min(rows_per_bucket, -(-end // least)))
+        bucket = F.floor(F.col(order[0]) / width)
+    else:
+        top = df.groupBy(key).count().agg(F.max("count")).first()[0] or 0
+        bucket = F.pmod(F.xxhash64(*order), F.lit(max(least, -(-top // rows_per_bucket))))
+    df = df.withColumn("_b", bucket)
     sizes = df.groupBy(key, "_b").agg(F.count("*").alias("_n"))
     w = Window.partitionBy(key).orderBy("_b").rowsBetween(Window.unboundedPreceding, -1)
     offsets = sizes.select(F.col(key).alias("_k"), F.col("_b").alias("_bb"), F.coalesce(F.sum("_n").over(w), F.lit(0)).alias("_off"))

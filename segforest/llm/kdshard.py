@@ -34,12 +34,12 @@ def _store(df: DataFrame, what: str) -> tuple[DataFrame, str]:
     return df.sparkSession.read.schema(df.schema).parquet(path), path
 
 
-def metadata(docs: DataFrame) -> DataFrame:
-    """doc_id, size, text_crc32, p (array of the dimensions' numbers), tie. A null text has no bytes, a
+def metadata(docs: DataFrame, order: str | None = None) -> DataFrame:
+    """doc_id, size, text_crc32, p (array of the dimensions' numbers), tie, and the column ``order`` as ``turn``. A null text has no bytes, a
     null source or lang the smallest number, a null doc_id place 0. Columns source and lang may be missing."""
     have = {c.lower() for c in docs.columns}
     extra = {k: "string" for k in ("source", "lang") if k in have}
-    base, _ = pick(docs, {"doc_id": "long", "text": "string"} | extra)
+    base, _ = pick(docs, {"doc_id": "long", "text": "string"} | extra | ({order: "long"} if order else {}))
     ends = base.agg(F.min("doc_id").alias("a"), F.max("doc_id").alias("b")).first()
     text = F.coalesce(F.col("text"), F.lit("")).cast("binary")
     top = float((1 << DIM_BITS) - 1)
@@ -49,7 +49,7 @@ def metadata(docs: DataFrame) -> DataFrame:
     p = F.array(*[F.least(F.greatest(F.floor(d * top), F.lit(0)), F.lit(int(top))).cast("long") for d in dims])
     # the row number only tells repeated rows apart
     tie = F.crc32(text) * F.lit(1 << 28) + F.pmod(F.xxhash64("doc_id", F.monotonically_increasing_id()), F.lit(1 << 28))
-    return base.select("doc_id", size.alias("size"), F.crc32(text).alias("text_crc32"), p.alias("p"), tie.alias("tie"))
+    return base.select("doc_id", size.alias("size"), F.crc32(text).alias("text_crc32"), p.alias("p"), tie.alias("tie"), *([F.col(order).alias("turn")] if order else []))
 
 
 def _crossing(rows: DataFrame, bucket, goal: str) -> list:
@@ -117,14 +117,16 @@ def kd_tree(rows: DataFrame, leaves: int, tolerance: float = 0.0005) -> DataFram
     return rows.join(F.broadcast(names), F.col("node") == F.col("_n")).drop("_n", "node")
 
 
-def sharded(docs: DataFrame, shards: int | None = 40, target_bytes: int | None = None) -> DataFrame:
+def sharded(docs: DataFrame, shards: int | None = 40, target_bytes: int | None = None, order: str | None = None) -> DataFrame:
     """doc_id, size, text_crc32, shard, slot of each row of ``docs`` (doc_id, text; source and lang if it has them).
     Give the number of ``shards``, or ``target_bytes`` (with shards=None) for the least number of shards with that
-    mean size. size is the text's UTF-8 bytes (null: 0) plus 16; slots count from 0 without gaps. An empty
+    mean size. size is the text's UTF-8 bytes (null: 0) plus 16; slots count from 0 without gaps, in the order of
+    a hash or, with ``order``, of that column (whole numbers from 0, one a row, such as places in a mix). An empty
     table gives an empty result."""
-    rows = metadata(docs)
+    rows = metadata(docs, order)
     if shards is None:
         rows, _ = _store(rows, "kd-metadata")
         shards = max(1, -(-(rows.agg(F.sum("size")).first()[0] or 0) // target_bytes))
     out, _ = _store(kd_tree(rows, shards), "kd-shards")
-    return with_positions(out.select("doc_id", "size", "text_crc32", "shard", "tie"), "shard", ["doc_id", "tie"], "slot").drop("tie")
+    by = ["turn"] if order else []
+    return with_positions(out.select("doc_id", "size", "text_crc32", "shard", "tie", *by), "shard", [*by, "doc_id", "tie"], "slot", ranges=bool(order)).drop("tie", *by)

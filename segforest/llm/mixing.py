@@ -23,6 +23,8 @@ from pyspark.sql import functions as F
 from ._common import pick, restored, with_positions
 
 OTHER = "(other)"
+#: The column that carries a row's place in the mix to later stages.
+POSITION = "mix_position"
 
 
 def whole_weights(weights: dict[str, float], total: int = 1000) -> dict[str, int]:
@@ -121,8 +123,15 @@ def mixed(docs: DataFrame, weights: dict[str, float] | None = None, block_rows:
     return x.select(*names, release.alias("release"), deadline.alias("deadline"), (turn + F.col("_qat")).alias("slot"))
 
 
-def in_mixed_order(docs: DataFrame, **how) -> DataFrame:
+def in_mixed_order(docs: DataFrame, block_rows: int = 64, position: str | None = None, **how) -> DataFrame:
     """The rows of ``docs``, all of them with their columns, laid out by slot: written as
-    files and read in file order, they come in the mix's order."""
+    files and read in file order, they come in the mix's order. ``position`` names one more column, slot *
+    block_rows + place, by which later stages can keep that order; a column of that name is replaced."""
+    if position is not None:
+        docs = docs.drop(position)
     _, inner = pick(docs, {"doc_id": "long", "source": "string"}, rest=True)
-    return restored(mixed(docs, rest=True, **how).repartitionByRange("slot", "place").sortWithinPartitions("slot", "place"), inner, docs)
+    x = mixed(docs, rest=True, block_rows=block_rows, **how).repartitionByRange("slot", "place").sortWithinPartitions("slot", "place")
+    if position is None:
+        return restored(x, inner, docs)
+    at = (F.col("slot") * block_rows + F.col("place")).alias("_at")
+    return restored(x.select(*inner, at), [*inner, "_at"], docs.withColumn(position, F.lit(0)))

@@ -111,6 +111,23 @@ def test_held_out_accuracy(spark):
     assert share(said, lambda r: r.lang_pred == lang[r.doc_id]) > 0.95
 
 
+def test_shards_keep_the_mix(spark):
+    """Slots of a shard follow the mix, and its prefixes hold the target weights: sources of 4900 and 100 rows weigh 70 to 10."""
+    docs = spark.range(5000).selectExpr("id as doc_id", "'text' as text", "'en' as lang", "if(id % 50 = 7, 'few', 'many') as source", "4L as n_chars")
+    mix = {r.doc_id: (r.slot, r.place, r.phase, r.source) for r in corpus_pipeline.mixing.mixed(docs).collect()}
+    shards = {}
+    for r in corpus_pipeline.shard(spark, corpus_pipeline.mix(spark, docs, DATA), DATA).collect():
+        shards.setdefault(r.shard, []).append((r.slot, mix[r.doc_id]))
+    assert len(shards) == 40
+    early = []
+    for rows in shards.values():
+        rows = [m for _, m in sorted(rows)]
+        assert rows == sorted(rows)
+        early += [m[3] for m in rows if m[2] == 0]
+    # in the first phase, before a source ends, each has its weight but for one block
+    assert abs(early.count("few") - len(early) / 8) <= 64 and early.count("few") > 0.9 * 100 and len(early) < 2500
+
+
 @pytest.mark.parametrize("name,stage", corpus_pipeline.STAGES)
 def test_stages_with_odd_and_empty_tables(spark, name, stage):
     base = documents(spark)
