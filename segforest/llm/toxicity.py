@@ -31,12 +31,19 @@ LOOKS_LIKE = {
     "@": "a", "$": "s", "!": "il", "|": "il", "+": "t", "(": "c", "€": "e", "£": "l", "¥": "y", "µ": "u", "*": "aeiou",
 }
 _LEET = "".join(re.escape(c) for c in LOOKS_LIKE)
-_SEPARATORS = r"[ .\-_*/~,]"
-_SPACED = re.compile(rf"(?<![^\W_])[^\W_](?:{_SEPARATORS}{{1,2}}[^\W_]){{3,}}(?![^\W_])")
+#: What may stand between spaced characters, in any length. "*" and "|" are separators and look-alikes: between characters the
+#: decoder chooses, at the start they are characters.
+_SEPARATORS = r"\s.\-_*/~,|"
+_SYMBOLS = "".join(re.escape(c) for c in LOOKS_LIKE if not c.isalnum() and c not in "*|")
+_CHAR = rf"(?:[^\W_]|[{_SYMBOLS}])"
+_SPACED = re.compile(rf"(?<![^\W_])(?:({_CHAR})(?:\1\1+)?|[*|])(?:[{_SEPARATORS}]+({_CHAR})(?:\2\2+)?){{2,}}(?<!!)(?![^\W_])")
+_REPEATED = re.compile(rf"({_CHAR})\1*(?:[{_SEPARATORS}]+\1+){{2,}}")
 _SUSPECT = re.compile(rf"[^\W\d_][{_LEET}]|[{_LEET}][^\W\d_]|([^\W\d_])\1\1", re.I)
 _TAIL = re.compile(r"[!.,;:?)*&%#\]}\"']+$|\${3,}$")
 #: Texts that match neither have nothing to restore.
-_GATE = rf"\pL[{_LEET}]|[{_LEET}]\pL|" + "|".join(f"(?i:{c}{c}{c})" for c in "abcdefghijklmnopqrstuvwxyzàâäáãçèéêëíìîïñóòôöúùûüß") + rf"|(?:^|[^\pL\pN])[\pL\pN](?:{_SEPARATORS}{{1,2}}[\pL\pN]){{3,}}(?:[^\pL\pN]|$)"
+_GATE = rf"\pL[{_LEET}]|[{_LEET}]\pL|" + "|".join(f"(?i:{c}{c}{c})" for c in "abcdefghijklmnopqrstuvwxyzàâäáãçèéêëíìîïñóòôöúùûüß")
+_UNIT = rf"(?:[\pL\pN{_SYMBOLS}]|" + "|".join(f"{re.escape(c)}{{3,}}" for c in LOOKS_LIKE) + ")"
+_GATE += rf"|(?:^|[^\pL\pN])(?:{_UNIT}|[*|])(?:[{_SEPARATORS}\pZ\x0b\x1c-\x1f\x{{85}}]+{_UNIT}){{2,}}(?:[^\pL\pN]|$)"
 # Channel costs in nats: a substitution, a symbol that stands for itself, a run shortened to one or two, a separator kept or dropped.
 SUBSTITUTE, ITSELF, TO_ONE, TO_TWO, KEEP_GAP, DROP_GAP = 1.0, 6.0, 1.0, 1.5, 4.0, 0.5
 
@@ -171,9 +178,20 @@ class Restorer:
         return out + w[len(core) :]
 
     def _spaced(self, m: re.Match) -> str:
+        """The reading of a spaced run; without a letter it stays as it is."""
+        if not any(c.isalpha() for c in m[0]):
+            return m[0]
         lattice = []
-        for part in re.finditer(r"[^\W_]|[\W_]+", m[0]):
-            lattice += _letters(part[0]) if len(part[0]) == 1 and part[0].isalnum() else [[("", DROP_GAP * len(part[0])), (" ", KEEP_GAP / len(part[0]))]]
+        run = _REPEATED.sub(lambda r: r[1] * 3, m[0].lower())
+        for part in re.finditer(rf"({_CHAR})\1*|[{_SEPARATORS}]+", run):
+            gap, n = part[0], len(part[0])
+            if part[1]:
+                lattice += _letters(gap)
+            elif part.start() == 0:
+                lattice.append([(" ", KEEP_GAP), *((x, SUBSTITUTE) for x in LOOKS_LIKE[gap[0]])])
+            else:
+                both = {x for c in gap if c in LOOKS_LIKE for x in LOOKS_LIKE[c]}
+                lattice.append([("", DROP_GAP * n), (" ", KEEP_GAP / n), *((x, SUBSTITUTE + DROP_GAP * (n - 1)) for x in sorted(both))])
         return self.model.decode(lattice)
 
     def text(self, t: str) -> str:

@@ -130,6 +130,16 @@ def test_models(spark, odd, empty):
         assert make(docs, labels(spark)).count() == 400 and make(empty, lab).count() == 0 and make(odd[0], lab).count() == len(odd[1])
 
 
+def test_hidden_words_with_several_tricks(spark):
+    base = "good calm tree river stone light bird cloud you stupid idiot ass "
+    docs = spark.createDataFrame([(1, base * 50)], "doc_id long, text string")
+    r = toxicity.Restorer(toxicity.CharModel(toxicity.trigram_counts(docs)))
+    read = {"$ t u p ! d": "stupid", "i d ! o t": "idiot", "I d 1 0 t": "idiot", "i\td\ti\to\tt": "idiot", "i   d   i   o   t": "idiot", "i|d|i|o|t": "idiot", "i\nd\ni\no\nt": "idiot", "i d i o o o o t": "idiot", "(i.d.!.o.t)!": " idiot)!", "s - t - u - p - 1 - d": "stupid", "i d | o t": "idiot", "i d i o t !": "idiot !", "i d i 000 t": "idiot", "a s s": "ass", "a $ $": "ass", "@.s.s": "ass"}
+    assert r.texts(pa.array([f"bird {t} tree" for t in read])) == [f"bird {t} tree" for t in read.values()]
+    plain = ["tree 1 2 3 4", "calm river stone - 5 / 6 / 7", "- - -", "* * *"]
+    assert r.texts(pa.array(plain)) == plain
+
+
 def test_code_lengths_by_hand():
     """One language that has seen "ab": order 0 counts a, b once each."""
     t = ppm.ContextTrees.of(["x"], 0, [{"l": np.array([0, 0]), "g": np.array([97, 98], np.uint64), "c": np.array([1, 1])}])
