@@ -41,7 +41,9 @@ BITS, SET_BITS = 512, 2048
 #: Star rounds at most; what they leave is compared in blocks, so the bound costs no link.
 MOST_ROUNDS = 8
 #: Members of one bucket that are compared with as many others in one group of rows.
-BLOCK = 256
+BLOCK = 512
+#: Tasks that share the members of one bucket.
+SALTS = 16
 
 
 def shingle_sets(column: pa.Array, n: int) -> tuple[np.ndarray, np.ndarray]:
@@ -120,9 +122,9 @@ WHOLE = [f"q{i}" for i in range(SET_BITS // 64)]
 
 
 def signatures(docs: DataFrame, shingle: int, samples: int, rows: int) -> DataFrame:
-    """One row for each row of ``docs``: _row (a number of its own), doc_id, n_shingles, s1 and s2 (128 bits
+    """One row for each row of ``docs``: _row (a number of its own), doc_id, t (a hash of the text), n_shingles, s1 and s2 (128 bits
     that name the set), sketch words k0.., bands (array of keys; empty for empty sets)."""
-    base = pick(docs, DOC)[0].withColumn("_row", F.monotonically_increasing_id())
+    base = pick(docs, DOC)[0].withColumn("_row", F.monotonically_increasing_id()).withColumn("t", F.xxhash64("text"))
     words = BITS // 64
 
     def run(batches):
@@ -141,9 +143,9 @@ def signatures(docs: DataFrame, shingle: int, samples: int, rows: int) -> DataFr
                 h = mix(h * np.uint64(0x9E3779B97F4A7C15) + values[:, j : bands * rows : rows].astype(np.uint64))
             ends = np.concatenate([[0], np.cumsum((size > 0) * bands)]).astype(np.int32)
             lists = pa.ListArray.from_arrays(pa.array(ends), pa.array(h.ravel().view(np.int64)))
-            yield pa.RecordBatch.from_arrays([col(s, "_row"), col(s, "doc_id"), pa.array(size), *map(pa.array, name), *(pa.array(sketch[:, i].copy()) for i in range(words)), lists], names=["_row", "doc_id", "n_shingles", "s1", "s2", *(f"k{i}" for i in range(words)), "bands"])
+            yield pa.RecordBatch.from_arrays([col(s, "_row"), col(s, "doc_id"), col(s, "t"), pa.array(size), *map(pa.array, name), *(pa.array(sketch[:, i].copy()) for i in range(words)), lists], names=["_row", "doc_id", "t", "n_shingles", "s1", "s2", *(f"k{i}" for i in range(words)), "bands"])
 
-    return base.mapInArrow(run, "_row long, doc_id long, n_shingles long, s1 long, s2 long, " + ", ".join(f"k{i} long" for i in range(words)) + ", bands array<long>")
+    return base.mapInArrow(run, "_row long, doc_id long, t long, n_shingles long, s1 long, s2 long, " + ", ".join(f"k{i} long" for i in range(words)) + ", bands array<long>")
 
 
 def _differ(a: str, b: str, words: list[str]) -> Column:
@@ -161,9 +163,10 @@ def _near(a: str, b: str, per: int, bound: int | None) -> Column:
 
 
 def _sets(docs: DataFrame, wanted: DataFrame, shingle: int) -> DataFrame:
-    """rep, n_shingles, set (sorted distinct hashes, as signed numbers) and its sketch words q0.. of the representatives in ``wanted`` (rep, doc_id, s1, s2)."""
-    w = wanted.select("rep", F.col("doc_id").alias("w_id"), "s1", "s2")
-    j = pick(docs, DOC)[0].join(w, F.col("doc_id").eqNullSafe(F.col("w_id"))).select("rep", "s1", "s2", "text")
+    """rep, n_shingles, set (sorted distinct hashes, as signed numbers) and its sketch words q0.. of the representatives in ``wanted`` (rep, doc_id, t, s1, s2).
+    A text comes back by its doc_id and hash, so rows that share a doc_id, or have none, meet only their own text."""
+    w = wanted.select("rep", F.col("doc_id").alias("w_id"), F.col("t").alias("w_t"), "s1", "s2")
+    j = pick(docs, DOC)[0].join(w, F.col("doc_id").eqNullSafe(F.col("w_id")) & (F.xxhash64("text") == F.col("w_t"))).select("rep", "s1", "s2", "text")
 
     def run(batches):
         for s in pieces(batches):
@@ -254,10 +257,12 @@ def near_duplicates(docs: DataFrame, shingle: int = 5, threshold: float = 0.8, s
     # buckets of more than one representative; their members, with the smallest one
     member = reps.select("rep", F.explode("bands").alias("key"))
     leads = member.groupBy("key").agg(F.min("rep").alias("lead"), F.count("*").alias("n")).filter("n > 1").drop("n")
-    inside = written(member.join(leads, "key"), "buckets")
+    # a bucket's members meet its leader in SALTS tasks, as one bucket may hold a large group of near copies
+    dealt = leads.withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALTS - 1).cast("long"))))
+    inside = written(member.withColumn("salt", F.pmod(F.xxhash64("rep"), F.lit(SALTS))).join(dealt, ["key", "salt"]).drop("salt"), "buckets")
 
     bound, per = sketch_bound(threshold, samples), round(threshold * 100)
-    wanted = inside.select("rep").distinct().join(reps.select("rep", "doc_id", "s1", "s2"), "rep")
+    wanted = inside.select("rep").distinct().join(reps.select("rep", "doc_id", "t", "s1", "s2"), "rep")
     sets = written(_sets(docs, wanted, shingle), "sets")
     whole = sets.select("rep", "n_shingles", *WHOLE)
 
