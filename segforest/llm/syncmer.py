@@ -157,40 +157,46 @@ def _judged(ids: list, texts: list[str], following: list[str]) -> pa.RecordBatch
 _OUT = "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double"
 
 
-def edit_fingerprints(docs: DataFrame, rows_per_part: int = 5_000, slice_chars: int = 1 << 20) -> DataFrame:
+def _borders(ids: DataFrame, parts: int) -> list[int]:
+    """The greatest doc_id of each of at most ``parts`` ranges, descending; Spark's range exchange of the ids alone finds them."""
+    ranged = ids.filter("doc_id is not null").repartitionByRange(parts, F.desc("doc_id")).select(F.spark_partition_id().alias("p"), "doc_id")
+    return sorted((r.m for r in ranged.groupBy("p").agg(F.max("doc_id").alias("m")).collect()), reverse=True)
+
+
+def edit_fingerprints(docs: DataFrame, part_bytes: int = 8 << 20, slice_chars: int = 1 << 20) -> DataFrame:
     """doc_id, n_chars, edited_sha256, fingerprint, edited_fingerprint, near_edited, near_next.
 
     The edited text of a document replaces its last floor(n_chars / 3) code points by the
     first as many (or all) of the next document in descending doc_id; after the last
     comes the first. Null texts count as empty. Null doc_ids come last; equal doc_ids are ordered by
-    text. A single row is its own next.
+    text, and rows that are equal in both follow each other. A single row is its own next. Other columns are ignored.
 
-    Texts move once: rows are dealt into ranges of doc_id, and the first row of each range
-    goes to the range before it as well, as the next of its last row. The driver holds two ids a range."""
+    Texts move once: rows are dealt into ranges of doc_id of about ``part_bytes`` of text, and the first row of each range
+    goes to the range before it as well, as the next of its last row. Every task and the driver hold two ids a range, as they
+    hold something for each partition of any exchange."""
     spark = docs.sparkSession
     two, _ = pick(docs, DOC)
     two = two.withColumn("text", F.coalesce("text", F.lit("")))
-    count = two.count()
-    parts = max(1, -(-count // rows_per_part))
-    cuts = two.agg(F.percentile_approx("doc_id", [k / parts for k in range(1, parts)], 100 * parts)).first()[0] if parts > 1 else []
-    shared = spark.sparkContext.broadcast(np.unique(np.array(cuts or [], np.int64)))  # one id a range
+    parts = max(1, -(-(two.agg(F.sum(F.octet_length("text") + 16)).first()[0] or 0) // part_bytes))
+    heads = _borders(two.select("doc_id"), parts)[1:] if parts > 1 else []  # range k has the ids that k of these reach
+    parts, shared = len(heads) + 1, spark.sparkContext.broadcast(np.sort(np.array(heads, np.int64)))
 
     @F.pandas_udf("int")
     def place(ids: pd.Series) -> pd.Series:
-        """Ranges in descending order; null doc_ids are in the last."""
-        borders = shared.value
-        at = len(borders) - np.searchsorted(borders, ids.fillna(0).to_numpy(np.int64), "left")
-        return pd.Series(np.where(ids.isna(), len(borders), at).astype(np.int32))
+        """Ranges in descending order."""
+        return pd.Series((len(shared.value) - np.searchsorted(shared.value, ids.to_numpy(np.int64), "left")).astype(np.int32))
 
-    placed = two.withColumn("part", place("doc_id"))
-    heads = sorted((r.part, r.head) for r in placed.select("part", "doc_id").groupBy("part").agg(F.max("doc_id").alias("head")).collect())
+    # nulls stand below all ids, so they are in the last range
+    placed = two.withColumn("part", place(F.coalesce("doc_id", F.lit(-(1 << 63)))))
+    firsts = placed.select("part", "doc_id").groupBy("part").agg(F.max("doc_id").alias("head")).collect()
+    heads = sorted((r.part, r.head) for r in firsts)
     before = [(head, part, heads[k - 1][0]) for k, (part, head) in enumerate(heads)]
     guests = F.broadcast(spark.createDataFrame(before, "head long, head_part int, host int"))
     same = F.col("doc_id").eqNullSafe(F.col("head")) & (F.col("part") == F.col("head_part"))
     own = F.struct(F.col("part").alias("part"), F.lit(0).alias("guest"))
     also = F.struct(F.col("host").alias("part"), F.lit(1).alias("guest"))
     dealt = placed.join(guests, same, "left").select("doc_id", "text", F.explode(F.when(F.col("host").isNull(), F.array(own)).otherwise(F.array(own, also))).alias("at"))
-    dealt = dealt.select("doc_id", "text", "at.part", "at.guest").repartition(max(1, parts), "part")
+    dealt = dealt.select("doc_id", "text", "at.part", "at.guest").repartitionById(parts, "part")
     dealt = dealt.sortWithinPartitions("part", "guest", F.desc_nulls_last("doc_id"), "text")
 
     def run(batches):
