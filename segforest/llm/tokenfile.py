@@ -31,6 +31,8 @@ from ._common import DOC, col, pick, scratch, written
 SKIPPABLE, SEEKABLE, FOOTER = 0x184D2A5E, 0x8F92EAB1, 9
 #: Pieces whose ids a worker keeps, at about 200 bytes each.
 CACHE_PIECES = 1_000_000
+# Fixed value: a splitting pattern whose pieces hold no white space, and no letter beside a stop or comma.
+_WORDS_ONLY = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
 _ODD_SPACE = re.compile("[\x1c-\x1f]")
 _CLOSED = re.compile(r"([A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u00ff]+)([.,]*)")
 
@@ -48,23 +50,43 @@ class _Known(dict):
         return self.passing[piece]
 
 
+def cuts_at_space(settings: dict) -> bool:
+    """Whether a tokenizer's file says that white space always ends a token and has none itself: its normalizer works on single
+    words, its splitting pattern is _WORDS_ONLY, no added token has white space, and encoding is not random."""
+
+    def steps(part, inside):
+        return [] if part is None else [y for x in part[inside] for y in steps(x, inside)] if part["type"] == "Sequence" else [part]
+
+    space = {"type": "Replace", "pattern": {"Regex": r"\s+"}, "content": " "}
+    words = [x["type"] in ("NFC", "Lowercase") or x == space for x in steps(settings.get("normalizer"), "normalizers")]
+    split = steps(settings.get("pre_tokenizer"), "pretokenizers")
+    first = {"type": "Split", "pattern": {"Regex": _WORDS_ONLY}, "behavior": "Removed", "invert": True}
+    later = {"type": "ByteLevel", "add_prefix_space": False, "trim_offsets": True, "use_regex": False}
+    model = settings["model"]
+    whole = model["type"] == "BPE" and not model.get("dropout") and model.get("end_of_word_suffix") == "</w>" and not model.get("ignore_merges")
+    plain = not any(re.search(r"\s", t["content"]) or t["lstrip"] or t["rstrip"] for t in settings.get("added_tokens") or [])
+    return all(words) and split[:1] == [first] and split[1:] in ([], [later]) and whole and plain
+
+
 class Encoder:
     """Token ids of whole texts as bytes of ``width``-byte integers.
 
-    The tokenizer's pre-tokenizer never joins text across white space (which it drops), nor a
-    letter with a full stop or comma. So a text's ids are those of its pieces in order,
-    cut at white space, and a word's closing stops and commas are apart. Pieces repeat, so the
+    Where the tokenizer's file says that it never joins text across white space, which it drops (cuts_at_space()), a text's ids
+    are those of its pieces in order, cut at white space, and a word's closing stops and commas are apart. Pieces repeat, so the
     ids of CACHE_PIECES of them are kept; the others are encoded once a batch. A text with one of the four
     control characters that Python but not the tokenizer calls white space is encoded whole,
-    as is every text with ``by_piece=False``."""
+    as is every text of any other tokenizer, and with ``by_piece=False``."""
 
-    def __init__(self, path: str, width: int | None = None, by_piece: bool = True, special_as_text: bool = False):
+    def __init__(self, path: str, width: int | None = None, by_piece: bool | None = None, special_as_text: bool = False):
         from tokenizers import Tokenizer
 
         self.tok = Tokenizer.from_file(path)
         self.tok.encode_special_tokens = special_as_text
         self.width = width or (2 if self.tok.get_vocab_size() <= 1 << 16 else 4)
         self.kind = np.dtype(f"<u{self.width}")
+        if by_piece is None:
+            with open(path, encoding="utf-8") as f:
+                by_piece = cuts_at_space(json.load(f))
         self.by_piece, self.known = by_piece, _Known()
         vocab = self.tok.get_vocab()
         self.ends = np.zeros(max(vocab.values()) + 1, bool)
