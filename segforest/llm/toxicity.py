@@ -40,8 +40,8 @@ _SPACED = re.compile(rf"(?<![^\W_])(?:({_CHAR})(?:\1\1+)?|[*|])(?:[{_SEPARATORS}
 _REPEATED = re.compile(rf"({_CHAR})\1*(?:[{_SEPARATORS}]+\1+){{2,}}")
 _SUSPECT = re.compile(rf"[^\W\d_][{_LEET}]|[{_LEET}][^\W\d_]|([^\W\d_])\1\1", re.I)
 _TAIL = re.compile(r"[!.,;:?)*&%#\]}\"']+$|\${3,}$")
-#: Texts that match neither have nothing to restore.
-_GATE = rf"\pL[{_LEET}]|[{_LEET}]\pL|" + "|".join(f"(?i:{c}{c}{c})" for c in "abcdefghijklmnopqrstuvwxyzàâäáãçèéêëíìîïñóòôöúùûüß")
+#: Texts that do not match, and have no letter three times in a row (thrice()), have nothing to restore.
+_GATE = rf"\pL[{_LEET}]|[{_LEET}]\pL"
 _UNIT = rf"(?:[\pL\pN{_SYMBOLS}]|" + "|".join(f"{re.escape(c)}{{3,}}" for c in LOOKS_LIKE) + ")"
 _GATE += rf"|(?:^|[^\pL\pN])(?:{_UNIT}|[*|])(?:[{_SEPARATORS}\pZ\x0b\x1c-\x1f\x{{85}}]+{_UNIT}){{2,}}(?:[^\pL\pN]|$)"
 # Channel costs in nats: a substitution, a symbol that stands for itself, a run shortened to one or two, a separator kept or dropped.
@@ -81,6 +81,16 @@ def code_points(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
     return np.frombuffer(("\0" + "\0".join(texts)).encode("utf-32-le", "surrogatepass"), "<u4"), at
 
 
+def thrice(texts: list[str]) -> np.ndarray:
+    """Which texts have one letter of any alphabet, in either case, three times in a row."""
+    points, at = code_points(texts)
+    c = fold_table()[points]
+    hit = np.flatnonzero((c[2:] == c[1:-1]) & (c[1:-1] == c[:-2]) & (c[2:] != 0))
+    out = np.zeros(len(texts), bool)
+    out[np.searchsorted(at, hit, "right") - 1] = True
+    return out
+
+
 def trigram_counts(docs: DataFrame) -> np.ndarray:
     """Counts [SYMBOLS]*3 over the letters and word boundaries of all texts. A task sends
     at most SYMBOLS ** 3 rows; Spark sums them."""
@@ -201,8 +211,9 @@ class Restorer:
     def texts(self, column: pa.Array) -> list[str]:
         """All texts (null: empty), those that the gate finds rewritten."""
         column = column.fill_null("")
-        gate = pc.match_substring_regex(column, _GATE).to_numpy(zero_copy_only=False)
-        return [self.text(t) if g else t for t, g in zip(column.to_pylist(), gate)]
+        texts = column.to_pylist()
+        gate = pc.match_substring_regex(column, _GATE).to_numpy(zero_copy_only=False) | thrice(texts)
+        return [self.text(t) if g else t for t, g in zip(texts, gate)]
 
 
 def gram_hashes(texts: list[str], n: int = GRAM) -> tuple[np.ndarray, np.ndarray]:
@@ -340,7 +351,12 @@ def restored_texts(docs: DataFrame, model: ToxicityModel) -> DataFrame:
 
 
 def toxicity(docs: DataFrame, labels: DataFrame, per_class: int = 20_000) -> DataFrame:
-    """doc_id, held_out, score, predicted of every row; labels of held-out rows are not used."""
+    """doc_id, held_out, score, predicted of every row; labels of held-out rows are not used.
+
+    Each row is scored by its text alone: repeated rows and equal texts score alike, a null text scores as an empty one, of any
+    length the whole text counts. A null doc_id is not held out and no label is its. Of several labels of a doc_id the
+    largest counts. Columns other than doc_id and text are ignored, whatever their names; an empty table gives an
+    empty result, and without labels of both classes every text scores the share of label 1."""
     mine = (crc_mod(5) != 0) & F.col("doc_id").isNotNull()
     out = scored(docs, fit(docs, labels, mine, per_class))
     return out.select("doc_id", F.coalesce(crc_mod(5) == 0, F.lit(False)).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
