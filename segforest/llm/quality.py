@@ -113,10 +113,10 @@ def isotonic(x: np.ndarray, y: np.ndarray, weight: np.ndarray) -> tuple[np.ndarr
     return knots, np.clip(values, 0, 1)
 
 
-def fit(docs: DataFrame, labels: DataFrame, keep=None, per_class: int = 20_000, features: int = 384, width: float = 3.0, l2: float = 1e-4, seed: int = 5, partitions: int = 12) -> QualityModel:
+def fit(docs: DataFrame, labels: DataFrame, keep=None, per_class: int = 20_000, features: int = 384, width: float = 3.0, l2: float = 1e-4, seed: int = 5, partitions: int = 4) -> QualityModel:
     """Fits on at most ``per_class`` labelled rows of each class whose labels ``keep``
     allows, each class weighted to its share of all those labels. One row in five (by hash) calibrates.
-    Partitions send sums of (features + 1) ** 2 numbers, at most ``partitions`` of them. With labels of one
+    ``partitions`` partitions of the sample's statistics (few numbers a row) send sums of (features + 1) ** 2 numbers. With labels of one
     class only every text scores that class; with none 0.5."""
     rows, _ = pick(docs, DOC)
     keep = F.lit(True) if keep is None else keep
@@ -137,7 +137,7 @@ def fit(docs: DataFrame, labels: DataFrame, keep=None, per_class: int = 20_000,
     sample = rows.join(F.broadcast(chosen), "doc_id").select("label", part, "text").mapInArrow(stats, "label int, part int, x array<double>")
     from ._common import written
 
-    sample = written(sample, "quality-sample").coalesce(partitions)
+    sample = written(sample, "quality-sample").repartition(partitions)
     sizes = {r.label: r.n for r in sample.groupBy("label").agg(F.count("*").alias("n")).collect()}
     if not sizes.get(0) or not sizes.get(1):
         return flat
@@ -191,6 +191,10 @@ def scored(docs: DataFrame, model: QualityModel) -> DataFrame:
 
 
 def quality(docs: DataFrame, labels: DataFrame, threshold: float = 0.7, **how) -> DataFrame:
-    """doc_id, held_out, score, predicted of every row; labels of held-out rows are not used."""
+    """doc_id, held_out, score, predicted of every row; labels of held-out rows are not used.
+
+    Each row is scored by its whole text alone: repeated rows and equal texts score alike, a null text scores as an empty one
+    (all statistics 0). A null doc_id is not held out and no label is its. Of several labels of a doc_id the largest
+    counts. Columns other than doc_id and text are ignored, whatever their names; an empty table gives an empty result."""
     out = scored(docs, fit(docs, labels, F.coalesce(crc_mod(4) != 2, F.lit(False)), **how))
     return out.select("doc_id", F.coalesce(crc_mod(4) == 2, F.lit(False)).alias("held_out"), "score", (F.col("score") >= threshold).cast("int").alias("predicted"))
