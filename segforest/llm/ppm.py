@@ -231,6 +231,10 @@ def identified(docs: DataFrame, trees: ContextTrees) -> DataFrame:
 
 
 def language_id(docs: DataFrame, **how) -> DataFrame:
-    """doc_id, held_out, lang_pred, score; nothing is learned from held-out rows."""
+    """doc_id, held_out, lang_pred, score; nothing is learned from held-out rows.
+
+    Each row is judged by its whole text alone: repeated rows and equal texts get one answer, null texts and texts without a letter
+    ``und`` with score 0, of equal code lengths the first name wins. A null doc_id is not learned from and not held out. Columns
+    other than doc_id, text and lang are ignored, whatever their names; an empty table gives an empty result."""
     out = identified(docs, fit(docs, F.coalesce(crc_mod(4) != 2, F.lit(False)), **how))
     return out.select("doc_id", F.coalesce(crc_mod(4) == 2, F.lit(False)).alias("held_out"), "lang_pred", "score", "bits_per_byte")
