@@ -98,14 +98,15 @@ class Windows:
 
     words: list[tuple[bytes, ...]] = field(default_factory=list)
     items: list[list[int]] = field(default_factory=list)
-    item_ids: list[str] = field(default_factory=list)
+    item_ids: list[str | None] = field(default_factory=list)
 
     @classmethod
-    def of(cls, rows: list[tuple[str, str]], window: int) -> Windows:
+    def of(cls, rows: list[tuple[str | None, str]], window: int) -> Windows:
         out, known = cls(), {}
+        numbers: dict = {}
         for item_id, text in rows:
-            k = len(out.item_ids)
-            out.item_ids.append(item_id)
+            if (k := numbers.setdefault(item_id, len(out.item_ids))) == len(out.item_ids):
+                out.item_ids.append(item_id)
             w = Words.of(pa.array([text]))
             all_words = [w.text(i) for i in range(len(w.starts))]
             n = min(window, len(all_words))
@@ -114,7 +115,7 @@ class Windows:
                 if (j := known.setdefault(key, len(out.words))) == len(out.words):
                     out.words.append(key)
                     out.items.append([])
-                if not out.items[j] or out.items[j][-1] != k:
+                if k not in out.items[j][-1:]:
                     out.items[j].append(k)
         return out
 
@@ -209,7 +210,7 @@ def _blocks(benchmark: DataFrame, block_bytes: int):
     """Lists of (item_id, text) of at most ``block_bytes`` of text; the driver holds one at a
     time, and a single longer item is a block."""
     rows, held = [], 0
-    two = pick(benchmark, {"item_id": "string", "text": "string"})[0].select(F.coalesce("item_id", F.lit("")).alias("i"), F.coalesce("text", F.lit("")).alias("t"))
+    two = pick(benchmark, {"item_id": "string", "text": "string"})[0].select(F.col("item_id").alias("i"), F.coalesce("text", F.lit("")).alias("t"))
     for r in two.orderBy("i", "t").toLocalIterator():
         if rows and held + len(r.t) > block_bytes:
             yield rows
@@ -225,7 +226,8 @@ def contamination(docs: DataFrame, benchmark: DataFrame, window: int = 10, block
     ``docs`` follow under neutral names. One block needs no join; several merge by a row number.
 
     Words are lower-cased (A-Z) runs of digits, ASCII letters and bytes above 0x7F. Null and empty texts have
-    no words; items without words have no windows; an item with a null item_id goes by the id "".
+    no words; items without words have no windows. Rows that repeat an item_id are one item, and so are all rows with a null one, which
+    stands last in ``items`` and is written as nothing in digest().
     Rows with equal or null doc_ids each keep their own result."""
     base, inner = pick(docs, DOC, rest)
     carry = inner if rest else []
@@ -272,7 +274,7 @@ def _one_block(base: DataFrame, block: list[tuple[str, str]], window: int, carry
             spans, items = [[]] * s.num_rows, [[]] * s.num_rows
             for t, (ranges, which) in found.items():
                 spans[t] = [{"lo": lo, "hi": hi} for lo, hi in _merged(ranges)]
-                items[t] = sorted({m.w.item_ids[k] for k in which})
+                items[t] = sorted({m.w.item_ids[k] for k in which}, key=lambda i: (i is None, i or ""))
             arrays = [col(s, "doc_id"), pa.array(np.diff(w.first), pa.int64()), pa.array(spans, _ARROW.field("spans").type), pa.array(items, _ARROW.field("items").type)]
             yield pa.RecordBatch.from_arrays([*arrays, *(col(s, c) for c in carry)], names=[*_ARROW.names, *carry])
 
@@ -283,7 +285,7 @@ def _one_block(base: DataFrame, block: list[tuple[str, str]], window: int, carry
 def digest(found: DataFrame) -> DataFrame:
     """The contract's columns from contamination()'s."""
     hit = F.aggregate("spans", F.lit(0), lambda a, s: a + s["hi"] - s["lo"]).cast("long")
-    return found.select("doc_id", "n_words", hit.alias("n_hit"), F.size("items").cast("long").alias("n_items"), F.sha2(F.concat_ws(",", "items"), 256).alias("items_sha256"), (F.size("spans") > 0).alias("contaminated"))
+    return found.select("doc_id", "n_words", hit.alias("n_hit"), F.size("items").cast("long").alias("n_items"), F.sha2(F.array_join(F.array_sort(F.transform("items", lambda i: F.coalesce(i, F.lit("")))), ","), 256).alias("items_sha256"), (F.size("spans") > 0).alias("contaminated"))
 
 
 def clean(docs: DataFrame, benchmark: DataFrame, window: int = 10) -> DataFrame:
