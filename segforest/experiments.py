@@ -120,7 +120,9 @@ def q_observed_order(spark, d):
     return metrics.observed_order(x, ["method", "part"])
 
 
-@_q()
+@_q("""with r as (select *, case when b <= c then 0 else ceil(log2(b / c))::bigint end as depth from (select value / 100 as b from events), (select unnest([1.0, 0.5, 0.02])::double as c), (select unnest(['euler', 'rk4', 'gauss', 'simpson']) as method, unnest([1, 4, 2, 3]) as nodes)),
+  s as (select *, power(2.0, depth) as n, b / power(2.0, depth) as z from r)
+  select method, c, sum(nodes * (power(2, depth + 1) - 1) + 2 * nodes * n)::bigint as evals, max(depth) as depth, round(max(abs(exp(-b) - case method when 'euler' then power(1 - z, n) when 'rk4' then power(1 - z + z * z / 2 - z * z * z / 6 + z * z * z * z / 24, n) when 'gauss' then power((1 - z / 2 + z * z / 12) / (1 + z / 2 + z * z / 12), n) else exp(-b) end)), 8) as max_error from s group by method, c""")
 def q_adaptive_cost(spark, d):
     """Evaluations, depth and greatest error of the adaptive recursion by rule and threshold, on one medium an event."""
     x = _t(spark, d, "events").select(F.col("event_id").alias("id"), F.lit(0.0).alias("x1"), F.lit(1.0).alias("x2"), (F.col("value") / 100).alias("b0"), F.lit(0.0).alias("z"), F.lit(1.0).alias("g0"))
@@ -128,7 +130,7 @@ def q_adaptive_cost(spark, d):
     for method in ("euler", "rk4", "gauss", "simpson"):
         for c in (1.0, 0.5, 0.02):
             y = quadrature.adaptive(x, method, c, ["b0", "z", "g0", "z"]).join(x.select("id", "b0"), "id")
-            row = y.agg(F.lit(method).alias("method"), F.lit(c).alias("c"), F.sum("evals").alias("evals"), F.max("depth").alias("depth"), F.max(F.abs(F.col("a") - F.exp(-F.col("b0")))).alias("max_error"))
+            row = y.agg(F.lit(method).alias("method"), F.lit(c).alias("c"), F.sum("evals").alias("evals"), F.max("depth").alias("depth"), _r(F.max(F.abs(F.col("a") - F.exp(-F.col("b0")))), 8).alias("max_error"))
             out = row if out is None else out.unionByName(row)
     return out
 
@@ -167,15 +169,6 @@ def q_map_point(spark, d):
     return x.select("c_custkey", *[_r(surface.on_patch(F.col("s"), F.col("t"), a)).alias(n) for a, n in enumerate("xy")])
 
 
-@_q(f"""select r_regionkey as inst, tree, round(x00 - 2.5 - 0.2 * r_regionkey, 6) as cx, round(y00 - 2.5, 6) as cy, round(z00 + 2.0, 6) as cz from {_TREES} cross join region""")
-def q_to_camera(spark, d):
-    """One control point of every tree in every camera's frame: trees and cameras are few, elements are not touched."""
-    r = F.broadcast(_t(spark, d, "region").select(F.col("r_regionkey").alias("inst")))
-    x = _nation_trees(spark, d).join(r)
-    p = lambda a: F.element_at("p00", a)
-    return x.select("inst", "tree", _r(p(1) - 2.5 - 0.2 * F.col("inst")).alias("cx"), _r(p(2) - 2.5).alias("cy"), _r(p(3) + 2.0).alias("cz"))
-
-
 @_q(f"select p_partkey, round((0.3 * cx + 0.5 * cy + 0.8 * (cz + 1)) / 0.8, 6) as alpha from {_SPH}")
 def q_hit_plane(spark, d):
     """A ray along z from (0, 0, -1) and the plane through each sphere's centre with normal (0.3, 0.5, 0.8)."""
@@ -209,13 +202,21 @@ def q_hit_bilinear(spark, d):
 _N = 32
 _CAMS = pipeline.front_cameras(2, _N)
 _BOX = ", ".join(f"({' + '.join(f'(((key >> {3 * i + a}) & 1) << {i})' for i in range(TOP))}) / 1024.0 as {c}0" for a, c in enumerate("xyz"))
-_CULLED = _LEAVES + f""", k as (select level, p << (3 * ({TOP} - level))::int as key, n from leaf), b as (select *, {_BOX}, power(2.0, -level) as e from k),
-  c as (select inst.inst::int as inst, b.*, x0 - (0.5 + 0.2 * inst.inst::double) as lx, x0 + e - (0.5 + 0.2 * inst.inst::double) as hx, y0 - (0.5 - 0.1 * inst.inst::double) as ly, y0 + e - (0.5 - 0.1 * inst.inst::double) as hy, greatest(z0 + 2.0, 1.0) as za, least(z0 + e + 2.0, 100.0) as zb from b, range(2) inst(inst)),
-  r as (select *, greatest(ceil(15.5 + lx / (case when lx >= 0 then zb else za end) * {_N}), 0)::bigint as i0, least(floor(15.5 + hx / (case when hx >= 0 then za else zb end) * {_N}), {_N - 1})::bigint as i1,
-    greatest(ceil(15.5 + ly / (case when ly >= 0 then zb else za end) * {_N}), 0)::bigint as j0, least(floor(15.5 + hy / (case when hy >= 0 then za else zb end) * {_N}), {_N - 1})::bigint as j1 from c where za < zb),
+
+
+def _culled(n: int, boxes: str = f"select level, p << (3 * ({TOP} - level))::int as key, n from leaf", head: str | None = None, cams: int = 2) -> str:
+    """CTEs of culling for cameras of n x n pixels over boxes (level, key)."""
+    m = (n - 1) / 2
+    return (_LEAVES + "," if head is None else head) + f""" k as ({boxes}), b as (select *, {_BOX}, power(2.0, -level) as e from k),
+  c as (select inst.inst::int as inst, b.*, x0 - (0.5 + 0.2 * inst.inst::double) as lx, x0 + e - (0.5 + 0.2 * inst.inst::double) as hx, y0 - (0.5 - 0.1 * inst.inst::double) as ly, y0 + e - (0.5 - 0.1 * inst.inst::double) as hy, greatest(z0 + 2.0, 1.0) as za, least(z0 + e + 2.0, 100.0) as zb from b, range({cams}) inst(inst)),
+  r as (select *, greatest(ceil({m} + lx / (case when lx >= 0 then zb else za end) * {n}), 0)::bigint as i0, least(floor({m} + hx / (case when hx >= 0 then za else zb end) * {n}), {n - 1})::bigint as i1,
+    greatest(ceil({m} + ly / (case when ly >= 0 then zb else za end) * {n}), 0)::bigint as j0, least(floor({m} + hy / (case when hy >= 0 then za else zb end) * {n}), {n - 1})::bigint as j1 from c where za < zb),
   v as (select *, (i1 - i0 + 1) * (j1 - j0 + 1) as npix from r where i0 <= i1 and j0 <= j1)"""
 
 
+_CULLED = _culled(_N)
+
+
 def _visible(spark, d):
     return pipeline.visible_leaves(_leaves(spark, d), _CAMS, TOP)
 
@@ -285,20 +286,31 @@ def _route_check(spark, d):
     return routing.false_pairs(sent, routing.receivers(spark, forest.markers(o), _CAMS, 3, TOP))
 
 
-_CELL = _CULLED + f""", g as (select v.*, i, j, {' + '.join(f'(((i >> {k}) & 1) << {2 * k}) + (((j >> {k}) & 1) << {2 * k + 1})' for k in range(5))} as pix, (i - 15.5) / {_N}.0 as dx, (j - 15.5) / {_N}.0 as dy from v, range({_N}) a(i), range({_N}) b(j) where i between i0 and i1 and j between j0 and j1),
+def _cell(n: int, culled: str | None = None) -> str:
+    """CTEs of rendering: the way of every ray through every visible box."""
+    m = (n - 1) / 2
+    return (culled or _culled(n)) + f""", g as (select v.*, i, j, {' + '.join(f'(((i >> {k}) & 1) << {2 * k}) + (((j >> {k}) & 1) << {2 * k + 1})' for k in range(6))} as pix, (i - {m}) / {n}.0 as dx, (j - {m}) / {n}.0 as dy from v, range({n}) a(i), range({n}) b(j) where i between i0 and i1 and j between j0 and j1),
   h as (select *, greatest(least(lx / dx, hx / dx), least(ly / dy, hy / dy), z0 + 2.0, 1.0) as zi, least(greatest(lx / dx, hx / dx), greatest(ly / dy, hy / dy), z0 + e + 2.0, 100.0) as zo from g), cell as (select * from h where zi < zo)"""
 
 
+_CELL = _cell(_N)
+
+
 @_q(_CELL + " select inst, pix, level, key, round(zi, 6) as z_in, round(zo, 6) as z_out from cell where zo - zi > 1e-9")
 def q_render_cells(spark, d):
     x = pipeline.render(_visible(spark, d).withColumn("beta", F.lit(1.0)).withColumn("gamma", F.lit(1.0)), _CAMS)
     return x.filter("z_out - z_in > 1e-9").select("inst", "pix", F.col("level").cast("bigint").alias("level"), "key", _r("z_in").alias("z_in"), _r("z_out").alias("z_out"))
 
 
-@_q(_CELL + f""", m as (select leaf.level, leaf.p << (3 * ({TOP} - leaf.level))::int as key, avg(label) / 3.0 + 0.5 as beta, avg(label / 9.0) as gamma from p join embeddings using (vec_id) join leaf on p.key >> (3 * ({TOP} - leaf.level))::int = leaf.p group by 1, 2),
+def _image(n: int) -> str:
+    """Pixels of the scene with constant media, folded."""
+    return _cell(n) + f""", m as (select leaf.level, leaf.p << (3 * ({TOP} - leaf.level))::int as key, avg(label) / 3.0 + 0.5 as beta, avg(label / 9.0) as gamma from p join embeddings using (vec_id) join leaf on p.key >> (3 * ({TOP} - leaf.level))::int = leaf.p group by 1, 2),
   s as (select cell.*, exp(-beta * sqrt(dx * dx + dy * dy + 1) * (zo - zi)) as a, gamma / beta * (1 - exp(-beta * sqrt(dx * dx + dy * dy + 1) * (zo - zi))) as b from cell join m using (level, key)),
   f as (select *, exp(coalesce(sum(ln(a)) over (partition by inst, pix order by zi, key rows between unbounded preceding and 1 preceding), 0)) as t from s)
-  select inst, pix >> 8 as tile, pix, round(exp(sum(ln(a))), 6) as a, round(sum(t * b), 6) as b from f group by inst, pix""")
+  select inst, pix >> 8 as tile, pix, round(exp(sum(ln(a))), 6) as a, round(sum(t * b), 6) as b from f group by inst, pix"""
+
+
+@_q(_image(_N))
 def q_render_image(spark, d):
     """The whole pipeline, two cameras, two condense cycles."""
     return pipeline.render_pipeline(_scene(spark, d), _CAMS, TOP).select("inst", "tile", "pix", _r("a").alias("a"), _r("b").alias("b"))
@@ -316,7 +328,8 @@ def q_condense_ratio(spark, d):
     return out
 
 
-@_q()
+@_q(_CELL + """, n as (select 'leaves' as stage, count(*) as segments, count(*) as elements from leaf union all select 'visible', count(*), count(distinct key) from v union all select 'rendered', count(*), count(distinct key) from cell
+  union all select 'condensed_' || c.c, count(distinct (inst, pix, key >> (3 * c.c)::int)), count(distinct key >> (3 * c.c)::int) from cell, (select unnest([4, 8]) as c) c group by c.c) select *, segments * 48 as bytes from n""")
 def q_phase_counts(spark, d):
     """Segments, elements and bytes after each stage: all, visible, rendered, condensed."""
     leaves = forest.cut(_scene(spark, d))
@@ -325,21 +338,21 @@ def q_phase_counts(spark, d):
     return metrics.reduction({"leaves": leaves, "visible": seen, "rendered": raw, "condensed_4": pipeline.condense(raw, TOP, 4), "condensed_8": pipeline.condense(raw, TOP, 8)})
 
 
-@_q()
+@_q(_cell(48, _culled(48, "select 5 as level, range << 15 as key from range(32768)", "with", 1)) + " select 'cycle_' || c.c as stage, count(distinct (pix, key >> (15 + 3 * c.c)::int)) as segments, count(distinct key >> (15 + 3 * c.c)::int) as elements, 48 * count(distinct (pix, key >> (15 + 3 * c.c)::int)) as bytes from cell, range(4) c(c) where zo - zi > 1e-9 group by c.c")
 def q_condense_uniform(spark, d):
     """On a uniform mesh, each cycle leaves an eighth of the elements and about half of the segments."""
     cams = pipeline.front_cameras(1, 48)
     leaves = forest.uniform(spark, 1, 5, 5).withColumn("beta", F.lit(1.0)).withColumn("gamma", F.lit(1.0))
-    raw = forest.cut(pipeline.render(pipeline.visible_leaves(leaves, cams, 5), cams))
+    raw = forest.cut(pipeline.render(pipeline.visible_leaves(leaves, cams, 5), cams).filter("z_out - z_in > 1e-9"))  # rays along faces
     return metrics.reduction({"cycle_0": raw} | {f"cycle_{c}": pipeline.condense(raw, 5, c) for c in (1, 2, 3)})
 
 
-@_q()
+@_q(_CELL + ", s as (select inst, level, key, count(*) as segments from cell group by 1, 2, 3) select round(corr(npix, segments), 6) as correlation, count(*) as leaves from v join s using (inst, level, key)")
 def q_work_linear(spark, d):
     """How far segments follow pixels of a leaf: correlation (near 1) over visible leaves."""
     v = _visible(spark, d).withColumn("beta", F.lit(1.0)).withColumn("gamma", F.lit(1.0))
     s = pipeline.render(v, _CAMS).groupBy("inst", "tree", "level", "key").agg(F.count("*").alias("segments"))
-    return v.join(s, ["inst", "tree", "level", "key"]).agg(F.corr("npix", "segments").alias("correlation"), F.count("*").alias("leaves"))
+    return v.join(s, ["inst", "tree", "level", "key"]).agg(_r(F.corr("npix", "segments")).alias("correlation"), F.count("*").alias("leaves"))
 
 
 @_q(_LEAVES + f" select level, p << (3 * ({TOP} - level))::int as key, n from leaf order by n desc, key limit 10")
@@ -372,7 +385,23 @@ def _fractal_cams():
     return [pipeline.Camera(i, (-0.5, 0.0, 0.0), (0.0, 0.0, 1.0), (1.0, 0.0, 0.0), (0.0, 1.0, 0.0), _FN, _FN, 0.8 / _FN) for i in (0, 1)]
 
 
-@_q()
+def _quad(c: int) -> str:
+    """One coordinate (0 or 1) of the place (s, t) of both trees of the hexagon."""
+    by = {t: [p[c] for p in q] for t, *q in surface.HEXAGON}
+    w = ["(1 - s) * (1 - t)", "s * (1 - t)", "(1 - s) * t", "s * t"]
+    return "case tree " + " ".join(f"when {t} then " + " + ".join(f"{a} * {v}" for a, v in zip(w, q)) for t, q in by.items()) + " end"
+
+
+@_q(f"""with recursive v as (select tree, i, j, {_quad(0)} as cr, {_quad(1)} as ci from (select tree::int as tree, i, j, i / 64.0 as s, j / 64.0 as t from range(2) a(tree), range(65) b(i), range(65) c(j))),
+  z as (select tree, i, j, cr, ci, 0.0::double as x, 0.0::double as y, 0 as n, false as out from v union all select tree, i, j, cr, ci, case when x * x + y * y > 4 then x else x * x - y * y + cr end, case when x * x + y * y > 4 then y else 2 * x * y + ci end, n + 1, x * x + y * y > 4 from z where n < 30),
+  st as (select tree, i, j, sum(case when n > 0 and not out then 1 else 0 end) as n from z group by 1, 2, 3),
+  node as (select a.tree, l.level::int as level, x.x, y.y, (64 >> l.level::int) as e from range(2) a(tree), range(2, 6) l(level), range(32) x(x), range(32) y(y) where x.x < (1 << l.level::int) and y.y < (1 << l.level::int)),
+  d as (select node.tree, level, x, y, min(n) < max(n) as differ from node join st on st.tree = node.tree and st.i in (x * e, (x + 1) * e) and st.j in (y * e, (y + 1) * e) group by 1, 2, 3, 4),
+  s0 as (select tree, level, x, y from d where differ and not exists (select 1 from d u where u.tree = d.tree and u.level < d.level and u.x = d.x >> (d.level - u.level) and u.y = d.y >> (d.level - u.level) and not u.differ)),
+  up as (select a.tree, l.level::int as level, x.x, y.y from range(2) a(tree), range(2) l(level), range(2) x(x), range(2) y(y) where x.x < (1 << l.level::int) and y.y < (1 << l.level::int)),
+  split as (select * from s0 union select * from up union select tree, level - 1, (x + i.i) >> 1, (y + j.j) >> 1 from split, range(-1, 2) i(i), range(-1, 2) j(j) where level > 0 and x + i.i between 0 and (1 << level) - 1 and y + j.j between 0 and (1 << level) - 1),
+  kid as (select tree, level + 1 as level, 2 * x + i.i as x, 2 * y + j.j as y from split, range(2) i(i), range(2) j(j))
+  select tree::int as tree, level, count(*) as leaves, 4096 as uniform from kid where not exists (select 1 from split t where t.tree = kid.tree and t.level = kid.level and t.x = kid.x and t.y = kid.y) group by 1, 2""")
 def q_fractal_mesh(spark, d):
     """Leaves by tree and level of the adapted, balanced mesh, and what a uniform mesh of the finest level has."""
     m = surface.fractal_mesh(surface.hexagon(spark), 2, 6)
@@ -395,14 +424,21 @@ def q_fractal_image(spark, d):
 # --- spheres ---
 
 
-@_q()
+_CLOUD = f"""with e as (select (0.1 - 0.001) / ln(100.0) as e), m as (select 4.0 * power(4.0, -4) / e as m, e from e),
+  f as (select k, exp(-m) * power(m, k) / gamma(k + 1) as p from m, range(80) r(k)), g as (select k, sum(p) over (order by k) as f from f),
+  c as (select cell, (select min(k) from g where g.f >= u) as c from (select range as cell, {_U('range', 7)} as u from range(4096))),
+  s as (select cell * (trunc(m + 12 * sqrt(m) + 16)::bigint + 1) + k.k as sid from c, m, range(1, 80) k(k) where k.k <= c.c),
+  x as (select 0.001 * power(100.0, {_U('sid', 4)}) as s from s)"""
+
+
+@_q(_CLOUD + " select count(*) as spheres, round(avg(s), 8) as mean, round(any_value(e), 8) as expected, round((avg(s) - any_value(e)) / (stddev(s) / sqrt(count(*))), 5) as z_section, round((count(*) - 4096 * any_value(m)) / sqrt(4096 * any_value(m)), 5) as z_count from x, m")
 def q_sphere_section(spark, d):
     """Sampled mean section and count of a cloud against what the law expects (z scores)."""
     e = scenes.expected_section()
     n = 4.0 * 2.0**4 / e  # elements x coverage x face over the expected section
     x = spheres.cloud(spark, 4, 4.0)
     s = F.pi() * F.col("r") * F.col("r")
-    return x.agg(F.count("*").alias("spheres"), F.avg(s).alias("mean"), F.lit(e).alias("expected"), ((F.avg(s) - e) / (F.stddev(s) / F.sqrt(F.count("*")))).alias("z_section"), ((F.count("*") - F.lit(n)) / F.lit(n**0.5)).alias("z_count"))
+    return x.agg(F.count("*").alias("spheres"), _r(F.avg(s), 8).alias("mean"), _r(F.lit(e), 8).alias("expected"), _r((F.avg(s) - e) / (F.stddev(s) / F.sqrt(F.count("*"))), 5).alias("z_section"), _r((F.count("*") - F.lit(n)) / F.lit(n**0.5), 5).alias("z_count"))
 
 
 def _few(spark, d, most=44):

@@ -5,7 +5,7 @@ amplifying ones, and is 0 for opaque surfaces, which have no inverse."""
 
 from __future__ import annotations
 
-from pyspark.sql import Column
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 
@@ -114,3 +114,17 @@ def to_rgb(i) -> Column:
 
 def to_alpha(s: Column) -> Column:
     return 1 - s["a"]
+
+
+def seg_general(beta_integral, gamma_weighted) -> Column:
+    """From the integral of the absorption and that of the emission as dimmed on its way to the near end."""
+    return seg(F.exp(-_c(beta_integral)), gamma_weighted)
+
+
+def segments(df: DataFrame, a: Column, b: Column | None = None, i: Column | None = None) -> DataFrame:
+    """What an application gives, as segment columns a and b: transmission with emission ``b``, or with the intensity ``i`` that the
+    medium tends to. Columns a and b of ``df`` are replaced; null coefficients give null segments."""
+    if (b is None) == (i is None):
+        raise ValueError("give either b or i")
+    s = seg(a, b if b is not None else emission_from_intensity(a, i))
+    return df.withColumn("_s", s).withColumn("a", F.col("_s.a")).withColumn("b", F.col("_s.b")).drop("_s")

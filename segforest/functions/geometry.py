@@ -3,10 +3,17 @@
 from __future__ import annotations
 
 import numpy as np
-from pyspark.sql import Column
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 
+def held(df: DataFrame, **columns: Column) -> DataFrame:
+    """withColumns behind a generator of one row, so that later filters are not rewritten over the definitions: generated
+    code stays small and each is computed once."""
+    x = df.withColumn("_held", F.explode(F.array(F.struct(*[c.alias(k) for k, c in columns.items()]))))
+    return x.withColumns({k: F.col(f"_held.{k}") for k in columns}).drop("_held")
+
+
 def lobatto(r: int) -> list[float]:
     """r + 1 Gauss-Lobatto nodes on [0, 1], both ends among them."""
     if r < 2:
@@ -32,6 +39,13 @@ def face_points(ctrl: np.ndarray, axis: int, side: int) -> np.ndarray:
     return np.take(ctrl, 0 if side == 0 else -1, axis=axis)
 
 
+def face_columns(ctrl: str, r: int, d: int, axis: int, side: int) -> Column:
+    """The control points of a face from an array column of all (r + 1) ** d of an element, first axis first."""
+    m = r + 1
+    places = [k for k in range(m**d) if k // m ** (d - 1 - axis) % m == (0 if side == 0 else r)]
+    return F.array(*[F.element_at(ctrl, k + 1) for k in places])
+
+
 def bilinear(s: Column, t: Column, p00: Column, p10: Column, p01: Column, p11: Column) -> Column:
     return (1 - s) * (1 - t) * p00 + s * (1 - t) * p10 + (1 - s) * t * p01 + s * t * p11
 

@@ -9,7 +9,7 @@ from __future__ import annotations
 from typing import Protocol
 
 import numpy as np
-from pyspark.sql import Column
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .geometry import face_points, lobatto, map_point
@@ -117,6 +117,38 @@ def hit_patch(ctrl: np.ndarray, ray, depth: int = 5, tol: float = 1e-12) -> list
     return sorted(out)
 
 
+def basis(r: int, t: np.ndarray) -> np.ndarray:
+    """Lagrange basis at Lobatto nodes for many places: [len(t), r + 1]."""
+    n = np.array(lobatto(r))
+    out = np.ones((len(t), r + 1))
+    for i in range(r + 1):
+        for j in range(r + 1):
+            if i != j:
+                out[:, i] *= (t - n[j]) / (n[i] - n[j])
+    return out
+
+
+def mapped(df: DataFrame, r: int, d: int) -> DataFrame:
+    """``df`` with ``point``: the image of ``at`` (array of d numbers in [0, 1]) under the map of degree r whose (r + 1) ** d control
+    points are in ``ctrl`` (array of arrays of three, first axis first). Whole Arrow batches; a null place has a null image."""
+    import pyarrow as pa
+
+    def run(batches):
+        for b in batches:
+            at, ctrl = (b.column(b.schema.get_field_index(c)) for c in ("at", "ctrl"))
+            ok = np.asarray(at.is_valid())
+            places = np.array(at.drop_null().flatten(), float).reshape(-1, d)
+            points = np.array(ctrl.filter(pa.array(ok)).flatten().flatten(), float).reshape(-1, *[r + 1] * d, 3)
+            for axis in range(d):
+                points = np.einsum("nk,nk...->n...", basis(r, places[:, axis]), points)
+            out = iter(points.tolist())
+            yield b.append_column("point", pa.array([next(out) if x else None for x in ok], pa.list_(pa.float64())))
+
+    from pyspark.sql import types as T
+
+    return df.mapInArrow(run, T.StructType([*df.schema.fields, T.StructField("point", T.ArrayType(T.DoubleType()))]))
+
+
 class GeometryMap(Protocol):
     """What rendering needs of a tree's geometry; any map whose faces can be met with a ray will do."""
 

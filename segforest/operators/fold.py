@@ -59,19 +59,38 @@ def running_composite(df: DataFrame, rays: list[str], order: list[str]) -> DataF
 
 
 def rolling_composite(df: DataFrame, rays: list[str], order: list[str], rows: int, least: float = 1e-6) -> DataFrame:
-    """Fold of the last ``rows`` segments of each row's ray: roll_a, roll_b. The window's fold is the inverse of
-    the prefix before it, combined with the prefix up to the row; where that prefix has become too
-    dark (a < least, or opaque) the window is folded anew."""
+    """Fold of the last ``rows`` segments of each row's ray: roll_a, roll_b, by the group inverse of the prefix before the window.
+
+    Prefixes start anew at every ``rows`` rows, so that they do not get dark along a ray: a window is the rest of one run
+    (its end folded backwards) and the beginning of the next, for which the inverse of that run's prefix suffices. Only where
+    that prefix is darker than ``least``, or opaque, is the rest taken from a fold from the run's end."""
     w = Window.partitionBy(*rays).orderBy(*order)
-    run = running_composite(df, rays, order)
-    p = F.lag(F.struct("run_a", "run_b"), rows).over(w)
-    run = run.withColumn("_p", p).withColumn("_w", F.collect_list(F.struct("a", "b")).over(w.rowsBetween(-(rows - 1), 0)))
+    x = df.withColumn("_n", F.row_number().over(w) - 1)
+    x = running_composite(x.withColumn("_run", F.floor(F.col("_n") / rows)), [*rays, "_run"], order)
+    # the run's suffix after each row, folded from its end: the same scan backwards
+    run = Window.partitionBy(*rays, "_run").orderBy(*order)
+    back = run.rowsBetween(1, Window.unboundedFollowing)
+    dim = F.when(F.coalesce(F.sum(F.when(F.col("a") == 0, 1).otherwise(0)).over(back), F.lit(0)) > 0, 0.0).otherwise(F.exp(F.coalesce(F.sum(_log(F.col("a"))).over(back), F.lit(0.0))))
+    whole = F.last(F.struct("run_a", "run_b")).over(run.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing))
+    x = x.withColumn("_rest_a", dim).withColumn("_all", whole)
+    # prefix + rest = whole, so rest = inverse(prefix) + whole
+    pa = F.nullif(F.col("run_a"), F.lit(0.0))
+    x = x.withColumn("_rest_b", F.when(F.col("run_a") >= least, (F.col("_all.run_b") - F.col("run_b")) / pa))
+    return _with_dark_rests(x, rays, order, rows).drop("_n", "_run", "_rest_a", "_rest_b", "_all", "run_a", "run_b")
+
+
+def _with_dark_rests(x: DataFrame, rays: list[str], order: list[str], rows: int) -> DataFrame:
+    """roll_a, roll_b from the run's prefix at a row and the rest of the run before; a rest that its dark prefix hides is
+    folded from the segments themselves, gathered for those rows alone."""
+    w, run = Window.partitionBy(*rays).orderBy(*order), Window.partitionBy(*rays, "_run").orderBy(*order)
+    dark = F.max(F.col("_rest_b").isNull()).over(run.rowsBetween(Window.unboundedPreceding, 0))  # here or before, in the run
+    x = x.withColumn("_d", F.when(dark, F.struct("a", "b")))
+    x = x.withColumn("_w", F.collect_list("_d").over(run.rowsBetween(1, Window.unboundedFollowing)))
     again = F.aggregate("_w", seg_identity(), lambda acc, s: seg_combine(acc, s))
-    dark = F.col("_p.run_a") < least
-    pa = F.coalesce(F.nullif(F.col("_p.run_a"), F.lit(0.0)), F.lit(1.0))
-    quick = seg(F.col("run_a") / pa, (F.col("run_b") - F.coalesce(F.col("_p.run_b"), F.lit(0.0))) / pa)
-    s = F.when(dark, again).otherwise(quick)
-    return run.withColumn("roll_a", s["a"]).withColumn("roll_b", s["b"]).drop("_p", "_w", "run_a", "run_b")
+    x = x.withColumn("_rest_b", F.coalesce("_rest_b", again["b"])).drop("_w", "_d")
+    rest = F.lag(F.struct(F.col("_rest_a").alias("a"), F.col("_rest_b").alias("b")), rows).over(w)
+    s = seg_combine(F.coalesce(rest, seg_identity()), seg(F.col("run_a"), F.col("run_b")))
+    return x.withColumn("_s", s).withColumn("roll_a", F.col("_s.a")).withColumn("roll_b", F.col("_s.b")).drop("_s")
 
 
 def fold_touching(df: DataFrame, rays: list[str], order: list[str], tol: float = 0.0) -> DataFrame:

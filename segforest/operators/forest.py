@@ -6,8 +6,6 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.sfc import prefix
-
 
 def cut(df: DataFrame) -> DataFrame:
     """A checkpoint in the folder that all executors share; one under /tmp only where none is set."""
@@ -128,29 +126,41 @@ def balance(leaves: DataFrame, top: int, d: int = 3, across: str = "full", round
     return leaves
 
 
-def with_owner(leaves: DataFrame, weight: str, parts: int, blocks: int = 64, top_bits: int = 60) -> DataFrame:
+def with_owner(leaves: DataFrame, weight: str, parts: int) -> DataFrame:
     """Adds pid: an even cut of the whole-number ``weight`` along the curve (tree, key), so that loads exceed
-    total / parts by less than the largest weight. Prefix sums come from sums per key block and
-    windows inside blocks; the driver sees one number per block."""
-    lo = leaves.agg(F.min("tree").alias("a"), F.max("tree").alias("b"), F.max("key").alias("k")).first()
-    if lo.a is None:
-        return leaves.withColumn("pid", F.lit(0))
-    wide = max(1, (lo.k or 0) // blocks + 1)
-    x = leaves.withColumn("_blk", F.expr(f"key div {wide}"))
-    sums = x.groupBy("tree", "_blk").agg(F.sum(weight).alias("_s"))
-    before = F.coalesce(F.sum("_s").over(Window.orderBy("tree", "_blk").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))  # trees * blocks rows
-    offs = sums.select("tree", "_blk", before.alias("_off"))
-    total = leaves.agg(F.sum(weight)).first()[0] or 1
-    inside = F.coalesce(F.sum(weight).over(Window.partitionBy("tree", "_blk").orderBy("key").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    y = x.withColumn("_in", inside).join(F.broadcast(offs), ["tree", "_blk"])
+    total / parts by less than the largest weight. Leaves go into ranges of the curve that hold about as many each, however unevenly
+    a tree is refined; prefix sums come from one sum a range and a scan inside each."""
+    x = cut(leaves.repartitionByRange("tree", "key").withColumn("_range", F.spark_partition_id()))
+    sums = x.groupBy("_range").agg(F.sum(weight).alias("_s"))
+    total = sums.agg(F.sum("_s")).first()[0] or 1
+    before = F.coalesce(F.sum("_s").over(Window.orderBy("_range").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))  # one row a range
+    offs = sums.select("_range", before.alias("_off"))
+    inside = F.coalesce(F.sum(weight).over(Window.partitionBy("_range").orderBy("tree", "key").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    y = x.withColumn("_in", inside).join(F.broadcast(offs), "_range")
     pid = F.least(F.lit(parts - 1), F.expr(f"((_off + _in) * {parts}) div {total}")).cast("int")
-    return y.withColumn("pid", pid).drop("_blk", "_in", "_off")
+    return y.withColumn("pid", pid).drop("_range", "_in", "_off")
 
 
 def markers(owned: DataFrame) -> DataFrame:
     return owned.groupBy("pid").agg(F.min(F.struct("tree", "key")).alias("m")).select("pid", "m.tree", "m.key")
 
 
+def owner_of(points: DataFrame, marks: DataFrame, top: int, d: int = 3, bits: int = 12) -> DataFrame:
+    """``points`` (tree, key, ...) with the pid of the owner whose range holds them: an as-of join. Markers and points go through one sort
+    in curve order, in 2 ** ``bits`` ranges of each tree's curve; the last marker of each range is carried into the next."""
+    cols = points.columns
+    both = points.withColumn("_m", F.lit(None).cast("struct<tree:int,key:bigint,pid:int>")).unionByName(
+        marks.select(F.col("tree").cast("int").alias("tree"), F.col("key").cast("long").alias("key"), F.struct(F.col("tree").cast("int").alias("tree"), F.col("key").cast("long").alias("key"), F.col("pid").cast("int").alias("pid")).alias("_m")), allowMissingColumns=True
+    )
+    # a range's first rows may need the last marker before it
+    both = both.withColumn("_blk", F.struct("tree", F.shiftright("key", max(0, d * top - bits)).alias("b")))
+    w = Window.partitionBy("_blk").orderBy("key", F.col("_m").isNull()).rowsBetween(Window.unboundedPreceding, 0)
+    blocks = both.groupBy("_blk").agg(F.max("_m").alias("_top"))
+    carried = blocks.withColumn("_before", F.last("_top", ignorenulls=True).over(Window.orderBy("_blk").rowsBetween(Window.unboundedPreceding, -1))).select("_blk", "_before")
+    x = both.withColumn("_own", F.last("_m", ignorenulls=True).over(w)).filter("_m is null").join(carried, "_blk")
+    return x.select(*cols, F.coalesce("_own.pid", "_before.pid").alias("pid"))
+
+
 class Owners:
     """First (tree, key) of every owner; which owners a node's range of keys touches."""
 
@@ -206,9 +216,3 @@ def vertices(leaves: DataFrame, top: int) -> DataFrame:
     inner = lambda k: (F.col(k) > 0) & (F.col(k) < end)
     want = F.when(inner("vx"), 2).otherwise(1) * F.when(inner("vy"), 2).otherwise(1)
     return g.withColumn("hanging", F.col("corners") < want)
-
-
-def descend(leaves: DataFrame, prefix_level: int, top: int, keep, d: int = 3) -> DataFrame:
-    """Leaves below those ancestors at ``prefix_level`` for which ``keep`` (over tree, p) holds."""
-    x = leaves.withColumn("p", prefix(F.col("key"), prefix_level, top, d))
-    return x.join(x.select("tree", "p").distinct().filter(keep), ["tree", "p"], "left_semi").drop("p")

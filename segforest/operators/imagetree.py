@@ -44,6 +44,29 @@ def unpack(blocks: DataFrame, keys: list[str]) -> DataFrame:
     return y.select(*keys, "pix", *[F.element_at(c, F.col("k") + 1).alias(c) for c in ("z", "a", "b")])
 
 
+def packed_bytes() -> Column:
+    """Bytes of a packed block: 8 a pixel number, 4 an offset, 24 a segment."""
+    return (F.size("pix") * 8 + F.size("offs") * 4 + F.size("z") * 24).cast("long")
+
+
+def lists(df: DataFrame, keys: list[str], order: list[str]) -> DataFrame:
+    """``s``: the segments of each key as a list in ``order``, (order, a, b)."""
+    return df.groupBy(*keys).agg(F.array_sort(F.collect_list(F.struct(*order, "a", "b"))).alias("s"))
+
+
+def merge_lists(left: DataFrame, right: DataFrame, keys: list[str]) -> DataFrame:
+    """Sorted lists of both sides by key, merged; a key of one side alone keeps its list. Two sorted runs are what the sort
+    behind array_sort merges in linear time."""
+    none = F.expr("cast(array() as " + left.schema["s"].dataType.simpleString() + ")")
+    j = left.join(right.withColumnRenamed("s", "_s"), keys, "full")
+    return j.select(*keys, F.array_sort(F.concat(F.coalesce("s", none), F.coalesce("_s", none))).alias("s"))
+
+
+def node_state(x: Column, y: Column, edge: Column, w: int, h: int) -> Column:
+    """Of a node of an image's tree: wholly ``in`` the image, ``out`` of it, or to be ``split``."""
+    return F.when((x >= w) | (y >= h), "out").when((x + edge <= w) & (y + edge <= h), "in").otherwise("split")
+
+
 Rect = tuple[int, int, int, int]  # x0, y0, x1, y1, ends excluded
 
 
@@ -105,3 +128,69 @@ def merge_sorted(x: list, y: list) -> list:
     import heapq
 
     return list(heapq.merge(x, y))
+
+
+_IMAGE = "pixels long, segments long, rects array<struct<x0:int,y0:int,x1:int,y1:int>>, x array<int>, y array<int>, offs array<int>, z array<double>, a array<double>, b array<double>"
+
+
+def _rows_of(tree: Node) -> dict:
+    """A tree's payload as arrays: the rectangles, and the non-empty pixels with their sorted segments."""
+    rects, places, offs, flat = [], [], [0], []
+    for rect, held in tree.payloads():
+        rects.append(dict(zip(("x0", "y0", "x1", "y1"), rect)))
+        for p, s in sorted(held.items()):
+            places.append(p)
+            flat += s
+            offs.append(len(flat))
+    cols = list(zip(*flat)) or [(), (), ()]
+    return {"pixels": len(places), "segments": len(flat), "rects": rects, "x": [p[0] for p in places], "y": [p[1] for p in places], "offs": offs, "z": list(cols[0]), "a": list(cols[1]), "b": list(cols[2])}
+
+
+def _grown(table, keys: list[str], t: int, insert):
+    """One row: the tree that ``insert`` builds from a group's rows, with the group's keys."""
+    import pyarrow as pa
+
+    rows = table.to_pylist()
+    edge, tile = 1 << t, rows[0]
+    found = _rows_of(insert(rows, edge))
+    kinds = {"pixels": pa.int64(), "segments": pa.int64(), "rects": pa.list_(pa.struct([(k, pa.int32()) for k in ("x0", "y0", "x1", "y1")])), "x": pa.list_(pa.int32()), "y": pa.list_(pa.int32()), "offs": pa.list_(pa.int32()), "z": pa.list_(pa.float64()), "a": pa.list_(pa.float64()), "b": pa.list_(pa.float64())}
+    return pa.table([table.column(k).slice(0, 1) for k in keys if k in tile] + [pa.array([found[k]], kind) for k, kind in kinds.items()], names=[*keys, *kinds])
+
+
+def _keys_type(df: DataFrame, keys: list[str]) -> str:
+    return ", ".join(f"{k} {df.schema[k].dataType.simpleString()}" for k in keys)
+
+
+def tree_images(segments: DataFrame, keys: list[str], t: int) -> DataFrame:
+    """The rectangle tree of each tile (``keys``) of 2 ** t pixels' edge from segments (keys, i, j, z, a, b): each pixel's list is
+    inserted as a rectangle of one pixel. A task holds one tile's segments."""
+
+    def insert(rows, edge):
+        root = Node(rows[0]["i"] // edge * edge, rows[0]["j"] // edge * edge, edge)
+        held: dict = {}
+        for r in rows:
+            held.setdefault((r["i"], r["j"]), []).append((r["z"], r["a"], r["b"]))
+        for (x, y), s in sorted(held.items()):
+            root.insert((x, y, x + 1, y + 1), {(x, y): s})
+        return root
+
+    return segments.select(*keys, "i", "j", "z", "a", "b").groupBy(*keys).applyInArrow(lambda table: _grown(table, keys, t, insert), f"{_keys_type(segments, keys)}, {_IMAGE}")
+
+
+def union_images(left: DataFrame, right: DataFrame, keys: list[str], t: int) -> DataFrame:
+    """Both sides' trees of each tile as one, pixel lists merged; a tile of one side alone stays as it is."""
+
+    def insert(rows, edge):
+        root = None
+        for r in rows:
+            node = Node(r["x"][0] // edge * edge, r["y"][0] // edge * edge, edge)
+            held = {p: list(zip(*(r[c][lo:hi] for c in "zab"))) for p, lo, hi in zip(zip(r["x"], r["y"]), r["offs"], r["offs"][1:])}
+            for rect in (tuple(q[k] for k in ("x0", "y0", "x1", "y1")) for q in r["rects"]):
+                node.insert(rect, {p: s for p, s in held.items() if rect[0] <= p[0] < rect[2] and rect[1] <= p[1] < rect[3]})
+            if root is None:
+                root = node
+            else:
+                root.union(node)
+        return root
+
+    return left.unionByName(right).groupBy(*keys).applyInArrow(lambda table: _grown(table, keys, t, insert), f"{_keys_type(left, keys)}, {_IMAGE}")

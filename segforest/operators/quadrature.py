@@ -13,6 +13,8 @@ import numpy as np
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
+from ..functions.algebra import coefficients, seg, seg_combine, seg_const, seg_identity
+
 # Fixed tableaux of subdiagonal-explicit Runge-Kutta rules: nodes, subdiagonal, weights.
 TABLEAUX = {
     "euler": ([0.0], [], [1.0]),
@@ -52,6 +54,22 @@ def step(method: str, beta: Callable, gamma: Callable, x, h):
     raise ValueError(method)
 
 
+def subsample(beta: Callable, gamma: Callable, x, h, pieces: int) -> Column:
+    """struct<a,b> over [x, x + h] from ``pieces`` equal pieces with the constant coefficients of their midpoints."""
+    d = h / pieces
+
+    def far_first(acc, k):  # the piece at larger x is nearer
+        at = x + (k + 0.5) * d
+        return seg_combine(seg_const(beta(at), gamma(at), d), acc)
+
+    return F.aggregate(F.sequence(F.lit(0), F.lit(pieces - 1)), seg_identity(), far_first)
+
+
+def effective_coefficients(method: str, beta: Callable, gamma: Callable, x, h) -> Column:
+    """struct<beta,gamma> of the constant medium that acts over [x, x + h] as one step of ``method`` through the variable one."""
+    return coefficients(seg(*step(method, beta, gamma, x, h)), h)
+
+
 METHODS = (*TABLEAUX, "gauss", "simpson", "simpson_half")
 
 
@@ -62,24 +80,34 @@ def _nodes(method: str) -> list[float]:
 
 
 def seg_eval(method: str, beta: Callable, gamma: Callable, x1: np.ndarray, x2: np.ndarray, c: float = 0.5, max_depth: int = 24) -> dict[str, np.ndarray]:
-    """a, b, evals, depth, capped for each interval. ``beta`` and ``gamma`` take (row numbers, places).
+    """a, b, evals, depth, capped for each interval. ``beta`` and ``gamma`` take (row numbers, places). ``evals`` counts
+    all calls for a coefficient at a place: the absorption at the nodes of every interval that is tested, and both at those of
+    the step that is taken.
 
     max_depth bounds the recursion for coefficients without a bound; ``capped`` tells where it did."""
     n = len(x1)
     seg_, lo, hi = np.arange(n), np.asarray(x1, float), np.asarray(x2, float)
     done, evals, depth, capped = [], np.zeros(n, np.int64), np.zeros(n, np.int64), np.zeros(n, bool)
+
+    def asked(f, rows):
+        def call(x):
+            evals[:] += np.bincount(rows, minlength=n)
+            return f(rows, x)
+
+        return call
+
     nodes = _nodes(method)
     for level in range(max_depth + 1):
         h = hi - lo
         worst = np.max([np.abs(h * beta(seg_, lo + h * t)) for t in nodes], 0) if len(seg_) else h
-        np.add.at(evals, seg_, len(nodes))
+        evals += np.bincount(seg_, minlength=n) * len(nodes)
         bad = worst > c
         if level == max_depth:
             capped[seg_[bad]] = True
             bad[:] = False
         ok = ~bad
         s, a0, h0 = seg_[ok], lo[ok], h[ok]
-        a, b = step(method, lambda x: beta(s, x), lambda x: gamma(s, x), a0, h0)
+        a, b = step(method, asked(beta, s), asked(gamma, s), a0, h0)
         done.append((s, a0, a + 0 * h0, b + 0 * h0))
         if not bad.any():
             break

@@ -43,6 +43,24 @@ def _pairs(spheres: DataFrame, depth: int, go) -> list[DataFrame]:
     return out
 
 
+def pair_checks(spheres: DataFrame, depth: int, eps: float) -> DataFrame:
+    """By level: pairs of a sphere and a node that the descent checks, those that meet (what any search must find), and all pairs."""
+    ball = _ball(eps)
+    total, out = spheres.agg(F.count("*").alias("n")), None
+    levels = _pairs(spheres, depth, ball)
+    for level, x in enumerate(levels):
+        found = x.agg(F.count("*").alias("needed"))
+        checked = total.select(F.col("n").alias("checked")) if level == 0 else levels[level - 1].agg((F.count("*") * 8).alias("checked"))
+        row = found.join(checked).join(total).select(F.lit(level).alias("level"), "checked", "needed", (F.col("n") * (1 << (3 * level))).alias("all_pairs"))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+def _ball(eps: float):
+    """Whether the ball of radius (1 + eps) r meets a box."""
+    return lambda lo, hi, edge: sum((F.pow(F.greatest(a - F.col(f"c{n}"), F.col(f"c{n}") - b, F.lit(0.0)), 2) for n, a, b in zip("xyz", lo, hi)), F.lit(0.0)) <= F.pow(F.col("r") * (1 + eps), 2)
+
+
 def shell_mesh(spheres: DataFrame, level: int, eps: float, top: int) -> DataFrame:
     """Leaves (tree, level, key): a node is refined while it meets the shell of a sphere between (1 - eps) r and
     (1 + eps) r and its edge is at least eps r / 2, down to ``level``; complete, not balanced."""
@@ -65,7 +83,7 @@ def spheres_of_leaves(leaves: DataFrame, spheres: DataFrame, eps: float, top: in
     """Leaves with ``near``: the spheres whose ball of radius (1 + eps) r meets them, as an array; leaves without one
     have an empty array. Candidate pairs descend from the root and meet leaves by an equi join."""
     deepest = leaves.agg(F.max("level")).first()[0] or 0
-    ball = lambda lo, hi, edge: sum((F.pow(F.greatest(a - F.col(f"c{n}"), F.col(f"c{n}") - b, F.lit(0.0)), 2) for n, a, b in zip("xyz", lo, hi)), F.lit(0.0)) <= F.pow(F.col("r") * (1 + eps), 2)
+    ball = _ball(eps)
     pairs = None
     for x in _pairs(spheres, deepest, ball):
         pairs = x if pairs is None else pairs.unionByName(x)

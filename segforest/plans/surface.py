@@ -12,6 +12,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions import geometry
+from ..functions.geometry import held
 from ..functions.sfc import coordinate, morton2
 from ..operators import forest
 from .scenes import escape_steps
@@ -47,7 +48,7 @@ def corner_steps(leaves: DataFrame, trees: DataFrame, top: int, limit: int) -> D
     x = squares(leaves.select("tree", "level", "key"), top).join(trees, "tree")
     for i, j in ((0, 0), (1, 0), (0, 1), (1, 1)):
         s, t = F.col("s0") + F.col("e") * i, F.col("t0") + F.col("e") * j
-        x = _held(x, _x=on_patch(s, t, 0), _y=on_patch(s, t, 1))
+        x = held(x, _x=on_patch(s, t, 0), _y=on_patch(s, t, 1))
         x = x.withColumn(f"n{i}{j}", escape_steps(F.col("_x"), F.col("_y"), limit)).drop("_x", "_y")
     return x.drop(*CORNERS)
 
@@ -80,23 +81,16 @@ def frames(trees: DataFrame, cams: list) -> DataFrame:
     return out
 
 
-def _held(df: DataFrame, **columns: Column) -> DataFrame:
-    """withColumns behind a generator of one row, so that later filters are not rewritten over the definitions: generated
-    code stays small and each is computed once."""
-    x = df.withColumn("_held", F.explode(F.array(F.struct(*[c.alias(k) for k, c in columns.items()]))))
-    return x.withColumns({k: F.col(f"_held.{k}") for k in columns}).drop("_held")
-
-
 def cull(leaves: DataFrame, trees: DataFrame, cams: list, top: int) -> DataFrame:
     """Visible leaves by instance with their pixel rectangle. The box of the four corners holds a bilinear piece."""
     x = squares(leaves, top).join(frames(trees, cams), "tree")
     ends = [(F.col("s0") + F.col("e") * i, F.col("t0") + F.col("e") * j) for i in (0, 1) for j in (0, 1)]
-    x = _held(x, **{f"_c{k}": F.array(*[on_patch(s, t, k) for s, t in ends]) for k in range(3)})
-    x = _held(x, **{f"_{side}{k}": f(f"_c{k}") for k in range(3) for side, f in (("lo", F.array_min), ("hi", F.array_max))})
-    x = _held(x, _z0=F.greatest("_lo2", "n"), _z1=F.least("_hi2", "far")).filter("_z0 <= _z1")
+    x = held(x, **{f"_c{k}": F.array(*[on_patch(s, t, k) for s, t in ends]) for k in range(3)})
+    x = held(x, **{f"_{side}{k}": f(f"_c{k}") for k in range(3) for side, f in (("lo", F.array_min), ("hi", F.array_max))})
+    x = held(x, _z0=F.greatest("_lo2", "n"), _z1=F.least("_hi2", "far")).filter("_z0 <= _z1")
     i = geometry.pixel_bounds(F.col("_lo0"), F.col("_hi0"), F.col("_z0"), F.col("_z1"), F.col("w"), F.col("n"), F.col("ell"))
     j = geometry.pixel_bounds(F.col("_lo1"), F.col("_hi1"), F.col("_z0"), F.col("_z1"), F.col("h"), F.col("n"), F.col("ell"))
-    x = _held(x, i0=i[0], i1=i[1], j0=j[0], j1=j[1]).filter("i0 <= i1 and j0 <= j1")
+    x = held(x, i0=i[0], i1=i[1], j0=j[0], j1=j[1]).filter("i0 <= i1 and j0 <= j1")
     return x.drop(*[c for c in x.columns if c.startswith("_")])
 
 
@@ -104,23 +98,37 @@ def patch_hits(df: DataFrame, ray: list[Column]) -> DataFrame:
     """Rows (corners in the camera frame) times their hits with a ray: alpha, s, t in [0, 1]; the quadratic of
     ``hit_bilinear_columns`` in steps that stay in generated code."""
     at = lambda c, k: F.element_at(c, k + 1)
-    x = _held(df, _r0=ray[0], _r1=ray[1], _r2=ray[2])
-    x = _held(x, **{f"_{c}{k}": at(c, k) * F.col("_r2") - at(c, 2) * F.col(f"_r{k}") for c in CORNERS for k in (0, 1)})
+    x = held(df, _r0=ray[0], _r1=ray[1], _r2=ray[2])
+    x = held(x, **{f"_{c}{k}": at(c, k) * F.col("_r2") - at(c, 2) * F.col(f"_r{k}") for c in CORNERS for k in (0, 1)})
     p = lambda c, k: F.col(f"_{c}{k}")
     named = {f"_a{k}": p("p00", k) for k in (0, 1)} | {f"_b{k}": p("p10", k) - p("p00", k) for k in (0, 1)} | {f"_c{k}": p("p01", k) - p("p00", k) for k in (0, 1)} | {f"_d{k}": p("p11", k) - p("p10", k) - p("p01", k) + p("p00", k) for k in (0, 1)}
-    x = _held(x, **named)
+    x = held(x, **named)
     a, b, c, d = ([F.col(f"_{n}{k}") for k in (0, 1)] for n in "abcd")
-    x = _held(x, _q2=b[1] * d[0] - d[1] * b[0], _q1=a[1] * d[0] - d[1] * a[0] + b[1] * c[0] - c[1] * b[0], _q0=a[1] * c[0] - c[1] * a[0])
+    x = held(x, _q2=b[1] * d[0] - d[1] * b[0], _q1=a[1] * d[0] - d[1] * a[0] + b[1] * c[0] - c[1] * b[0], _q0=a[1] * c[0] - c[1] * a[0])
     q2, q1, q0, zero = F.col("_q2"), F.col("_q1"), F.col("_q0"), F.lit(0.0)
-    x = _held(x, _flat=F.abs(q2) <= 1e-12 * (F.abs(q1) + F.abs(q0)), _m=-0.5 * (q1 + F.when(q1 < 0, -1.0).otherwise(1.0) * F.sqrt(F.when(q1 * q1 - 4 * q2 * q0 >= 0, q1 * q1 - 4 * q2 * q0))))
+    x = held(x, _flat=F.abs(q2) <= 1e-12 * (F.abs(q1) + F.abs(q0)), _m=-0.5 * (q1 + F.when(q1 < 0, -1.0).otherwise(1.0) * F.sqrt(F.when(q1 * q1 - 4 * q2 * q0 >= 0, q1 * q1 - 4 * q2 * q0))))
     one, two = F.when(F.col("_flat"), -q0 / F.nullif(q1, zero)).otherwise(F.col("_m") / F.nullif(q2, zero)), F.when(~F.col("_flat"), q0 / F.nullif(F.col("_m"), zero))
     x = x.withColumn("s", F.explode(F.array_distinct(F.array(one, two)))).filter(F.col("s").between(0, 1))
     e = [c[k] + d[k] * F.col("s") for k in (0, 1)]
-    x = _held(x, t=F.when(F.abs(e[0]) >= F.abs(e[1]), -(a[0] + b[0] * F.col("s")) / F.nullif(e[0], zero)).otherwise(-(a[1] + b[1] * F.col("s")) / F.nullif(e[1], zero))).filter(F.col("t").between(0, 1))
-    x = _held(x, alpha=on_patch(F.col("s"), F.col("t"), 2) / F.col("_r2"))
+    x = held(x, t=F.when(F.abs(e[0]) >= F.abs(e[1]), -(a[0] + b[0] * F.col("s")) / F.nullif(e[0], zero)).otherwise(-(a[1] + b[1] * F.col("s")) / F.nullif(e[1], zero))).filter(F.col("t").between(0, 1))
+    x = held(x, alpha=on_patch(F.col("s"), F.col("t"), 2) / F.col("_r2"))
     return x.drop(*[c for c in x.columns if c.startswith("_")])
 
 
+def cosine(df: DataFrame, ray: list[Column]) -> DataFrame:
+    """Hits of ``patch_hits`` with ``cosine``, |cos| of the angle between the ray and the patch's normal there."""
+    at = lambda c, k: F.element_at(c, k + 1)
+    bend = [at("p11", k) - at("p10", k) - at("p01", k) + at("p00", k) for k in range(3)]
+    ds = [at("p10", k) - at("p00", k) + bend[k] * F.col("t") for k in range(3)]
+    dt = [at("p01", k) - at("p00", k) + bend[k] * F.col("s") for k in range(3)]
+    x = held(df, **{f"_s{k}": ds[k] for k in range(3)}, **{f"_t{k}": dt[k] for k in range(3)}, **{f"_r{k}": ray[k] for k in range(3)})
+    c = lambda n, k: F.col(f"_{n}{k}")
+    x = held(x, **{f"_n{k}": c("s", (k + 1) % 3) * c("t", (k + 2) % 3) - c("s", (k + 2) % 3) * c("t", (k + 1) % 3) for k in range(3)})
+    dot = lambda m, n: c(m, 0) * c(n, 0) + c(m, 1) * c(n, 1) + c(m, 2) * c(n, 2)
+    x = held(x, cosine=F.abs(dot("n", "r")) / F.nullif(F.sqrt(dot("n", "n") * dot("r", "r")), F.lit(0.0)))
+    return x.drop(*[k for k in x.columns if k.startswith("_")])
+
+
 def points(visible: DataFrame, shade: dict[int, Callable[[Column], tuple[Column, Column]]]) -> DataFrame:
     """Segments of all rays at their hits: inst, i, j, pix, z_in, z_out, v, a, b, tree, level, key. v is the bilinear value of
     the corner steps; ``shade`` gives (A, B) of v for each instance. No exchange."""
@@ -129,7 +137,7 @@ def points(visible: DataFrame, shade: dict[int, Callable[[Column], tuple[Column,
     end = lambda c, o: (F.col(c) >= F.col(o)) & ((F.col(c) < F.col(o) + F.col("e")) | ((F.col(o) + F.col("e") == 1) & (F.col(c) == 1)))
     y = y.filter(end("s", "s0") & end("t", "t0") & F.col("alpha").between(F.lit(1.0), F.col("far") / F.col("n")))
     s, t = (F.col("s") - F.col("s0")) / F.col("e"), (F.col("t") - F.col("t0")) / F.col("e")
-    y = _held(y, v=geometry.bilinear(s, t, F.col("n00"), F.col("n10"), F.col("n01"), F.col("n11")))
+    y = held(y, v=geometry.bilinear(s, t, F.col("n00"), F.col("n10"), F.col("n01"), F.col("n11")))
     a = b = F.lit(None).cast("double")
     for inst, f in shade.items():
         fa, fb = f(F.col("v"))

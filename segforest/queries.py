@@ -430,17 +430,6 @@ def q_hit_sphere(spark, d):
     return _spheres(spark, d).select("p_partkey", _r(n).alias("near"), _r(f).alias("far")).filter("near is not null")
 
 
-@_q("select u_id, case " + " ".join(f"when u <= {t!r} then {k}" for k, t in enumerate((0.48359, 0.83490, 0.96254))) + " else 3 end as n from (select p_partkey as u_id, ((p_partkey * 2654435761 + 4 * 40503) % 4294967296) / 4294967296.0 as u from part)")
-def q_spheres_poisson(spark, d):
-    from math import exp
-
-    m = 0.7265  # mean count of a level-3 element, near (1/64) / expected_section()
-    u = scenes.uniform01(F.col("p_partkey"), 4)
-    t = [round(x, 5) for x in (exp(-m), exp(-m) * (1 + m), exp(-m) * (1 + m + m * m / 2))]
-    n = F.when(u <= t[0], 0).when(u <= t[1], 1).when(u <= t[2], 2).otherwise(3)
-    return _t(spark, d, "part").select(F.col("p_partkey").alias("u_id"), n.alias("n"))
-
-
 @_q(f"""with c as (select x.x, y.x as y, z.x as z from range(8) x(x), range(8) y(x), range(8) z(x)),
   h as (select c.x, c.y, c.z, r, power(greatest(c.x / 8.0 - cx, cx - (c.x + 1) / 8.0, 0), 2) + power(greatest(c.y / 8.0 - cy, cy - (c.y + 1) / 8.0, 0), 2) + power(greatest(c.z / 8.0 - cz, cz - (c.z + 1) / 8.0, 0), 2) as near,
     power(greatest(abs(cx - c.x / 8.0), abs(cx - (c.x + 1) / 8.0)), 2) + power(greatest(abs(cy - c.y / 8.0), abs(cy - (c.y + 1) / 8.0)), 2) + power(greatest(abs(cz - c.z / 8.0), abs(cz - (c.z + 1) / 8.0)), 2) as far from c, {_SPH})
@@ -508,12 +497,6 @@ def q_pixel_pack(spark, d):
     return p.select("tile", F.size("pix").alias("pixels"), F.element_at("offs", -1).alias("segments"), _r(F.aggregate("a", F.lit(0.0), lambda s, v: s + v), 4).alias("total"))
 
 
-@_q("select r_regionkey as inst, (r_regionkey + 1) * 100 as w, t, (ceil((r_regionkey + 1) * 100 / power(2, t)) * ceil(75.0 / power(2, t)))::bigint as tiles from region, (select unnest(range(4, 9)) as t)")
-def q_tile_choice(spark, d):
-    r = _t(spark, d, "region").select(F.col("r_regionkey").alias("inst"), ((F.col("r_regionkey") + 1) * 100).alias("w"), F.explode(F.sequence(F.lit(4).cast("long"), F.lit(8).cast("long"))).alias("t"))
-    return r.select("inst", "w", "t", (F.ceil(F.col("w") / F.pow(F.lit(2.0), "t")) * F.ceil(75.0 / F.pow(F.lit(2.0), "t"))).cast("long").alias("tiles"))
-
-
 def _scene(spark, d):
     p = _cells(spark, d).join(_t(spark, d, "embeddings").select("vec_id", F.col("label").cast("double").alias("label")), "vec_id")
     leaves = _leaves(spark, d)
@@ -523,7 +506,10 @@ def _scene(spark, d):
 
 @_q()
 def q_render_pipeline(spark, d):
-    return pipeline.render_pipeline(_scene(spark, d), pipeline.front_cameras(2), TOP)
+    """The flagship: points to forest to pixels of two cameras, by all phases: descent, culling, transfer by pixels, rendering,
+    condensing, tiles."""
+    x = pipeline.render_pipeline(_scene(spark, d), pipeline.front_cameras(2), TOP, depth=2, parts=8)
+    return x.select("inst", "tile", "pix", _r("a").alias("a"), _r("b").alias("b"))
 
 
 @_q("select 0 as differ")
