@@ -7,11 +7,20 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 
+def shared_folder(spark) -> str:
+    """The folder that driver and executors share (spark.checkpoint.dir); one under /tmp only where the session names none."""
+    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
+    if not base:
+        base = "file:///tmp/checkpoints/segforest"
+        spark.sparkContext.setCheckpointDir(base)
+    return base.rstrip("/")
+
+
 def cut(df: DataFrame) -> DataFrame:
-    """A checkpoint in the folder that all executors share; one under /tmp only where none is set."""
+    """A checkpoint in the folder that all executors share."""
     spark = df.sparkSession
     if not spark.sparkContext.getCheckpointDir():
-        spark.sparkContext.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or "file:///tmp/checkpoints/segforest")
+        spark.sparkContext.setCheckpointDir(shared_folder(spark))
     return df.checkpoint()
 
 
@@ -216,3 +225,8 @@ def vertices(leaves: DataFrame, top: int) -> DataFrame:
     inner = lambda k: (F.col(k) > 0) & (F.col(k) < end)
     want = F.when(inner("vx"), 2).otherwise(1) * F.when(inner("vy"), 2).otherwise(1)
     return g.withColumn("hanging", F.col("corners") < want)
+
+
+def preview(leaves: DataFrame, share: float) -> DataFrame:
+    """A ``share`` of the leaves by a hash of their key, the same on every run; a sampling operator for quick looks."""
+    return leaves.filter(F.expr(f"(key div 64) * 2654435761 % 4294967296 < {int(share * (1 << 32))}"))
