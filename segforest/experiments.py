@@ -382,7 +382,9 @@ _FN = 48
 
 
 def _fractal_cams():
-    return [pipeline.Camera(i, (-0.5, 0.0, 0.0), (0.0, 0.0, 1.0), (1.0, 0.0, 0.0), (0.0, 1.0, 0.0), _FN, _FN, 0.8 / _FN) for i in (0, 1)]
+    """One that sees all, one nearer to the side of a bulb."""
+    at = [((-0.5, 0.0, 0.0), 0.8 / _FN), ((-0.72, 0.31, 0.5), 0.35 / _FN)]
+    return [pipeline.Camera(i, o, (0.0, 0.0, 1.0), (1.0, 0.0, 0.0), (0.0, 1.0, 0.0), _FN, _FN, ell) for i, (o, ell) in enumerate(at)]
 
 
 def _quad(c: int) -> str:
@@ -392,7 +394,7 @@ def _quad(c: int) -> str:
     return "case tree " + " ".join(f"when {t} then " + " + ".join(f"{a} * {v}" for a, v in zip(w, q)) for t, q in by.items()) + " end"
 
 
-@_q(f"""with recursive v as (select tree, i, j, {_quad(0)} as cr, {_quad(1)} as ci from (select tree::int as tree, i, j, i / 64.0 as s, j / 64.0 as t from range(2) a(tree), range(65) b(i), range(65) c(j))),
+_FRACTAL = f"""with recursive v as (select tree, i, j, {_quad(0)} as cr, {_quad(1)} as ci from (select tree::int as tree, i, j, i / 64.0 as s, j / 64.0 as t from range(2) a(tree), range(65) b(i), range(65) c(j))),
   z as (select tree, i, j, cr, ci, 0.0::double as x, 0.0::double as y, 0 as n, false as out from v union all select tree, i, j, cr, ci, case when x * x + y * y > 4 then x else x * x - y * y + cr end, case when x * x + y * y > 4 then y else 2 * x * y + ci end, n + 1, x * x + y * y > 4 from z where n < 30),
   st as (select tree, i, j, sum(case when n > 0 and not out then 1 else 0 end) as n from z group by 1, 2, 3),
   node as (select a.tree, l.level::int as level, x.x, y.y, (64 >> l.level::int) as e from range(2) a(tree), range(2, 6) l(level), range(32) x(x), range(32) y(y) where x.x < (1 << l.level::int) and y.y < (1 << l.level::int)),
@@ -400,7 +402,10 @@ def _quad(c: int) -> str:
   s0 as (select tree, level, x, y from d where differ and not exists (select 1 from d u where u.tree = d.tree and u.level < d.level and u.x = d.x >> (d.level - u.level) and u.y = d.y >> (d.level - u.level) and not u.differ)),
   up as (select a.tree, l.level::int as level, x.x, y.y from range(2) a(tree), range(2) l(level), range(2) x(x), range(2) y(y) where x.x < (1 << l.level::int) and y.y < (1 << l.level::int)),
   split as (select * from s0 union select * from up union select tree, level - 1, (x + i.i) >> 1, (y + j.j) >> 1 from split, range(-1, 2) i(i), range(-1, 2) j(j) where level > 0 and x + i.i between 0 and (1 << level) - 1 and y + j.j between 0 and (1 << level) - 1),
-  kid as (select tree, level + 1 as level, 2 * x + i.i as x, 2 * y + j.j as y from split, range(2) i(i), range(2) j(j))
+  kid as (select tree, level + 1 as level, 2 * x + i.i as x, 2 * y + j.j as y from split, range(2) i(i), range(2) j(j))"""
+
+
+@_q(_FRACTAL + """
   select tree::int as tree, level, count(*) as leaves, 4096 as uniform from kid where not exists (select 1 from split t where t.tree = kid.tree and t.level = kid.level and t.x = kid.x and t.y = kid.y) group by 1, 2""")
 def q_fractal_mesh(spark, d):
     """Leaves by tree and level of the adapted, balanced mesh, and what a uniform mesh of the finest level has."""
@@ -408,19 +413,6 @@ def q_fractal_mesh(spark, d):
     return m.groupBy("tree", "level").agg(F.count("*").alias("leaves"), F.lit(4**6).alias("uniform"))
 
 
-@_q()
-def q_fractal_image(spark, d):
-    """Both instances in one run: opaque grey to white before a checkerboard sky, and glowing just below the limit."""
-    trees, cams = surface.hexagon(spark), _fractal_cams()
-    m = forest.cut(surface.fractal_mesh(trees, 2, 6))
-    s = surface.points(surface.cull(m, trees, cams, 6), {0: surface.opaque_grey(30), 1: surface.glowing(30)})
-    img = pipeline.image(pipeline.condense(s, 6, 2, 2))
-    grid = spark.range(2 * _FN * _FN).select(F.floor(F.col("id") / _FN**2).cast("int").alias("inst"), (F.col("id") % _FN).alias("i"), F.floor(F.col("id") % _FN**2 / _FN).alias("j"))
-    x = grid.withColumn("pix", sfc.morton2(F.col("i"), F.col("j"))).join(img, ["inst", "pix"], "left")
-    sky = F.when(F.col("inst") == 0, pipeline.checkerboard(F.col("i"), F.col("j"))).otherwise(0.1)
-    return x.select("inst", "i", "j", A.to_rgb(F.coalesce("a", F.lit(1.0)) * sky + F.coalesce("b", F.lit(0.0))).alias("grey"))
-
-
 # --- spheres ---
 
 

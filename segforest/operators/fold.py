@@ -27,7 +27,8 @@ def composite(df: DataFrame, rays: list[str], order: list[str], how: str = "scan
         f = F.aggregate("s", seg_identity(), lambda acc, s: seg_combine(acc, seg(s["a"], s["b"])))
         return g.select(*rays, f["a"].alias("a"), f["b"].alias("b"), F.size("s").cast("long").alias("k"))
     if how == "levels":
-        out, first = df.withColumn("_k", F.lit(1).cast("long")), order
+        # one exchange brings the runs of the coarsest level together; finer ones fold inside it, and one more joins its ends
+        out, first = df.withColumn("_k", F.lit(1).cast("long")).repartition(*rays, *levels[:1]), order
         for depth in range(len(levels), -1, -1):
             keys = [*rays, *levels[:depth]]
             inner = _scan(out, keys, first, "_k")
@@ -107,11 +108,15 @@ def resolve_overlaps(df: DataFrame, rays: list[str], mode: str = "printed") -> D
     """Cuts segments (z_in < z_out) at all end points of their ray and averages what covers an interval:
     rays, z_in, z_out, a, b, covers. Intervals that nothing covers give no row. ``printed``: geometric mean of A,
     arithmetic of B; ``limit``: mean coefficients."""
-    ends = df.select(*rays, F.explode(F.array("z_in", "z_out")).alias("lo")).distinct()
+    # a ray's span in buckets of about 64 segments: a cell meets the segments of the bucket where it begins, so a hot ray is no one group
+    ray = Window.partitionBy(*rays)
+    x = df.withColumn("_lo", F.min("z_in").over(ray)).withColumn("_wide", (F.max("z_out").over(ray) - F.col("_lo")) / F.ceil(F.count("*").over(ray) / 64))
+    ends = x.select(*rays, "_lo", "_wide", F.explode(F.array("z_in", "z_out")).alias("lo")).distinct()
     w = Window.partitionBy(*rays).orderBy("lo")
-    cells = ends.withColumn("hi", F.lead("lo").over(w)).filter("hi is not null")
-    s = df.alias("s")
-    same = [F.col(f"s.{r}") == F.col(f"c.{r}") for r in rays]
+    bucket = lambda z: F.floor((F.col(z) - F.col("_lo")) / F.col("_wide"))
+    cells = ends.withColumn("hi", F.lead("lo").over(w)).filter("hi is not null").withColumn("_bucket", bucket("lo"))
+    s = x.withColumn("_bucket", F.explode(F.sequence(bucket("z_in"), bucket("z_out")))).alias("s")
+    same = [F.col(f"s.{r}") == F.col(f"c.{r}") for r in [*rays, "_bucket"]]
     cover = cells.alias("c").join(s, [*same, F.col("s.z_in") < F.col("c.hi"), F.col("s.z_out") > F.col("c.lo")])
     q = (F.col("hi") - F.col("lo")) / (F.col("s.z_out") - F.col("s.z_in"))
     a, b = F.col("s.a"), F.col("s.b")

@@ -3,6 +3,8 @@ at TOP levels, a leaf of level l covers 2 ** (d * (TOP - l)) keys."""
 
 from __future__ import annotations
 
+from bisect import bisect_right
+
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -174,14 +176,12 @@ class Owners:
     """First (tree, key) of every owner; which owners a node's range of keys touches."""
 
     def __init__(self, rows: list[tuple[int, int, int]]):
-        import bisect
-
         rows = sorted((t, k, p) for p, t, k in rows)
-        self.at, self.pid, self.find = [(t, k) for t, k, _ in rows], [p for *_, p in rows], bisect.bisect_right
+        self.at, self.pid = [(t, k) for t, k, _ in rows], [p for *_, p in rows]
 
     def of(self, tree: int, first: int, last: int) -> range:
-        lo = max(0, self.find(self.at, (tree, first)) - 1)
-        return range(lo, max(lo, self.find(self.at, (tree, last)) - 1) + 1)
+        lo = max(0, bisect_right(self.at, (tree, first)) - 1)
+        return range(lo, max(lo, bisect_right(self.at, (tree, last)) - 1) + 1)
 
     def receivers(self, tree: int, touches, top: int, d: int = 3) -> set[int]:
         """Owners whose leaves may touch a tile: top-down over nodes that are never built. ``touches``

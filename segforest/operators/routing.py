@@ -30,17 +30,16 @@ def senders_all_pairs(visible: DataFrame, w: int, h: int, t: int) -> DataFrame:
     return x.filter(meets).select("inst", "pid", "tile").distinct()
 
 
-def receivers(spark: SparkSession, marks: DataFrame, cams: list, t: int, top: int, most_owners: int = 100_000) -> DataFrame:
+def receivers(spark: SparkSession, marks: DataFrame, cams: list, t: int, top: int) -> DataFrame:
     """(inst, pid, tile) that may occur, from the marker table alone: each tile descends nodes that are never built,
     as far as one owner has all of a node. A superset of ``senders``: markers do not tell leaf sizes.
 
-    The markers go to every task: one row an owner, and an error beyond ``most_owners``."""
+    The markers go to every task once, sorted: one row an owner, so as many as there are partitions. A tile looks at the roots
+    of all trees and goes on below those that it meets."""
     from .forest import Owners
 
-    rows = [(r.pid, r.tree, r.key) for r in marks.limit(most_owners + 1).collect()]
-    if len(rows) > most_owners:
-        raise ValueError("too many owners for a marker table in memory")
-    own, trees = Owners(rows), sorted({r[1] for r in rows})
+    rows = [(r.pid, r.tree, r.key) for r in marks.collect()]
+    shared, trees = spark.sparkContext.broadcast(Owners(rows)), sorted({r[1] for r in rows})
     frames = {c.inst: c for c in cams}
     grid = None
     for c in cams:
@@ -58,7 +57,7 @@ def receivers(spark: SparkSession, marks: DataFrame, cams: list, t: int, top: in
                 across = tiles_across(cam.w, t)
                 x0, y0 = tile % across << t, tile // across << t
                 touches = lambda level, key: _meets(cam, level, key, top, x0, y0, 1 << t)  # noqa: B023, E731
-                for pid in sorted(set().union(*[own.receivers(tree, touches, top) for tree in trees])):
+                for pid in sorted(set().union(*[shared.value.receivers(tree, touches, top) for tree in trees])):
                     out[0].append(inst)
                     out[1].append(pid)
                     out[2].append(tile)

@@ -28,6 +28,18 @@ def escape_steps(cre: Column, cim: Column, limit: int = LIMIT) -> Column:
     return F.aggregate(F.sequence(F.lit(1), F.lit(limit)), start, go)["n"]
 
 
+def escape_counts(cre, cim, limit: int = LIMIT):
+    """The same for NumPy arrays."""
+    import numpy as np
+
+    x, y, n, live = np.zeros_like(cre), np.zeros_like(cre), np.zeros(cre.shape, np.int32), np.ones(cre.shape, bool)
+    for _ in range(limit):
+        live &= ~(x * x + y * y > 4.0)
+        x, y = np.where(live, x * x - y * y + cre, x), np.where(live, 2.0 * x * y + cim, y)
+        n += live
+    return n
+
+
 def expected_section(s0: float = S0, s1: float = S1) -> float:
     """Mean of the density 1 / (s ln(s1 / s0)) on [s0, s1]."""
     return (s1 - s0) / log(s1 / s0)

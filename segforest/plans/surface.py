@@ -15,7 +15,7 @@ from ..functions import geometry
 from ..functions.geometry import held
 from ..functions.sfc import coordinate, morton2
 from ..operators import forest
-from .scenes import escape_steps
+from .scenes import escape_counts
 
 CORNERS = ("p00", "p10", "p01", "p11")
 
@@ -44,13 +44,22 @@ def squares(leaves: DataFrame, top: int) -> DataFrame:
 
 
 def corner_steps(leaves: DataFrame, trees: DataFrame, top: int, limit: int) -> DataFrame:
-    """Leaves with the escape steps n00, n10, n01, n11 at their corners."""
+    """Leaves with the escape steps n00, n10, n01, n11 at their corners, for whole Arrow batches at once."""
+    import numpy as np
+    import pyarrow as pa
+
     x = squares(leaves.select("tree", "level", "key"), top).join(trees, "tree")
-    for i, j in ((0, 0), (1, 0), (0, 1), (1, 1)):
-        s, t = F.col("s0") + F.col("e") * i, F.col("t0") + F.col("e") * j
-        x = held(x, _x=on_patch(s, t, 0), _y=on_patch(s, t, 1))
-        x = x.withColumn(f"n{i}{j}", escape_steps(F.col("_x"), F.col("_y"), limit)).drop("_x", "_y")
-    return x.drop(*CORNERS)
+    ends = [(i, j) for i in (0, 1) for j in (0, 1)]
+    at = [F.array(*[on_patch(F.col("s0") + F.col("e") * i, F.col("t0") + F.col("e") * j, axis) for i, j in ends]) for axis in (0, 1)]
+    x = x.select("tree", F.col("level").cast("int").alias("level"), F.col("key").cast("long").alias("key"), "e", "s0", "t0", at[0].alias("_x"), at[1].alias("_y"))
+
+    def run(batches):
+        for b in batches:
+            c = [np.array(b.column(k).flatten(), float).reshape(-1, 4) for k in (6, 7)]
+            n = escape_counts(*c, limit)
+            yield pa.RecordBatch.from_arrays([*b.columns[:6], *(pa.array(n[:, k], pa.int32()) for k in range(4))], names=[*b.schema.names[:6], *(f"n{i}{j}" for i, j in ends)])
+
+    return x.mapInArrow(run, "tree int, level int, key long, e double, s0 double, t0 double, n00 int, n01 int, n10 int, n11 int")
 
 
 def fractal_mesh(trees: DataFrame, start: int, top: int, limit: int = 30, balanced: bool = True) -> DataFrame:
@@ -150,6 +159,10 @@ def opaque_grey(limit: int) -> Callable[[Column], tuple[Column, Column]]:
     return lambda v: (F.lit(0.0), 0.5 + 0.5 * v / limit)
 
 
+#: Colours of the light of both instances of the fractal example: white, and yellow.
+TINTS = {0: (1.0, 1.0, 1.0), 1: (1.0, 1.0, 0.0)}
+
+
 def glowing(limit: int) -> Callable[[Column], tuple[Column, Column]]:
     """Transparent, with light only just below the limit."""
     return lambda v: (F.when(v < 0.9 * limit, 1.0).when(v < limit, 0.3).otherwise(0.6), F.when((v >= 0.9 * limit) & (v < limit), 0.7).otherwise(0.0))

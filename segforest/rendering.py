@@ -5,9 +5,10 @@ from __future__ import annotations
 from pyspark.sql import functions as F
 
 from . import queries as base
-from .experiments import _CAMS, _CELL, _N, _OWN, _TREES, _culled, _image, _nation_trees, _visible
+from .experiments import _CAMS, _CELL, _FN, _FRACTAL, _N, _OWN, _TREES, _cell, _culled, _fractal_cams, _image, _nation_trees, _visible
 from .functions import algebra as A
 from .functions.sfc import morton2
+from .functions.sfc import morton2
 from .methods import _CUBES, _cubes
 from .operators import fold, forest
 from .plans import elements, pipeline, surface
@@ -65,14 +66,18 @@ _W, _ELL = 24, 0.03
 _EYES = [pipeline.Camera(i, (2.5 + 0.2 * i, 2.5, -2.0), (0.0, 0.0, 1.0), (1.0, 0.0, 0.0), (0.0, 1.0, 0.0), _W, _W, _ELL) for i in (0, 1)]
 
 
-def _patch_hits(faces: str) -> str:
+_EYE = [(e.o, e.ell) for e in _EYES]
+
+
+def _patch_hits(faces: str, eyes=_EYE, size: int = _W) -> str:
     """CTEs from faces (tree, face, pax..pdz: corners at (0, 0), (1, 0), (0, 1), (1, 1)) to hit (inst, i, j, tree, face, s, t, alpha, rx, ry)."""
-    m = (_W - 1) / 2
-    shift = ", ".join(f"p{p}x - (2.5 + 0.2 * inst) as p{p}x, p{p}y - 2.5 as p{p}y, p{p}z + 2.0 as p{p}z" for p in "abcd")
+    m = (size - 1) / 2
+    per = lambda values: "case inst " + " ".join(f"when {k} then {v!r}::double" for k, v in enumerate(values)) + " end"
+    shift = ", ".join(f"p{p}{c} - {per([o[a] for o, _ in eyes])} as p{p}{c}" for p in "abcd" for a, c in enumerate("xyz"))
     line = lambda v, k: f"(p{v}{k} - p{v}z * r{k})"
     coef = ", ".join(f"{line('a', k)} as a{n}, {line('b', k)} - {line('a', k)} as b{n}, {line('c', k)} - {line('a', k)} as c{n}, {line('d', k)} - {line('b', k)} - {line('c', k)} + {line('a', k)} as d{n}" for n, k in ((1, "x"), (2, "y")))
-    return f"""faces as ({faces}), own as (select inst::int as inst, tree, face, {shift} from faces, range(2) n(inst)),
-  cast_ as (select own.*, i, j, (i - {m}) * {_ELL} as rx, (j - {m}) * {_ELL} as ry from own, range({_W}) a(i), range({_W}) b(j)),
+    return f"""faces as ({faces}), moved as (select inst::int as inst, tree, face, {shift} from faces, range(2) n(inst)),
+  cast_ as (select moved.*, i, j, (i - {m}) * {per([e for _, e in eyes])} as rx, (j - {m}) * {per([e for _, e in eyes])} as ry from moved, range({size}) a(i), range({size}) b(j)),
   coef as (select *, {coef} from cast_),
   quad as (select *, b2 * d1 - d2 * b1 as q2, a2 * d1 - d2 * a1 + b2 * c1 - c2 * b1 as q1, a2 * c1 - c2 * a1 as q0 from coef),
   root as (select *, abs(q2) <= 1e-12 * (abs(q1) + abs(q0)) as flat, case when q1 * q1 - 4 * q2 * q0 >= 0 then -0.5 * (q1 + case when q1 < 0 then -1 else 1 end * sqrt(q1 * q1 - 4 * q2 * q0)) end as m from quad),
@@ -140,3 +145,48 @@ def q_surface_cosine(spark, d):
     y = surface.cosine(surface.patch_hits(x, ray), ray)
     y = y.withColumn("s_", A.seg_surface_angle(F.lit(0.5), F.lit(0.8), F.col("cosine")))
     return y.select("inst", "i", "j", "tree", _r("alpha", 5).alias("z"), _r("cosine", 5).alias("cosine"), _r("s_.a", 5).alias("a"), _r("s_.b", 5).alias("b"))
+
+
+# --- the fractal's image, and growth ---
+
+_HEX = " union all ".join(f"select {t} as tree, 0 as face, " + ", ".join(f"{v}::double as p{p}{c}" for p, q in zip("abcd", corners) for c, v in zip("xyz", (*q, 5.0))) for t, *corners in surface.HEXAGON)
+
+
+@_q(f"""{_FRACTAL}, leaf as (select tree, level, x, y, (64 >> level) as e from kid where not exists (select 1 from split t where t.tree = kid.tree and t.level = kid.level and t.x = kid.x and t.y = kid.y)),
+  four as (select leaf.*, a.n as n00, b.n as n10, c.n as n01, d.n as n11 from leaf join st a on a.tree = leaf.tree and a.i = x * e and a.j = y * e join st b on b.tree = leaf.tree and b.i = (x + 1) * e and b.j = y * e join st c on c.tree = leaf.tree and c.i = x * e and c.j = (y + 1) * e join st d on d.tree = leaf.tree and d.i = (x + 1) * e and d.j = (y + 1) * e),
+  {_patch_hits(_HEX, [(c.o, c.ell) for c in _fractal_cams()], _FN)},
+  own as materialized (select inst, i, j, hit.tree, hit.s * (1 << level) - x as s, hit.t * (1 << level) - y as t, n00, n10, n01, n11 from hit join four on four.tree = hit.tree and least(floor(hit.s * (1 << level)), (1 << level) - 1) = x and least(floor(hit.t * (1 << level)), (1 << level) - 1) = y),
+  shade as (select inst, i, j, (1 - s) * (1 - t) * n00 + s * (1 - t) * n10 + (1 - s) * t * n01 + s * t * n11 as v from own),
+  seg as (select inst, i, j, case when inst = 0 then 0.0 when v < 27 then 1.0 when v < 30 then 0.3 else 0.6 end as a, case when inst = 0 then 0.5 + 0.5 * v / 30 when v >= 27 and v < 30 then 0.7 else 0.0 end as b from shade)
+  select g.inst::int as inst, g.i, g.j, round(coalesce(a, 1) * sky + coalesce(b, 0), 4) as red, round(coalesce(a, 1) * sky + coalesce(b, 0), 4) as green, round(coalesce(a, 1) * sky + coalesce(b, 0) * (1 - g.inst), 4) as blue
+  from (select inst, i, j, case when inst = 0 then case when (i // 8 + j // 8) % 2 = 0 then 0.25 else 0.75 end else 0.1 end as sky from range(2) a(inst), range({_FN}) b(i), range({_FN}) c(j)) g left join seg on seg.inst = g.inst and seg.i = g.i and seg.j = g.j""")
+def q_fractal_image(spark, d):
+    """Both instances in one run, each with a camera of its own: opaque grey to white before a checkerboard sky, and yellow just below the limit."""
+    trees, cams = surface.hexagon(spark), _fractal_cams()
+    m = forest.cut(surface.fractal_mesh(trees, 2, 6))
+    s = surface.points(surface.cull(m, trees, cams, 6), {0: surface.opaque_grey(30), 1: surface.glowing(30)})
+    img = pipeline.image(pipeline.condense(s, 6, 2, 2))
+    grid = spark.range(2 * _FN * _FN).select(F.floor(F.col("id") / _FN**2).cast("int").alias("inst"), (F.col("id") % _FN).alias("i"), F.floor(F.col("id") % _FN**2 / _FN).alias("j"))
+    x = grid.withColumn("pix", morton2(F.col("i"), F.col("j"))).join(img, ["inst", "pix"], "left")
+    sky = F.when(F.col("inst") == 0, pipeline.checkerboard(F.col("i"), F.col("j"))).otherwise(0.1)
+    tint = lambda k: F.when(F.col("inst") == 0, surface.TINTS[0][k]).otherwise(surface.TINTS[1][k])
+    return x.select("inst", "i", "j", *[_r(F.coalesce("a", F.lit(1.0)) * sky + F.coalesce("b", F.lit(0.0)) * tint(k), 4).alias(c) for k, c in enumerate(("red", "green", "blue"))])
+
+
+@_q(_cell(_N, _culled(_N, " union all ".join(f"select {n} as level, range << {3 * (TOP - n)} as key from range({8**n})" for n in (3, 4, 5)), "with", 1)) + f""", n as (select level, count(*) as segments, count(distinct (pix, key >> (3 * ({TOP} - level + 1))::int)) as condensed from cell where zo - zi > 1e-9 group by level)
+  select level, power(8, level)::bigint as leaves, (select count(*) from v where v.level = n.level) as visible, segments, condensed, w.w as writers, (select min(t) from range(0, 8) t(t) where power(ceil({_N} / power(2, t)), 2) <= w.w)::int as tile from n, (select unnest([1, 4, 12]) as w) w""")
+def q_scaling(spark, d):
+    """Growth with the mesh and with the writers: leaves, visible leaves, segments, segments after a cycle, and the tile that so many writers take."""
+    from .operators import imagetree
+
+    out = None
+    for level in (3, 4, 5):
+        leaves = forest.uniform(spark, 1, level, TOP).withColumn("beta", F.lit(1.0)).withColumn("gamma", F.lit(1.0))
+        v = pipeline.visible_leaves(leaves, _CAMS[:1], TOP)
+        raw = forest.cut(pipeline.render(v, _CAMS[:1]).filter("z_out - z_in > 1e-9"))
+        cells = raw.select("pix", F.shiftright("key", 3 * (TOP - level + 1)).alias("p")).distinct()
+        row = raw.agg(F.lit(level).cast("long").alias("level"), F.lit(8**level).cast("long").alias("leaves"), F.count("*").alias("segments")).join(v.agg(F.count("*").alias("visible"))).join(cells.agg(F.count("*").alias("condensed")))
+        for writers in (1, 4, 12):
+            one = row.select("level", "leaves", "visible", "segments", "condensed", F.lit(writers).alias("writers"), F.lit(imagetree.tile_exponent([(_N, _N)], writers)).alias("tile"))
+            out = one if out is None else out.unionByName(one)
+    return out

@@ -1,15 +1,18 @@
 """Images as binary netpbm (P6) files: a Spark data source that writes pixels at their offsets, and reads them back.
 
-Rows: x int, y int, r int, g int, b int. Options: path, width, height. Tasks write into one file of final
-size on a file system with strided writes; the driver makes header and size before, so pixels
-without a row are black."""
+Rows: x int, y int, r int, g int, b int. Options: path, width, height. All tasks write into one file of final
+size, at the pixels' offsets, so ``path`` is on a file system that driver and executors share and that has strided writes (a path or a file: URI; other
+schemes are an error). The driver makes header and size before, so pixels
+without a row are black. A task sorts each batch by offset and writes runs of neighbouring pixels at once; of several rows of a
+pixel any one stays. A task that is run again writes the same bytes."""
 
 from __future__ import annotations
 
 import os
 from dataclasses import dataclass
 
-from pyspark.sql.datasource import DataSource, DataSourceReader, DataSourceWriter, InputPartition, WriterCommitMessage
+import numpy as np
+from pyspark.sql.datasource import DataSource, DataSourceArrowWriter, DataSourceReader, InputPartition, WriterCommitMessage
 
 SCHEMA = "x int, y int, r int, g int, b int"
 
@@ -23,10 +26,19 @@ class PpmSource(DataSource):
         return SCHEMA
 
     def reader(self, schema):
-        return PpmReader(self.options["path"])
+        return PpmReader(local(self.options["path"]))
 
     def writer(self, schema, overwrite):
-        return PpmWriter(self.options["path"], int(self.options["width"]), int(self.options["height"]))
+        return PpmWriter(local(self.options["path"]), int(self.options["width"]), int(self.options["height"]))
+
+
+def local(path: str) -> str:
+    """The path of a file: URI."""
+    if path.startswith("file:"):
+        path = "/" + path[5:].lstrip("/")
+    if "://" in path:
+        raise ValueError(f"{path}: no strided writes there")
+    return path
 
 
 def header(w: int, h: int) -> bytes:
@@ -38,20 +50,27 @@ class Done(WriterCommitMessage):
     pixels: int
 
 
-class PpmWriter(DataSourceWriter):
+class PpmWriter(DataSourceArrowWriter):
     def __init__(self, path: str, w: int, h: int):
         self.path, self.w, self.h = path, w, h
         with open(path, "wb") as f:
             f.write(header(w, h))
             f.truncate(len(header(w, h)) + 3 * w * h)
 
-    def write(self, rows):
+    def write(self, batches):
         n, start = 0, len(header(self.w, self.h))
         fd = os.open(self.path, os.O_WRONLY)
         try:
-            for r in rows:
-                os.pwrite(fd, bytes((r.r, r.g, r.b)), start + 3 * (r.y * self.w + r.x))
-                n += 1
+            for batch in batches:
+                x, y, *rgb = (np.asarray(batch.column(k)) for k in range(5))
+                if not len(x):
+                    continue
+                at, first = np.unique(y.astype(np.int64) * self.w + x, return_index=True)
+                data = np.stack(rgb, 1).astype(np.uint8)[first]
+                cuts = np.flatnonzero(np.diff(at) != 1) + 1
+                for lo, hi in zip(np.append(0, cuts), np.append(cuts, len(at))):
+                    os.pwrite(fd, data[lo:hi].tobytes(), start + 3 * int(at[lo]))
+                n += len(x)
         finally:
             os.close(fd)
         return Done(n)

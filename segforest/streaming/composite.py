@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from bisect import bisect_left
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -40,9 +42,10 @@ def running(stream: DataFrame, late: str) -> DataFrame:
                     k += 1
         pend.sort()
         mark = state.getCurrentWatermarkMs() * 1000
-        while pend and pend[0][0] < mark:
-            t, x, y = pend.pop(0)
+        done = bisect_left(pend, (mark,))
+        for _, x, y in pend[:done]:
             a, b = a * x, a * y + b
+        pend = pend[done:]
         sealed = max(sealed, mark)
         state.update((a, b, k, lates, sealed, [p[0] for p in pend], [p[1] for p in pend], [p[2] for p in pend]))
         for _, x, y in pend:
@@ -62,6 +65,14 @@ def with_headers(stream: DataFrame, headers: DataFrame, key: str) -> DataFrame:
     return stream.join(headers, key, "left")
 
 
+def with_live_headers(stream: DataFrame, headers: DataFrame, key: str, time: str, header_time: str, within: str, late: str) -> DataFrame:
+    """Segments with the headers of their ray that arrive as a stream of their own, not more than ``within`` before a segment or
+    after it. Both sides wait for ``late``; segments without a header then come with nulls. The headers' key is ``key`` too."""
+    h = headers.withColumnRenamed(key, "_key").withWatermark(header_time, late)
+    near = (F.col(header_time) >= F.col(time) - F.expr(f"interval {within}")) & (F.col(header_time) <= F.col(time) + F.expr(f"interval {within}"))
+    return stream.withWatermark(time, late).join(h, (F.col(key) == F.col("_key")) & near, "left").drop("_key")
+
+
 def image_writer(path: str, w: int, h: int):
     """For ``foreachBatch``: each batch of pixels (x, y, r, g, b) becomes the file ``path``-<batch>.ppm; a batch that is run
     again writes the same file again."""

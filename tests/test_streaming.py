@@ -73,3 +73,25 @@ def test_dedup_headers_and_images(spark, tmp_path):
     spark.dataSource.register(PpmSource)
     got = spark.read.format("ppm").option("path", str(tmp_path / "i-0.ppm")).load().filter("r > 0").collect()
     assert sorted(map(tuple, got)) == [(0, 0, 9, 1, 2), (1, 1, 8, 1, 2), (2, 2, 7, 1, 2)]
+
+
+def test_sliding_and_session_windows_on_a_stream(spark, tmp_path):
+    batch, stream = files(spark, tmp_path)
+    for name, how in (("sliding", {"slide": "10 days"}), ("session", {"gap": "10 days"})):
+        make = lambda df: windowed(df.withColumnRenamed("event_id", "tie"), ["user_id"], "ts", "30 days", "400 days", **how)  # noqa: B023, E731
+        got = drain(make(stream), name, "complete").toPandas().sort_values(["user_id", "start"])
+        want = make(batch).toPandas().sort_values(["user_id", "start"])
+        assert len(got) == len(want) and np.allclose(got[["a", "b", "k"]], want[["a", "b", "k"]])
+
+
+def test_headers_that_arrive_as_a_stream(spark, tmp_path):
+    from segforest.streaming.composite import with_live_headers
+
+    at = lambda c: F.timestamp_seconds(F.col(c)).alias(c)
+    seg = spark.createDataFrame([(1, 1000, 0.5), (1, 9000, 0.6), (2, 1000, 0.7), (3, 90_000_000, 0.1)], "ray int, z long, a double").select("ray", at("z"), "a")
+    head = spark.createDataFrame([(1, 1010, 7.0), (2, 5000, 8.0), (9, 90_000_000, 0.0)], "ray int, sent long, sky double").select("ray", at("sent"), "sky")
+    for n, x in (("seg", seg), ("head", head)):
+        x.orderBy(x.columns[1]).coalesce(1).write.parquet(str(tmp_path / n))
+    s, h = (spark.readStream.schema(x.schema).parquet(str(tmp_path / n)) for n, x in (("seg", seg), ("head", head)))
+    got = drain(with_live_headers(s, h, "ray", "z", "sent", "1 minute", "1 minute"), "live", "append").collect()
+    assert {(r.ray, r.a, r.sky) for r in got} >= {(1, 0.5, 7.0), (1, 0.6, None), (2, 0.7, None)}
