@@ -106,7 +106,40 @@ def q_window_session(spark, d):
     return w.select("user_id", F.col("start").cast("timestamp_ntz").alias("start"), _r("a").alias("a"), _r("b").alias("b"), "k")
 
 
-@_q()
+_BE, _GA = (lambda x: f"(1 + 0.8 * sin(3 * ({x})) + ({x}))"), (lambda x: f"(2 + cos(5 * ({x})) + ({x}) * ({x}))")
+
+
+def _sql_rk(stages: list[tuple[str, str]], weights: list[str]) -> tuple[str, str]:
+    """One step of a subdiagonal rule as SQL: places and subdiagonal entries of the stages, and their weights."""
+    da, db, a_sum, b_sum = "", "", [], []
+    for (at, sub), w in zip(stages, weights):
+        be, ga = _BE(f"x + {at} * h"), _GA(f"x + {at} * h")
+        a, b = (f"(1 + h * {sub} * {da})", f"(h * {sub} * {db})") if da else ("1.0", "0.0")
+        da, db = f"(-{be} * {a})", f"({ga} - {be} * {b})"
+        a_sum.append(f"{w} * {da}")
+        b_sum.append(f"{w} * {db}")
+    return f"1 + h * ({' + '.join(a_sum)})", f"h * ({' + '.join(b_sum)})"
+
+
+_G0, _G1 = "(0.5 - sqrt(3) / 6)", "(0.5 + sqrt(3) / 6)"
+_QA = f"exp(-h * ({_BE('x')} + 4 * {_BE('x + h / 2')} + {_BE('x + h')}) / 6)"
+_GAUSS = [_BE(f"x + {_G0} * h"), _BE(f"x + {_G1} * h"), _GA(f"x + {_G0} * h"), _GA(f"x + {_G1} * h")]
+_DEN = f"(1 + h * ({_GAUSS[0]} + {_GAUSS[1]}) / 4 + h * h * {_GAUSS[0]} * {_GAUSS[1]} / 12)"
+_SQL_STEPS = {
+    "euler": _sql_rk([("0", "")], ["1"]),
+    "heun2": _sql_rk([("0", ""), ("1", "1")], ["0.5", "0.5"]),
+    "heun3": _sql_rk([("0", ""), ("(1 / 3)", "(1 / 3)"), ("(2 / 3)", "(2 / 3)")], ["0.25", "0", "0.75"]),
+    "rk4": _sql_rk([("0", ""), ("0.5", "0.5"), ("0.5", "0.5"), ("1", "1")], ["(1 / 6)", "(1 / 3)", "(1 / 3)", "(1 / 6)"]),
+    "gauss": (f"({_DEN} - h * ({_GAUSS[0]} + {_GAUSS[1]}) / 2) / {_DEN}", f"(h * ({_GAUSS[2]} + {_GAUSS[3]}) / 2 + h * h * ({_GAUSS[0]} * {_GAUSS[3]} - {_GAUSS[1]} * {_GAUSS[2]}) * sqrt(3) / 12) / {_DEN}"),
+    "simpson": (_QA, f"h * ({_QA} * {_GA('x')} + 4 * sqrt({_QA}) * {_GA('x + h / 2')} + {_GA('x + h')}) / 6"),
+    "simpson_half": (_QA, f"h * ({_QA} * {_GA('x')} + 4 * exp(-h / 2 * ({_BE('x + h / 2')} + 4 * {_BE('x + 0.75 * h')} + {_BE('x + h')}) / 6) * {_GA('x + h / 2')} + {_GA('x + h')}) / 6"),
+}
+
+
+@_q("with g as (select n, k, k / n::double as x, 1.0::double / n as h from (select unnest([8, 16, 32, 1024]) as n) n, range(1024) k(k) where k < n), s as (" + " union all ".join(f"select '{m}' as method, n, k, {a} as a, {b} as b from g" for m, (a, b) in _SQL_STEPS.items()) + """),
+  f as (select *, exp(coalesce(sum(ln(a)) over (partition by method, n order by k desc rows between unbounded preceding and 1 preceding), 0)) as t from s), w as (select method, n, exp(sum(ln(a))) as a, sum(t * b) as b from f group by 1, 2),
+  e as (select w.method, w.n, p.part, abs(case p.part when 'a' then w.a - x.a else w.b - x.b end) as err from w, w x, (select unnest(['a', 'b']) as part) p where x.method = 'rk4' and x.n = 1024 and w.n < 1024)
+  select e.method, e.part, e.n::int as n, round(e.err, 9) as err, round(log2(u.err / e.err), 2) as "order" from e join e u on u.method = e.method and u.part = e.part and u.n * 2 = e.n""")
 def q_observed_order(spark, d):
     """Error of each rule on one medium with n equal steps, and the order that halving shows: explicit rules 1 to 4, Gauss 4,
     Simpson 4 in A and 2 in B (4 with a midpoint transmittance of its own)."""
@@ -117,7 +150,7 @@ def q_observed_order(spark, d):
     f = fold.composite(steps, ["method", "n"], ["z"])
     exact = f.filter("method = 'rk4' and n = 1024").select(F.col("a").alias("ea"), F.col("b").alias("eb"))
     x = f.filter("n < 1024").join(F.broadcast(exact)).select("method", "n", F.explode(F.array(F.struct(F.lit("a").alias("part"), F.abs(F.col("a") - F.col("ea")).alias("err")), F.struct(F.lit("b").alias("part"), F.abs(F.col("b") - F.col("eb")).alias("err")))).alias("e")).select("method", "n", "e.*")
-    return metrics.observed_order(x, ["method", "part"])
+    return metrics.observed_order(x, ["method", "part"]).select("method", "part", "n", _r("err", 9).alias("err"), _r("order", 2).alias("order"))
 
 
 @_q("""with r as (select *, case when b <= c then 0 else ceil(log2(b / c))::bigint end as depth from (select value / 100 as b from events), (select unnest([1.0, 0.5, 0.02])::double as c), (select unnest(['euler', 'rk4', 'gauss', 'simpson']) as method, unnest([1, 4, 2, 3]) as nodes)),
@@ -433,11 +466,14 @@ def q_sphere_section(spark, d):
     return x.agg(F.count("*").alias("spheres"), _r(F.avg(s), 8).alias("mean"), _r(F.lit(e), 8).alias("expected"), _r((F.avg(s) - e) / (F.stddev(s) / F.sqrt(F.count("*"))), 5).alias("z_section"), _r((F.count("*") - F.lit(n)) / F.lit(n**0.5), 5).alias("z_count"))
 
 
-def _few(spark, d, most=44):
-    return _spheres(spark, d).filter(F.col("p_partkey") <= most).select(F.col("p_partkey").alias("sid"), "cx", "cy", "cz", F.least(F.col("r") * 2, F.lit(0.3)).alias("r"))
+def _picture(spark, most=44):
+    """The 44 spheres of the picture, by the size law from their numbers."""
+    k = spark.range(1, most + 1).withColumnRenamed("id", "sid")
+    at = [scenes.uniform01(F.col("sid"), a).alias(f"c{n}") for a, n in ((1, "x"), (2, "y"), (3, "z"))]
+    return k.select("sid", *at, F.sqrt(scenes.section(scenes.uniform01(F.col("sid"), 4)) / F.pi()).alias("r"))
 
 
-@_q(f"""with recursive s as (select p_partkey, cx, cy, cz, least(r * 2, 0.3) as r from {_SPH} where p_partkey <= 44),
+@_q(f"""with recursive s as (select p_partkey, cx, cy, cz, r from {_SPH}),
   n as (select 0 as level, 0::bigint as x, 0::bigint as y, 0::bigint as z, p_partkey from s where {'{0}'}
     union all select n.level + 1, 2 * n.x + i.i, 2 * n.y + j.j, 2 * n.z + k.k, n.p_partkey from n join s using (p_partkey), range(2) i(i), range(2) j(j), range(2) k(k) where n.level < 3 and {'{1}'}),
   split as (select distinct level, x, y, z from n), kid as (select level + 1 as level, 2 * x + i.i as x, 2 * y + j.j as y, 2 * z + k.k as z from split, range(2) i(i), range(2) j(j), range(2) k(k))
@@ -445,30 +481,33 @@ def _few(spark, d, most=44):
     *["power(greatest({x} * {e} - cx, cx - ({x} + 1) * {e}, 0), 2) + power(greatest({y} * {e} - cy, cy - ({y} + 1) * {e}, 0), 2) + power(greatest({z} * {e} - cz, cz - ({z} + 1) * {e}, 0), 2) <= power(r * 1.1, 2) and power(greatest(abs(cx - {x} * {e}), abs(cx - ({x} + 1) * {e})), 2) + power(greatest(abs(cy - {y} * {e}), abs(cy - ({y} + 1) * {e})), 2) + power(greatest(abs(cz - {z} * {e}), abs(cz - ({z} + 1) * {e})), 2) >= power(r * 0.9, 2) and {e} >= r * 0.05".format(**v) for v in ({"x": "0", "y": "0", "z": "0", "e": "1.0"}, {"x": "(2 * n.x + i.i)", "y": "(2 * n.y + j.j)", "z": "(2 * n.z + k.k)", "e": "power(2.0, -n.level - 1)"})]
 ))
 def q_sphere_mesh(spark, d):
-    """Leaves by level of the mesh refined at the shells of 44 spheres, to level 4."""
-    return spheres.shell_mesh(_few(spark, d), 4, 0.1, 7).groupBy("level").agg(F.count("*").alias("leaves"))
+    """Leaves by level of the mesh refined at the shells of all parts' spheres, to level 4."""
+    s = _spheres(spark, d).select(F.col("p_partkey").alias("sid"), "cx", "cy", "cz", "r")
+    return spheres.shell_mesh(s, 4, 0.1, 7).groupBy("level").agg(F.count("*").alias("leaves"))
 
 
-def _sphere_image(spark, d, level, method, c, size=24):
-    cams = pipeline.front_cameras(1, size)
-    s = _few(spark, d)
+def _sphere_scene(spark, level, size=24):
+    """Mesh of a level at the picture's spheres, and the leaves that the camera sees, with the spheres near them."""
+    cams, s = pipeline.front_cameras(1, size), _picture(spark)
     leaves = forest.cut(spheres.shell_mesh(s, level, 0.1, 7))
-    near = spheres.spheres_of_leaves(leaves, s, 0.1, 7)
-    seen = forest.cut(pipeline.cull(near, cams, 7))
-    seg = forest.cut(spheres.render(seen, cams, method, c, 0.1))
-    img = pipeline.image(seg).select("inst", "pix", F.col("b").alias("v"))
-    return leaves, seg, img
+    return cams, leaves, forest.cut(pipeline.cull(spheres.spheres_of_leaves(leaves, s, 0.1, 7), cams, 7))
+
+
+def _sphere_image(scene, method, c):
+    """Segments of a scene by a rule and threshold, and their image."""
+    seg = forest.cut(spheres.render(scene[2], scene[0], method, c, 0.1))
+    return seg, pipeline.image(seg).select("inst", "pix", F.col("b").alias("v"))
 
 
 @_q()
 def q_sphere_errors(spark, d):
     """Error of coarse settings against a fine one: one Simpson step an element without recursion, Simpson at c = 1 on levels
-    3 and 4, Gauss at c = 0.02; with leaves, segments and density evaluations."""
-    ref = _sphere_image(spark, d, 5, "rk4", 0.05)[2]
-    ref, out = forest.cut(ref), None
+    3 and 4, Gauss at c = 0.02; with leaves, segments and density evaluations. A mesh serves all settings of its level."""
+    scene = {level: _sphere_scene(spark, level) for level in (3, 4, 5)}
+    ref, out = forest.cut(_sphere_image(scene[5], "rk4", 0.05)[1]), None
     for name, level, method, c in (("simpson_one_step", 4, "simpson", 0.0), ("simpson_c1_level3", 3, "simpson", 1.0), ("simpson_c1_level4", 4, "simpson", 1.0), ("gauss_c002_level4", 4, "gauss", 0.02)):
-        leaves, seg, img = _sphere_image(spark, d, level, method, c)
+        seg, img = _sphere_image(scene[level], method, c)
         work = seg.agg(F.count("*").alias("segments"), F.sum("evals").alias("evals"))
-        row = metrics.image_error(img, ref, ["inst", "pix"]).join(work).join(leaves.agg(F.count("*").alias("leaves"))).select(F.lit(name).alias("setting"), "leaves", "segments", "evals", "max_error", "rmse")
+        row = metrics.image_error(img, ref, ["inst", "pix"]).join(work).join(scene[level][1].agg(F.count("*").alias("leaves"))).select(F.lit(name).alias("setting"), "leaves", "segments", "evals", "max_error", "rmse")
         out = row if out is None else out.unionByName(row)
     return out

@@ -192,6 +192,34 @@ def q_spheres_poisson(spark, d):
     return _t(spark, d, "part").select(F.col("p_partkey").alias("u_id"), scenes.poisson(scenes.uniform01(F.col("p_partkey"), 4), mean).cast("int").alias("n"))
 
 
+_WHOLE = """select 'embedding' as kind, vec_id as id, round(embedding[1]::double + 0.5, 6) as cx, round(sqrt(0.001 * power(100.0, {u}) / pi()), 8) as r from embeddings
+  union all select 'document', doc_id, round({x}, 6), round(sqrt(0.001 * power(100.0, least(1.0, ln(1 + coalesce(length(text), 0)) / ln(200001))) / pi()), 8) from documents"""
+
+
+@_q(_WHOLE.format(u=_U("vec_id", 4), x=_U("doc_id", 1)))
+def q_spheres_tables(spark, d):
+    """Spheres from embeddings (centre by the first numbers) and from documents (section by the length of the whole text)."""
+    e = _t(spark, d, "embeddings").select(F.lit("embedding").alias("kind"), F.col("vec_id").alias("id"), _r(F.element_at("embedding", 1).cast("double") + 0.5).alias("cx"), scenes.uniform01(F.col("vec_id"), 4).alias("u"))
+    long = F.least(F.lit(1.0), F.ln(1 + F.coalesce(F.length("text"), F.lit(0))) / F.ln(F.lit(200001)))
+    t = _t(spark, d, "documents").select(F.lit("document").alias("kind"), F.col("doc_id").alias("id"), _r(scenes.uniform01(F.col("doc_id"), 1)).alias("cx"), long.alias("u"))
+    return e.unionByName(t).select("kind", "id", "cx", _r(F.sqrt(scenes.section(F.col("u")) / F.pi()), 8).alias("r"))
+
+
+_LI = "(select l_discount, l_tax, " + ", ".join(f"least(63, greatest(0, floor({v} * 64)))::bigint as {c}" for c, v in zip("xyz", ("(l_quantity - 1) / 49", "(l_extendedprice - 900) / 104100", "date_diff('day', timestamp '1995-01-01', l_shipdate) / 2500.0"))) + " from lineitem)"
+_LIKEY = f"(select *, {' + '.join(f'(((x >> {i}) & 1) << {3 * i}) + (((y >> {i}) & 1) << {3 * i + 1}) + (((z >> {i}) & 1) << {3 * i + 2})' for i in range(6))} as key from {_LI})"
+
+
+@_q(f"""with p as materialized {_LIKEY}, u as (select l.level, key >> (3 * (6 - l.level))::int as p, count(*) as n from p, (select unnest(range(0, 7)) as level) l group by 1, 2),
+  leaf as (select u.* from u left join u o on o.level = u.level - 1 and o.p = u.p >> 3 where (u.n <= 32 or u.level = 6) and (u.level = 0 or o.n > 32))
+  select level, leaf.p << (3 * (6 - level))::int as key, count(*) as n, round(avg(l_discount) * 20, 6) as beta, round(avg(l_tax) * 20, 6) as gamma from p join leaf on p.key >> (3 * (6 - leaf.level))::int = leaf.p group by 1, 2""")
+def q_insitu_payload(spark, d):
+    """A forest of at most 32 line items a leaf, and what its leaves hold: count, mean discount and tax as coefficients."""
+    at = [(F.col("l_quantity") - 1) / 49, (F.col("l_extendedprice") - 900) / 104100, F.datediff(F.col("l_shipdate").cast("date"), F.lit("1995-01-01").cast("date")) / 2500.0]
+    p = _t(spark, d, "lineitem").select(F.lit(0).alias("tree"), sfc.morton3(*[sfc.cell(v, 6) for v in at]).alias("key"), "l_discount", "l_tax")
+    x = forest.locate(p, forest.from_points(p, 32, 6), 6).groupBy(F.col("leaf_level").cast("bigint").alias("level"), F.col("leaf_key").alias("key"))
+    return x.agg(F.count("*").alias("n"), _r(F.avg("l_discount") * 20).alias("beta"), _r(F.avg("l_tax") * 20).alias("gamma"))
+
+
 @_q(f"select r_regionkey as inst, tree, round(x00 - 2.5 - 0.2 * r_regionkey, 6) as cx, round(y00 - 2.5, 6) as cy, round(z00 + 2.0, 6) as cz from {_TREES} cross join region")
 def q_to_camera(spark, d):
     """A control point of every tree in every camera's frame, from the step that turns trees before elements meet them."""
