@@ -257,9 +257,7 @@ def near_duplicates(docs: DataFrame, shingle: int = 5, threshold: float = 0.8, s
     # buckets of more than one representative; their members, with the smallest one
     member = reps.select("rep", F.explode("bands").alias("key"))
     leads = member.groupBy("key").agg(F.min("rep").alias("lead"), F.count("*").alias("n")).filter("n > 1").drop("n")
-    # a bucket's members meet its leader in SALTS tasks, as one bucket may hold a large group of near copies
-    dealt = leads.withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALTS - 1).cast("long"))))
-    inside = written(member.withColumn("salt", F.pmod(F.xxhash64("rep"), F.lit(SALTS))).join(dealt, ["key", "salt"]).drop("salt"), "buckets")
+    inside = written(_spread(member, leads), "buckets")
 
     bound, per = sketch_bound(threshold, samples), round(threshold * 100)
     wanted = inside.select("rep").distinct().join(reps.select("rep", "doc_id", "t", "s1", "s2"), "rep")
@@ -279,7 +277,7 @@ def near_duplicates(docs: DataFrame, shingle: int = 5, threshold: float = 0.8, s
     enough = max(20, found // 20)
     for number in range(1, MOST_ROUNDS):
         leader = F.min(F.struct(F.xxhash64("rep", F.lit(number)).alias("h"), F.col("rep").alias("lead"), F.col("tree").alias("lead_tree"))).alias("m")
-        pairs = at.join(at.groupBy("key").agg(leader).select("key", "m.lead", "m.lead_tree"), "key").filter("tree <> lead_tree")
+        pairs = _spread(at, at.groupBy("key").agg(leader).select("key", "m.lead", "m.lead_tree")).filter("tree <> lead_tree")
         links, found = star(pairs.select(F.col("lead").alias("a"), F.col("rep").alias("b")), whole, None)
         if found:
             trees, at = _joined(links, trees, at)
@@ -290,7 +288,7 @@ def near_duplicates(docs: DataFrame, shingle: int = 5, threshold: float = 0.8, s
     # trees that share a bucket and are not linked yet, in blocks of the bucket's members
     w = F.pmod(F.xxhash64("rep"), F.col("blocks"))
     sizes = at.groupBy("key").agg(F.ceil(F.count("*") / BLOCK).alias("blocks"))
-    rest = written(at.join(sizes, "key").withColumn("own", w).join(whole, "rep"), "bucket-sketches")
+    rest = written(_spread(at, sizes).withColumn("own", w).join(whole, "rep"), "bucket-sketches")
     p = rest.select("*", F.explode(F.sequence(F.col("own"), F.col("blocks") - 1)).alias("other"))
     q = rest.select("*", F.explode(F.sequence(F.lit(0).cast("long"), F.col("own"))).alias("other"))
     same = (F.col("p.key") == F.col("q.key")) & (F.col("p.own") == F.col("q.other")) & (F.col("p.other") == F.col("q.own"))
@@ -308,6 +306,13 @@ def near_duplicates(docs: DataFrame, shingle: int = 5, threshold: float = 0.8, s
     return out.union(alone).withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))
 
 
+def _spread(members: DataFrame, buckets: DataFrame) -> DataFrame:
+    """``members`` (key, rep, ...) joined with ``buckets`` (one row a key) in SALTS tasks a key, as one bucket may hold a large group of
+    near copies."""
+    dealt = buckets.withColumn("_salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALTS - 1).cast("long"))))
+    return members.withColumn("_salt", F.pmod(F.xxhash64("rep"), F.lit(SALTS))).join(dealt, ["key", "_salt"]).drop("_salt")
+
+
 def _in_trees(members: DataFrame, trees: DataFrame) -> DataFrame:
     """``members`` (rep, ...) with ``tree``: the root of rep, or rep itself."""
     return members.join(trees.select(F.col("node").alias("rep"), F.col("root").alias("tree")), "rep", "left").withColumn("tree", F.coalesce("tree", "rep"))
@@ -316,7 +321,7 @@ def _in_trees(members: DataFrame, trees: DataFrame) -> DataFrame:
 def _mixed(at: DataFrame) -> DataFrame:
     """The rows (key, rep, tree) of buckets that hold more than one tree."""
     several = at.groupBy("key").agg(F.min("tree").alias("lo"), F.max("tree").alias("hi")).filter("lo < hi").select("key")
-    return at.join(several, "key", "left_semi")
+    return _spread(at, several)
 
 
 def _joined(links: DataFrame, trees: DataFrame, at: DataFrame | None) -> tuple[DataFrame, DataFrame | None]:
