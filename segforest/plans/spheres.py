@@ -3,10 +3,10 @@ sharp but smooth step of density at each shell, integrated by any rule and thres
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..functions import geometry
 from ..functions.sfc import coordinate, morton2
 from ..operators import forest, quadrature
 from .scenes import expected_section, poisson, section, shell_meets_box, uniform01
@@ -94,49 +94,76 @@ def spheres_of_leaves(leaves: DataFrame, spheres: DataFrame, eps: float, top: in
     return j.withColumn("near", F.coalesce("near", F.expr("cast(array() as array<struct<sid:bigint,cx:double,cy:double,cz:double,r:double>>)")))
 
 
+#: Rays that a task integrates at once.
+RAYS = 1 << 17
+
+
+def _cast(cam: dict, box: np.ndarray, i: np.ndarray, j: np.ndarray) -> tuple[np.ndarray, ...]:
+    """Directions [3, rays] of pixels (i, j), and the ray parameters at which they enter and leave their boxes [6, rays], within the clipping planes.
+    ``cam`` has the cameras' numbers by ray."""
+    p, q = (i - (cam["w"] - 1) / 2) * cam["ell"], (j - (cam["h"] - 1) / 2) * cam["ell"]
+    d = cam["v"] + p * cam["t"] + q * cam["u"]
+    with np.errstate(divide="ignore", invalid="ignore"):
+        t0, t1 = (box[:3] - cam["o"]) / d, (box[3:] - cam["o"]) / d
+    flat, inside = np.abs(d) < 1e-12, (cam["o"] >= box[:3]) & (cam["o"] < box[3:])
+    near = np.where(flat, np.where(inside, -np.inf, np.inf), np.minimum(t0, t1)).max(0)
+    far = np.where(flat, np.where(inside, np.inf, -np.inf), np.maximum(t0, t1)).min(0)
+    return d, np.maximum(near, 1.0), np.minimum(far, cam["end"])
+
+
 def render(visible: DataFrame, cams: list, method: str, c: float, eps: float, dense: float = 8.0, glow: float = 4.0, max_depth: int = 16) -> DataFrame:
     """Segments of all rays through visible leaves (with ``near``, box x0..z1, pixel rectangle): inst, i, j, pix, z_in, z_out, a,
     b, evals, tree, level, key. Density is ``dense`` inside each sphere and falls to 0 between (1 - eps) r and (1 + eps) r;
     light is ``glow`` times the density. Leaves far from all spheres give identity segments and are left out.
-    ``c`` 0 takes one step an element, without recursion."""
-    import numpy as np
+    ``c`` 0 takes one step an element, without recursion. A leaf is one row, spheres and all; its rays are made in the task."""
     import pyarrow as pa
-    import pyarrow.compute as pc
 
-    pixels = visible.filter(F.size("near") > 0).withColumn("i", F.explode(F.sequence("i0", "i1"))).withColumn("j", F.explode(F.sequence("j0", "j1")))
-    parts = None
-    for cam in cams:
-        r = geometry.ray_dir(F.col("i"), F.col("j"), cam.w, cam.h, cam.ell, cam.v, cam.t, cam.u)
-        near, far = geometry.hit_box([F.col(f"{k}0") for k in "xyz"], [F.col(f"{k}1") for k in "xyz"], [F.lit(v) for v in cam.o], r)
-        x = pixels.filter(F.col("inst") == cam.inst).withColumn("z_in", F.greatest(near, F.lit(1.0))).withColumn("z_out", F.least(far, F.lit(cam.far / cam.n))).filter("z_in < z_out")
-        x = x.select("inst", "i", "j", "z_in", "z_out", *[F.lit(v).alias(f"o{k}") for v, k in zip(cam.o, "xyz")], *[v.alias(f"d{k}") for v, k in zip(r, "xyz")], "near", "tree", F.col("level").cast("int").alias("level"), "key")
-        parts = x if parts is None else parts.unionByName(x)
+    number = {cam.inst: k for k, cam in enumerate(cams)}
+    table = {n: np.array([getattr(cam, n) for cam in cams], float).T for n in ("o", "v", "t", "u", "w", "h", "ell")} | {"end": np.array([cam.far / cam.n for cam in cams])}
+    x = visible.filter(F.size("near") > 0).select("inst", "i0", "i1", "j0", "j1", *[f"{k}{side}" for side in (0, 1) for k in "xyz"], "near", "tree", F.col("level").cast("int").alias("level"), "key")
+
+    def some(t, get, first, counts, ball, lo, hi, rays):
+        """Segments of the rays of the leaves lo to hi of a batch."""
+        leaf = np.repeat(np.arange(lo, hi), rays[lo:hi])
+        k = np.arange(len(leaf)) - np.repeat(np.cumsum(rays[lo:hi]) - rays[lo:hi], rays[lo:hi])
+        wide = (get["i1"] - get["i0"] + 1)[leaf]
+        i, j = get["i0"][leaf] + k % wide, get["j0"][leaf] + k // wide
+        box = np.stack([get[f"{n}{side}"] for side in (0, 1) for n in "xyz"])[:, leaf]
+        cam = {n: v[..., get["cam"][leaf]] for n, v in table.items()}
+        d, z_in, z_out = _cast(cam, box, i, j)
+        keep = np.flatnonzero(z_in < z_out)
+        leaf, i, j, d, o, z_in, z_out = leaf[keep], i[keep], j[keep], d[:, keep], cam["o"][:, keep], z_in[keep], z_out[keep]
+        speed, many, start = np.sqrt((d * d).sum(0)), counts[leaf], first[leaf]
+
+        def density(s, x):  # x: length from the far end, growing towards the eye
+            at = o[:, s] + d[:, s] * (-x / speed[s])
+            rho = np.zeros(len(s))
+            for n in range(int(many[s].max()) if len(s) else 0):
+                m = many[s] > n
+                b = ball[:, start[s[m]] + n]
+                q = np.sqrt(((at[:, m] - b[:3]) ** 2).sum(0)) / b[3]
+                u = np.clip((1 + eps - q) / (2 * eps), 0, 1)
+                rho[m] += u * u * (3 - 2 * u)
+            return dense * rho
+
+        r = quadrature.seg_eval(method, density, lambda s, x: glow * density(s, x), -z_out * speed, -z_in * speed, c or np.inf, max_depth)
+        same = {n: t.column(t.schema.get_field_index(n)).take(pa.array(leaf)) for n in ("inst", "tree", "level", "key")}
+        return pa.RecordBatch.from_arrays([same["inst"], pa.array(i), pa.array(j), pa.array(z_in), pa.array(z_out), *(pa.array(r[n]) for n in ("a", "b", "evals")), same["tree"], same["level"], same["key"]], names=["inst", "i", "j", "z_in", "z_out", "a", "b", "evals", "tree", "level", "key"])
 
     def run(batches):
         for t in batches:
-            col = {n: t.column(k) for k, n in enumerate(t.schema.names)}
-            get = lambda n: col[n].to_numpy(zero_copy_only=False).astype(float)  # noqa: B023, E731
-            counts = pc.list_value_length(col["near"]).to_numpy(zero_copy_only=False).astype(np.int64)
-            first = np.cumsum(counts) - counts
-            flat = col["near"].flatten()
-            ball = np.stack([flat.field(k).to_numpy(zero_copy_only=False) for k in (1, 2, 3, 4)])
-            o, d = np.stack([get(f"o{k}") for k in "xyz"]), np.stack([get(f"d{k}") for k in "xyz"])
-            speed = np.sqrt((d * d).sum(0))
-            z_in, z_out = get("z_in"), get("z_out")
-
-            def density(s, x):  # x: length from the far end, growing towards the eye
-                at = o[:, s] + d[:, s] * (-x / speed[s])  # noqa: B023
-                rho = np.zeros(len(s))
-                for k in range(int(counts[s].max()) if len(s) else 0):  # noqa: B023
-                    m = counts[s] > k  # noqa: B023
-                    b = ball[:, first[s[m]] + k]  # noqa: B023
-                    q = np.sqrt(((at[:, m] - b[:3]) ** 2).sum(0)) / b[3]
-                    u = np.clip((1 + eps - q) / (2 * eps), 0, 1)
-                    rho[m] += u * u * (3 - 2 * u)
-                return dense * rho
-
-            r = quadrature.seg_eval(method, density, lambda s, x: glow * density(s, x), -z_out * speed, -z_in * speed, c or np.inf, max_depth)  # noqa: B023
-            yield pa.RecordBatch.from_arrays([*(col[k] for k in ("inst", "i", "j", "z_in", "z_out")), *(pa.array(r[k]) for k in ("a", "b", "evals")), *(col[k] for k in ("tree", "level", "key"))], names=["inst", "i", "j", "z_in", "z_out", "a", "b", "evals", "tree", "level", "key"])
-
-    out = parts.mapInArrow(run, "inst int, i long, j long, z_in double, z_out double, a double, b double, evals long, tree int, level int, key long")
+            get = {n: t.column(k).to_numpy(zero_copy_only=False) for k, n in enumerate(t.schema.names) if n not in ("near", "inst")}
+            get["cam"] = np.array([number[v] for v in t.column(0).to_pylist()], np.int64)
+            lists = t.column(t.schema.get_field_index("near"))
+            counts = np.asarray(lists.value_lengths()).astype(np.int64)
+            flat = lists.flatten()
+            ball = np.stack([np.asarray(flat.field(k)) for k in (1, 2, 3, 4)])
+            rays = (get["i1"] - get["i0"] + 1) * (get["j1"] - get["j0"] + 1)
+            total, lo = np.cumsum(rays), 0
+            while lo < t.num_rows:
+                hi = max(lo + 1, int(np.searchsorted(total, (total[lo - 1] if lo else 0) + RAYS, "right")))
+                yield some(t, get, np.cumsum(counts) - counts, counts, ball, lo, hi, rays)
+                lo = hi
+
+    out = x.mapInArrow(run, "inst int, i long, j long, z_in double, z_out double, a double, b double, evals long, tree int, level int, key long")
     return out.withColumn("pix", morton2(F.col("i"), F.col("j")))
