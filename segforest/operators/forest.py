@@ -125,16 +125,45 @@ def unbalanced(leaves: DataFrame, top: int, d: int = 3, across: str = "full") ->
     return own.join(up, ["tree", "level", "p"], "left_semi").select("tree", "level", "key")
 
 
-def balance(leaves: DataFrame, top: int, d: int = 3, across: str = "full", rounds: int | None = None) -> DataFrame:
-    """Refines until no leaf is two levels coarser than a neighbour. Each round is written to the checkpoint folder."""
-    leaves = leaves.select("tree", F.col("level").cast("int").alias("level"), "key")
-    for _ in range(rounds or top):
-        bad = cut(unbalanced(leaves, top, d, across))
-        if not bad.limit(1).count():
-            break
-        keep = leaves.join(bad, ["tree", "level", "key"], "left_anti")
-        leaves = cut(keep.unionByName(children(bad, top, d)))
-    return leaves
+def _parents_beside(nodes: DataFrame, level: int, d: int, across: str) -> DataFrame:
+    """(tree, p) at ``level`` - 1: the parents of the neighbours of ``nodes`` (tree, p) at ``level``, inside their trees."""
+    import itertools
+
+    from ..functions.sfc import coordinate, morton2, morton3
+
+    moves = [m for m in itertools.product((-1, 0, 1), repeat=d) if any(m) and (across == "full" or sum(map(abs, m)) == 1)]
+    x = nodes.select("tree", *[coordinate(F.col("p"), a, level, d).alias(f"x{a}") for a in range(d)])
+    x = x.withColumn("m", F.explode(F.array(*[F.struct(*[F.lit(v).alias(f"m{a}") for a, v in enumerate(m)]) for m in moves])))
+    x = x.select("tree", *[(F.col(f"x{a}") + F.col(f"m.m{a}")).alias(f"x{a}") for a in range(d)])
+    for a in range(d):
+        x = x.filter((F.col(f"x{a}") >= 0) & (F.col(f"x{a}") < (1 << level)))
+    half = [F.shiftright(f"x{a}", 1) for a in range(d)]
+    return x.select("tree", (morton3(*half) if d == 3 else morton2(*half)).alias("p")).distinct()
+
+
+def balance(leaves: DataFrame, top: int, d: int = 3, across: str = "full") -> DataFrame:
+    """The coarsest refinement of whole trees in which no leaf is two levels coarser than a neighbour. A node that is split needs the
+    parents of its neighbours to be split, which concerns one level at a time: one sweep from the finest level up, over split nodes
+    only (an eighth or a quarter of the leaves), finds them all. Each level is written to the checkpoint folder."""
+    own = cut(leaves.select("tree", F.col("level").cast("int").alias("level"), "key"))
+    split = cut(ancestors(own, top, d))
+    deepest = split.agg(F.max("level")).first()[0]
+    if deepest is None:
+        return own
+    here, out = None, []
+    for level in range(deepest, -1, -1):
+        more = split.filter(F.col("level") == level).select("tree", "p")
+        if here is not None:
+            more = more.unionByName(_parents_beside(here, level + 1, d, across)).distinct()
+        here = cut(more)
+        out.append(here.select("tree", F.lit(level).alias("level"), "p"))
+    whole = out[0]
+    for x in out[1:]:
+        whole = whole.unionByName(x)
+    kids = whole.select("tree", (F.col("level") + 1).alias("level"), F.explode(F.sequence(F.shiftleft("p", d), F.shiftleft("p", d) + ((1 << d) - 1))).alias("p"))
+    kept = kids.join(whole, ["tree", "level", "p"], "left_anti")
+    new = kept.select("tree", "level", F.call_function("shiftleft", F.col("p"), F.expr(f"cast({d} * ({top} - level) as int)")).alias("key"))
+    return new.unionByName(own.filter("level = 0"))
 
 
 def with_owner(leaves: DataFrame, weight: str, parts: int) -> DataFrame:
