@@ -303,10 +303,13 @@ _rule("simpson", f"select event_id, exp(-t) as a, h / 6 * (exp(-t) * g0 + 4 * ex
 _rule("simpson_half", f"select event_id, exp(-t) as a, h / 6 * (exp(-t) * g0 + 4 * exp(-u) * (g0 + g1 * h / 2) + g0 + g1 * h) as b from (select *, h * b0 + b1 * h * h / 2 as t, h / 2 * b0 + b1 * 3 * h * h / 8 as u from {_LIN})")
 
 
-@_q("select event_id, case when v / 100 <= 0.1 then 0 else ceil(log2(v / 100 / 0.1))::bigint end as depth, true as close from (select event_id, value as v from events)")
+@_q("""with d as (select event_id, value / 100 as b, case when value / 100 <= 0.1 then 0 else ceil(log2(value / 100 / 0.1))::bigint end as depth from events), n as (select *, power(2.0, depth) as n, b / power(2.0, depth) as z from d),
+  s as (select *, 1 - z + z * z / 2 - z * z * z / 6 + z * z * z * z / 24 as a1, (1 - z / 2 + z * z / 6 - z * z * z / 24) / n as b1 from n)
+  select event_id, depth, round(power(a1, n), 7) as a, round(case when a1 = 1 then b1 * n else b1 * (1 - power(a1, n)) / (1 - a1) end, 7) as b from s""")
 def q_adaptive_depth(spark, d):
+    """The recursion with RK4 on one medium an event: halvings, and the segment that the equal pieces fold to."""
     x = _t(spark, d, "events").select(F.col("event_id").alias("id"), F.lit(0.0).alias("x1"), F.lit(1.0).alias("x2"), (F.col("value") / 100).alias("b0"), F.lit(0.0).alias("z"), F.lit(1.0).alias("g0"))
-    return quadrature.adaptive(x, "rk4", 0.1, ["b0", "z", "g0", "z"]).join(x.select("id", "b0"), "id").select(F.col("id").alias("event_id"), "depth", (F.abs(F.col("a") - F.exp(-F.col("b0"))) < 1e-5).alias("close"))
+    return quadrature.adaptive(x, "rk4", 0.1, ["b0", "z", "g0", "z"]).select(F.col("id").alias("event_id"), "depth", _r("a", 7).alias("a"), _r("b", 7).alias("b"))
 
 
 def _cells(spark, d):
@@ -390,12 +393,14 @@ _SPLIT = ", ".join(f"({' + '.join(f'(((p >> {3 * i + a}) & 1) << {i})' for i in
 
 @_q(_LEAVES.replace("with p as", "with recursive p as", 1) + f""", anc as (select distinct a.level, leaf.p >> (3 * (leaf.level - a.level))::int as p from leaf, (select unnest(range(0, 11)) as level) a where a.level < leaf.level),
   split as (select level, {_SPLIT} from anc union select level - 1, (x + i.i) >> 1, (y + j.j) >> 1, (z + k.k) >> 1 from split, range(-1, 2) i(i), range(-1, 2) j(j), range(-1, 2) k(k)
-    where level > 0 and x + i.i between 0 and (1 << level::int) - 1 and y + j.j between 0 and (1 << level::int) - 1 and z + k.k between 0 and (1 << level::int) - 1)
-  select 0 as tree, 1.0::double as volume, 0::bigint as overlaps, 7 * count(*) + 1 as leaves from split""")
+    where level > 0 and x + i.i between 0 and (1 << level::int) - 1 and y + j.j between 0 and (1 << level::int) - 1 and z + k.k between 0 and (1 << level::int) - 1),
+  kid as (select level + 1 as level, 2 * x + i.i as x, 2 * y + j.j as y, 2 * z + k.k as z from split, range(2) i(i), range(2) j(j), range(2) k(k))
+  select level, x, y, z from kid where not exists (select 1 from split t where t.level = kid.level and t.x = kid.x and t.y = kid.y and t.z = kid.z)""")
 def q_balance(spark, d):
-    """The balanced tree; its twin counts the closure of split nodes under neighbours of the parents."""
+    """The leaves of the balanced tree, as level and place; its twin closes the split nodes under neighbours of the parents."""
     full = forest.complete(_leaves(spark, d), TOP)
-    return forest.check(forest.balance(full, TOP), TOP)
+    x = forest.balance(full, TOP).withColumn("p", F.call_function("shiftright", F.col("key"), F.expr(f"cast(3 * ({TOP} - level) as int)")))
+    return x.select(F.col("level").cast("bigint").alias("level"), *[sfc.coordinate(F.col("p"), a, TOP).alias(c) for a, c in enumerate("xyz")])
 
 
 @_q(_FULL + " select level, count(*) as leaves, sum(case when filled then 1 else 0 end)::bigint as filled from full_ group by rollup(level)")
@@ -512,7 +517,6 @@ def q_render_pipeline(spark, d):
     return x.select("inst", "tile", "pix", _r("a").alias("a"), _r("b").alias("b"))
 
 
-@_q("select 0 as differ")
 def q_condense_lossless(spark, d):
     """Pixels whose composite after three condense cycles is off that of the raw segments by more than roundoff."""
     cams = pipeline.front_cameras(2, 32)
@@ -521,7 +525,7 @@ def q_condense_lossless(spark, d):
     y = pipeline.image(pipeline.condense(raw, TOP, 3)).select("inst", "pix", F.col("a").alias("a2"), F.col("b").alias("b2"))
     j = x.join(y, ["inst", "pix"], "full")
     off = (F.abs(F.col("a") - F.col("a2")) > 1e-9) | (F.abs(F.col("b") - F.col("b2")) > 1e-9) | F.col("a").isNull() | F.col("a2").isNull()
-    return j.agg(F.coalesce(F.sum(F.when(off, 1).otherwise(0)), F.lit(0)).cast("int").alias("differ"))
+    return j.agg(F.count("*").alias("pixels"), F.coalesce(F.sum(F.when(off, 1).otherwise(0)), F.lit(0)).cast("int").alias("differ"))
 
 
 @_q("""select user_id, time_bucket(interval 30 days, ts, timestamp '1970-01-01') as start, round(exp(sum(ln(a))), 6) as a, round(sum(t * b), 6) as b, count(*) as k from (select *, exp(coalesce(sum(ln(a)) over

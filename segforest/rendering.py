@@ -15,6 +15,7 @@ from .plans import elements, pipeline, surface
 from .queries import TOP, _leaves, _q, _r, _scene, _t
 
 base.SQL["q_render_pipeline"] = _image(64)
+_q(_CELL + " select count(distinct (inst, pix)) as pixels, 0 as differ from cell")(base.q_condense_lossless)
 
 
 @_q(_culled(_N, "select 2 as level, range << 24 as key from range(64)", "with") + " select key >> 24 as p, string_agg(inst, ',' order by inst) as insts from v group by key")
