@@ -12,7 +12,7 @@ checksum, then by a hash.
 The medians are found by descent: one pass sums the bytes of each (node, dimension, number), which tells the widest dimension
 and the number at which the wanted sum falls; the units of that number are summed by 15 bits of their order,
 then by the next 15, until what is left matters little.
-All nodes of a level share these passes over a narrow table (no text), and a window over a node has at most 2 ** 15
+All nodes of a level share these passes over a narrow table (no text), and a window over a node has at most 2 ** 8
 sums. The driver holds one small row per node.
 """
 
@@ -82,9 +82,17 @@ def units(rows: DataFrame) -> DataFrame:
 
 
 def _reached(sums: DataFrame, goal) -> DataFrame:
-    """Of ``sums`` (node, b, s, ...) the bucket of each node in which the running sum reaches the goal, with the sum before it."""
-    run = F.sum("s").over(Window.partitionBy("node").orderBy("b"))
-    return sums.withColumn("run", run).withColumn("goal", goal).filter((F.col("run") >= F.col("goal")) & (F.col("run") - F.col("s") < F.col("goal"))).withColumn("before", F.col("run") - F.col("s"))
+    """Of ``sums`` (node, b, s, ...) the bucket of each node in which the running sum reaches the goal, with the sum before it. The running sum goes over
+    sums of 2 ** 8 buckets first, then over the buckets of one of them, so no window has more than 2 ** 8 rows a node."""
+    x = sums.withColumn("goal", goal).withColumn("_c", F.shiftright("b", 8))
+
+    def crossing(rows, by, size, before):
+        rows = rows.withColumn("run", before + F.sum(size).over(Window.partitionBy("node").orderBy(by)))
+        return rows.filter((F.col("run") >= F.col("goal")) & (F.col("run") - F.col(size) < F.col("goal"))).withColumn("before", F.col("run") - F.col(size))
+
+    coarse = crossing(x.groupBy("node", "_c").agg(F.sum("s").alias("_s"), F.max("goal").alias("goal")), "_c", "_s", F.lit(0))
+    at = F.broadcast(coarse.select(F.col("node").alias("_node"), F.col("_c").alias("_at"), F.col("before").alias("_before")))  # one row a node
+    return crossing(x.join(at, (F.col("node") == F.col("_node")) & (F.col("_c") == F.col("_at"))), "b", "s", F.col("_before"))
 
 
 def _widest(live: DataFrame, share: DataFrame) -> list:
