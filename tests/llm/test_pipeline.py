@@ -98,7 +98,7 @@ def test_token_files_against_the_tokenizer(spark):
 
 
 def test_mix_is_earliest_deadline_first(spark):
-    from tests.llm.test_operators import earliest_deadline
+    from test_operators import earliest_deadline
 
     got, rows = {}, {}
     for r in queries.op5_pfair_mix(spark, DATA).collect():
