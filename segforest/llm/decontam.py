@@ -312,3 +312,18 @@ def brute_force(texts: dict[int, str | None], items: dict[str, str | None], wind
                         which.add(i)
         out[d] = (len(dw), len(hit), sorted(which))
     return out
+
+
+_LETTERS = "abcdefghijklmnopqrstuvwxyz"
+_SQL_WORDS = f"regexp_extract_all(translate(coalesce(text, ''), '{_LETTERS.upper()}', '{_LETTERS}'), '[^\\x00-\\x2F\\x3A-\\x60\\x7B-\\x7F]+') as w"
+#: digest(contamination()) by an equal join of all runs of as many words as some window has.
+SQL = f"""
+with d as (select row_number() over () as line, doc_id, {_SQL_WORDS} from documents), b as (select item_id::varchar as item_id, {_SQL_WORDS} from benchmark),
+i as (select distinct item_id, n, array_to_string(w[pos : pos + n - 1], ' ') as said from (select *, least(10, len(w)) as n, unnest(range(1, len(w) - least(10, len(w)) + 2)) as pos from b where len(w) > 0)),
+g as (select line, pos, n, array_to_string(w[pos : pos + n - 1], ' ') as said from (select line, w, n.n, unnest(range(1, len(w) - n.n + 2)) as pos from d, (select distinct n from i) n where len(w) >= n.n)),
+found as (select line, pos, n, item_id from g join i using (n, said)),
+words as (select line, count(distinct place) as n_hit from (select line, unnest(range(pos, pos + n)) as place from (select distinct line, pos, n from found)) group by line),
+items as (select line, count(*) as n_items, sha256(string_agg(item_id, ',' order by item_id)) as items_sha256 from (select distinct line, item_id from found) group by line)
+select doc_id, len(w)::bigint as n_words, coalesce(n_hit, 0)::bigint as n_hit, coalesce(n_items, 0)::bigint as n_items, coalesce(items_sha256, sha256('')) as items_sha256, n_hit is not null as contaminated
+from d left join words using (line) left join items using (line)
+"""

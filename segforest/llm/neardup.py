@@ -345,3 +345,22 @@ def deduplicated(docs: DataFrame, **how) -> DataFrame:
     kept = mine.join(stays, F.col("doc_id").eqNullSafe(F.col("_stay")), "left_semi")
     again = F.row_number().over(Window.partitionBy("doc_id", F.xxhash64("text")).orderBy("doc_id"))
     return restored(kept.withColumn("_again", again).filter("_again = 1"), inner, docs)
+
+
+_LETTERS = "abcdefghijklmnopqrstuvwxyz"
+#: near_duplicates(shingle=2) where doc_id is unique and not null: pairs that share one of the rarest shingles that a link must share, their
+#: exact similarity, and all that a document reaches.
+SQL = f"""
+with recursive d as (select doc_id, regexp_extract_all(translate(coalesce(text, ''), '{_LETTERS.upper()}', '{_LETTERS}'), '[^\\x20\\x09-\\x0D]+') as w from documents),
+s as (select distinct doc_id, said from (select doc_id, w[pos] || ' ' || w[pos + 1] as said from (select *, unnest(range(1, len(w))) as pos from d where len(w) > 1) union all select doc_id, w[1] from d where len(w) = 1)),
+n as (select doc_id, count(*) as n from s group by doc_id),
+f as (select said, count(*) as often from s group by said),
+r as (select s.doc_id, s.said, n.n, row_number() over (partition by s.doc_id order by often, s.said) as k from s join f using (said) join n using (doc_id)),
+p as (select doc_id, said, n from r where k <= n - (80 * n + 99) // 100 + 1),
+c as (select distinct x.doc_id as a, y.doc_id as b, x.n as na, y.n as nb from p x join p y on x.said = y.said and x.doc_id < y.doc_id where 100 * least(x.n, y.n) >= 80 * greatest(x.n, y.n)),
+e as (select a, b from (select c.a, c.b, c.na, c.nb, count(*) as common from c join s x on x.doc_id = c.a join s y on y.doc_id = c.b and y.said = x.said group by all) where 100 * common >= 80 * (na + nb - common)),
+l as (select a, b from e union all select b, a from e),
+reach as (select doc_id as a, doc_id as b from d union select reach.a, l.b from reach join l on reach.b = l.a),
+g as (select a as doc_id, min(b) as component_id from reach group by a)
+select doc_id, coalesce(n.n, 0)::bigint as n_shingles, component_id, doc_id = component_id as kept from g left join n using (doc_id)
+"""

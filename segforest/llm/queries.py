@@ -62,4 +62,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op3_chat_collapse": chat.SQL}
+    return {"op3_chat_collapse": chat.SQL, "op4_decontamination": decontam.SQL, "op6_odd_sketch_dedup": neardup.SQL}
