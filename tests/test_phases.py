@@ -161,3 +161,12 @@ def test_image_of_a_file_uri_in_runs(spark, tmp_path):
 def test_two_cameras_of_the_fractal():
     one, two = E._fractal_cams()
     assert one.o != two.o and one.ell != two.ell and (one.w, one.h) == (two.w, two.h)
+
+
+def test_sql_fold_needs_no_python(spark):
+    """A call of Python a ray took minutes on many short rays; segments of equal place fold in order of a and b."""
+    assert not any(k in plan(Q.QUERIES["q_sql_fold"](spark, DATA)) for k in ("Python", "Pandas", "Arrow"))
+    rows = [(1, 2.0, 0.5, 4.0), (1, 1.0, 0.8, 2.0), (1, 1.0, 0.5, 1.0), (2, 1.0, 0.0, 3.0), (2, 2.0, 0.7, 9.0)]
+    x = spark.createDataFrame(rows, "ray int, z double, a double, b double")
+    got = spark.sql("select ray, seg_fold(collect_list(seg_item(z, a, b))) as s from {x} group by ray order by ray", x=x).collect()
+    assert [(r.s.a, r.s.b) for r in got] == [(pytest.approx(0.2), pytest.approx(3.6)), (0.0, 3.0)]
