@@ -170,3 +170,16 @@ def test_sql_fold_needs_no_python(spark):
     x = spark.createDataFrame(rows, "ray int, z double, a double, b double")
     got = spark.sql("select ray, seg_fold(collect_list(seg_item(z, a, b))) as s from {x} group by ray order by ray", x=x).collect()
     assert [(r.s.a, r.s.b) for r in got] == [(pytest.approx(0.2), pytest.approx(3.6)), (0.0, 3.0)]
+
+
+def test_packed_images_come_in_bounded_blocks(spark):
+    """Blocks hold no more than they may, give all segments back, and join to the image of one piece, pixels of many segments too."""
+    rows = [(size, k % 7 if k % 2 else 3, float(k * 37 % 101), 0.5, float(k)) for size in (1, 2) for k in range(200 * size)] + [(3, None, 1.0, 0.5, 1.0)]
+    df = spark.createDataFrame(rows, "size int, pix long, z double, a double, b double").repartition(5)
+    blocks = imagetree.pack_blocks(df, ["size"], 16).persist()
+    assert blocks.agg(F.max(F.size("z"))).first()[0] == 16 and blocks.filter("continued").count() > 10
+    assert sorted(imagetree.unpack(blocks, ["size"]).collect(), key=str) == sorted(df.collect(), key=str)
+    whole = imagetree.pack(df, ["size"]).select("size", F.size("pix").alias("pixels"), F.size("z").alias("segments"), imagetree.packed_bytes().alias("bytes"))
+    assert sorted(map(tuple, imagetree.packed_image(blocks, ["size"]).collect())) == sorted(map(tuple, whole.collect()))
+    assert imagetree.packed_image(imagetree.pack_blocks(df.limit(0), ["size"]), ["size"]).count() == 0
+    assert "collect_list" not in plan(Q.QUERIES["q_pack_size"](spark, DATA))
