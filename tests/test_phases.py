@@ -183,3 +183,10 @@ def test_packed_images_come_in_bounded_blocks(spark):
     assert sorted(map(tuple, imagetree.packed_image(blocks, ["size"]).collect())) == sorted(map(tuple, whole.collect()))
     assert imagetree.packed_image(imagetree.pack_blocks(df.limit(0), ["size"]), ["size"]).count() == 0
     assert "collect_list" not in plan(Q.QUERIES["q_pack_size"](spark, DATA))
+
+
+@pytest.mark.parametrize("name, table", [("q_image_nodes", "lineitem")])
+def test_moved_onto_a_table(spark, tables, name, table):
+    """Queries that once made their data up: Spark reads the table, and the rows are those of the SQL."""
+    assert f"{table}.parquet" in "".join(Q.QUERIES[name](spark, DATA).inputFiles())
+    test_against_sql(spark, tables, name)
