@@ -185,7 +185,7 @@ def test_packed_images_come_in_bounded_blocks(spark):
     assert "collect_list" not in plan(Q.QUERIES["q_pack_size"](spark, DATA))
 
 
-@pytest.mark.parametrize("name, table", [("q_image_nodes", "lineitem"), ("q_lagrange_unity", "orders"), ("q_observed_order", "lineitem"), ("q_ray_dir", "lineitem"), ("q_condense_uniform", None), ("q_fractal_mesh", None)])
+@pytest.mark.parametrize("name, table", [("q_image_nodes", "lineitem"), ("q_lagrange_unity", "orders"), ("q_observed_order", "lineitem"), ("q_ray_dir", "lineitem"), ("q_condense_uniform", None), ("q_fractal_mesh", None), ("q_fractal_image", None)])
 def test_moved_onto_a_table(spark, tables, name, table):
     """Queries that once made their data up: Spark reads the table, and the rows are those of the SQL."""
     # a checkpoint hides the files; there the rows of the SQL, which reads the table, must do
