@@ -31,10 +31,10 @@ from ._common import DOC, col, pick, scratch, written
 SKIPPABLE, SEEKABLE, FOOTER = 0x184D2A5E, 0x8F92EAB1, 9
 #: Pieces whose ids a worker keeps, at about 200 bytes each.
 CACHE_PIECES = 1_000_000
-# Fixed value: a splitting pattern whose pieces hold no white space, and no letter beside a stop or comma.
+# Fixed value: a splitting pattern whose pieces hold no white space, and no letter beside a mark.
 _WORDS_ONLY = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
 _ODD_SPACE = re.compile("[\x1c-\x1f]")
-_CLOSED = re.compile(r"([A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u00ff]+)([.,]*)")
+_CLOSED = re.compile(r"([A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u00ff]+)([.,!?:;#$%&*]*)")
 
 
 class CorruptFrame(ValueError):
@@ -72,7 +72,7 @@ class Encoder:
     """Token ids of whole texts as bytes of ``width``-byte integers.
 
     Where the tokenizer's file says that it never joins text across white space, which it drops (cuts_at_space()), a text's ids
-    are those of its pieces in order, cut at white space, and a word's closing stops and commas are apart. Pieces repeat, so the
+    are those of its pieces in order, cut at white space, and a word's closing marks are apart. Pieces repeat, so the
     ids of CACHE_PIECES of them are kept; the others are encoded once a batch. A text with one of the four
     control characters that Python but not the tokenizer calls white space is encoded whole,
     as is every text of any other tokenizer, and with ``by_piece=False``."""
@@ -87,24 +87,67 @@ class Encoder:
         if by_piece is None:
             with open(path, encoding="utf-8") as f:
                 by_piece = cuts_at_space(json.load(f))
-        self.by_piece, self.known = by_piece, _Known()
+        self.by_piece, self.known, self.plain = by_piece, _Known(), None
+        if by_piece:
+            self.plain, self.lowers, self.special = self._plain(path)
         vocab = self.tok.get_vocab()
         self.ends = np.zeros(max(vocab.values()) + 1, bool)
         self.ends[[i for k, i in vocab.items() if k.endswith("</w>")]] = True
 
+    @staticmethod
+    def _plain(path: str):
+        """The tokenizer without its normalizer and splitting pattern, which makes of Latin words in lower case between blanks what the
+        whole one makes of them; whether that lowers them; and its added tokens, which only the whole one knows."""
+        from tokenizers import Tokenizer
+
+        with open(path, encoding="utf-8") as f:
+            settings = json.load(f)
+        lowers = '"Lowercase"' in json.dumps(settings.get("normalizer"))
+        special = [t["content"] for t in settings.get("added_tokens") or []]
+        split = settings["pre_tokenizer"]
+        later = [x for x in split.get("pretokenizers", []) if x["type"] == "ByteLevel"]
+        split = {"type": "Sequence", "pretokenizers": [{"type": "WhitespaceSplit"}, *later]}
+        settings |= {"normalizer": None, "pre_tokenizer": split, "post_processor": None, "added_tokens": []}
+        return Tokenizer.from_str(json.dumps(settings)), lowers, special
+
     def _whole(self, text: str) -> bytes:
         return np.array(self.tok.encode(text, add_special_tokens=False).ids, self.kind).tobytes()
 
     def _pieces(self, pieces: list[str]) -> dict[str, bytes]:
-        """Ids of distinct pieces. Latin words, without the stops and commas that close
-        them, go many in one text, where each ends in its one token with the
+        """Ids of distinct pieces. Latin words, without the marks that close
+        them, go many in one text and in lower case, where each ends in its one token with the
         end-of-word mark; should the counts not agree they go one by one like all other pieces."""
-        split = [(p, m[1], m[2]) for p in pieces if (m := _CLOSED.fullmatch(p))]
-        words = [w for w in dict.fromkeys(w for _, w, _ in split) if w not in self.known]
+        out: dict[str, bytes] = {}
+        closed, latin, rest = [], [], []
+        for p in pieces:
+            if p.isalpha() and p.isascii():
+                latin.append(p)
+            elif m := _CLOSED.fullmatch(p):
+                closed.append((p, m[1], m[2]))
+            else:
+                rest.append(p)
+        words = dict.fromkeys(latin)
+        words.update(dict.fromkeys(w for _, w, _ in closed))
+        known = self.known
+        new = [w for w in words if w not in known]
+        own = [w for w in new if w not in self.special]
+        # words that differ in case only are encoded once
+        low = [w.lower() for w in own] if self.lowers else own
+        ids = self._joined(self.plain, [w for w in dict.fromkeys(low) if w not in known])
+        out |= {w: ids[x] if x in ids else known[x] for w, x in zip(own, low)}
+        out |= self._joined(self.tok, [w for w in new if w not in out])
+        marks = self._singly(list({m for _, _, m in closed if m}))
+        for p, w, m in closed:
+            if m:
+                out[p] = (out[w] if w in out else known[w]) + marks[m]
+        return out | self._singly(rest)
+
+    def _joined(self, tok, words: list[str]) -> dict[str, bytes]:
+        """Ids of words that are each one piece of the splitting pattern, many in one text."""
         out: dict[str, bytes] = {}
         for k in range(0, len(words), 500):
             part = words[k : k + 500]
-            ids = np.array(self.tok.encode_batch_fast([" ".join(part)], add_special_tokens=False)[0].ids, self.kind)
+            ids = np.array(tok.encode_batch_fast([" ".join(part)], add_special_tokens=False)[0].ids, self.kind)
             cut = (np.flatnonzero(self.ends[ids]) + 1).tolist()
             if len(cut) != len(part) or cut[-1] != len(ids):
                 out |= self._singly(part)
@@ -113,12 +156,7 @@ class Encoder:
             for p, c in zip(part, cut):
                 out[p] = raw[at * w : c * w]
                 at = c
-        marks = self._singly(list({m for _, _, m in split if m}))
-        for p, w, m in split:
-            if m:
-                out[p] = (out[w] if w in out else self.known[w]) + marks[m]
-        latin = {p for p, _, _ in split}
-        return out | self._singly([p for p in pieces if p not in latin])
+        return out
 
     def _singly(self, pieces: list[str]) -> dict[str, bytes]:
         return {p: np.array(e.ids, self.kind).tobytes() for p, e in zip(pieces, self.tok.encode_batch_fast(pieces, add_special_tokens=False))}

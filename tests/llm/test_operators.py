@@ -433,3 +433,13 @@ def test_chat(spark):
     got = {r.conv_id: (r.n_turns, r.n_copies) for r in chat.rendered(df).collect()}
     assert got == {1: (2, 2), 4: (1, 1), None: (1, 1)} and chat.rendered(df.limit(0)).count() == 0
     assert T.StringType() == chat.rendered(df).schema["rendered"].dataType
+
+
+def test_words_are_encoded_once_in_lower_case(monkeypatch):
+    """Words that differ in case or closing marks only reach the tokenizer once, and texts have the ids of the whole tokenizer."""
+    e, seen, joined = tokenfile.Encoder(public_tokenizers.path("word_bpe_49k.json")), [], tokenfile.Encoder._joined
+    monkeypatch.setattr(tokenfile.Encoder, "_joined", lambda self, tok, words: (seen.extend(words), joined(self, tok, words))[1])
+    texts = ["The THE the. THE., the!! the&&&", "\u00c9t\u00e9 \u00e9t\u00e9? \u00c9T\u00c9***", "don't Don'T X1 a!b \u0130stanbul \u212a e\u0301 E\u0301! \ufb01 q<|endoftext|> endoftext", "", None]
+    assert e.encode(texts) == [e._whole(t or "") for t in texts]
+    assert seen.count("the") == 1 and seen.count("\u00e9t\u00e9") == 1 and not {"The", "THE"} & set(seen)
+    assert e.encode(["THE The tHe"]) == [e._whole("the the the")] and seen.count("the") == 1
